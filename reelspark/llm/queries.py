@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from reelspark.llm import byte_bpe, license_scan, quality_gam, quality_rules, simhash, toxicity
+from reelspark.llm import block_search, byte_bpe, license_scan, quality_gam, quality_rules, secret_scan, simhash, source_mix, token_tree, toxicity
 from reelspark.llm.common import table
 
 
@@ -18,25 +18,41 @@ def op2_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
     return simhash.near_duplicates(table(spark, sf_dir, "documents"))
 
 
+def op3_source_mix(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return source_mix.digest(table(spark, sf_dir, "documents"))
+
+
 def op4_license_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
     return license_scan.digest(table(spark, sf_dir, "documents"))
 
 
+def op5_secret_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return secret_scan.digest(table(spark, sf_dir, "documents"))
+
+
 def op6_byte_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
     return byte_bpe.digest(table(spark, sf_dir, "documents"))
 
 
+def op7_token_tree(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return token_tree.digest(table(spark, sf_dir, "documents"))
+
+
 def op8_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
     return quality_rules.digest(table(spark, sf_dir, "documents"))
 
 
+def op9_block_search(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return block_search.digest(table(spark, sf_dir, "embeddings"))
+
+
 def op10_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
     return toxicity.digest(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels"))
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op1_quality_gam, op2_simhash, op4_license_scan, op6_byte_bpe, op8_quality_rules, op10_toxicity)}
+    return {f.__name__: f for f in (op1_quality_gam, op2_simhash, op3_source_mix, op4_license_scan, op5_secret_scan, op6_byte_bpe, op7_token_tree, op8_quality_rules, op9_block_search, op10_toxicity)}
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op8_quality_rules": quality_rules.ORACLE}
+    return {"op8_quality_rules": quality_rules.ORACLE, "op9_block_search": block_search.ORACLE}
