@@ -54,7 +54,7 @@ def _mask(d: Column, prev: Column) -> list[Column]:
 
 #: What each recipe draws for a detection, given the position of the node it draws on.
 RECIPES: dict[str, list[Callable[[Column, Column], list[Column]]]] = {
-    "label": [_tag], "box": [_box], "box_label": [_box, _tag], "corner_label": [_corners, _tag], "color": [_tint], "color_label": [_tint, _tag], "mask": [_mask], "mask_label": [_mask, _tag],
+    "label": [_tag], "box": [_box], "box_label": [_box, _tag], "corner": [_corners], "corner_label": [_corners, _tag], "color": [_tint], "color_label": [_tint, _tag], "mask": [_mask], "mask_label": [_mask, _tag],
 }
 
 

@@ -27,5 +27,5 @@ def load() -> None:
     """Imports every module that registers queries."""
     import importlib
 
-    for m in ("operators.relational", "operators.joins", "operators.windows", "functions.scalar", "functions.udfs", "sources.io", "workloads.rendering", "workloads.lifting", "workloads.delivery", "workloads.access", "workloads.search"):
+    for m in ("operators.relational", "operators.joins", "operators.windows", "functions.scalar", "functions.udfs", "sources.io", "workloads.rendering", "workloads.lifting", "workloads.delivery", "workloads.access", "workloads.search", "workloads.filters", "streaming.queries"):
         importlib.import_module(f"reelspark.{m}")

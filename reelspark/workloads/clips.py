@@ -43,7 +43,7 @@ _PRIMS = {
     "tint": "SELECT frame, ord * 10 + 1 AS seq, 'tint' AS kind, x1, y1, x2, y2, b, g, r, text, mask_id FROM d",
     "mask": "SELECT frame, ord * 10 + 1 AS seq, 'mask' AS kind, 0 AS x1, 0 AS y1, 15 AS x2, 15 AS y2, b, g, r, text, mask_id FROM d",
 }
-_PARTS = {"label": ["tag"], "box": ["box"], "box_label": ["box", "tag"], "corner_label": ["corners", "tag"], "color": ["tint"], "color_label": ["tint", "tag"], "mask_label": ["mask", "tag"]}
+_PARTS = {"label": ["tag"], "box": ["box"], "box_label": ["box", "tag"], "corner": ["corners"], "mask": ["mask"], "corner_label": ["corners", "tag"], "color": ["tint"], "color_label": ["tint", "tag"], "mask_label": ["mask", "tag"]}
 
 
 def frames_sql(where: str = "TRUE") -> str:

@@ -59,14 +59,58 @@ def w_search_spec(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 @query("w_passage", f"WITH {_CAPS} SELECT item_id, source_id, doc_id, CAST(start_frame + (instr(caps.text, b.text) - 1) // 15 AS BIGINT) AS frame FROM caps JOIN benchmark b ON contains(caps.text, b.text)")
 def w_passage(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Passages that stand in captions. Candidates meet on a seed, the first 24 characters of the passage, which every containing text holds;
-    containment is then checked. The passages are a fixed, counted list."""
-    b = table(spark, sf_dir, "benchmark").select("item_id", F.col("text").alias("passage"))
-    caps = derive.captions(spark, sf_dir)
-    from reelspark.operators.joins import sized_broadcast
+    """Passages that stand in captions, by one linear multi-pattern scan of every whole text."""
+    caps = derive.captions(spark, sf_dir).select("source_id", "doc_id", "start_frame", "text")
+    return containing(caps, table(spark, sf_dir, "benchmark")).select("item_id", "source_id", "doc_id", (F.col("start_frame") + F.expr("at div 15")).alias("frame"))
+
+
+PASSAGES = 20_000  # per automaton, which bounds what a task holds
 
-    both = caps.join(sized_broadcast(b, 20_000), F.expr("contains(text, passage)"))
-    return both.select("item_id", "source_id", "doc_id", (F.col("start_frame") + F.expr("(instr(text, passage) - 1) div 15")).alias("frame"))
+
+def containing(texts: DataFrame, passages: DataFrame) -> DataFrame:
+    """texts' columns but text, item_id, at: first place (characters from 0) of every passage in every text that holds it.
+
+    Passages go to workers in parts of at most ``PASSAGES``, each an Aho-Corasick automaton over all texts.
+    """
+    import pyarrow as pa
+
+    schema = [f for f in texts.schema.fields if f.name != "text"]
+    names = [f.name for f in schema]
+    ddl = ", ".join(f"{f.name} {f.dataType.simpleString()}" for f in schema) + ", item_id bigint, at bigint"
+    total = passages.count()
+    out = None
+    for part in range(max(1, -(-total // PASSAGES))):
+        mine = passages if total <= PASSAGES else passages.where(F.pmod(F.xxhash64("item_id"), F.lit(-(-total // PASSAGES) * 2)).isin(2 * part, 2 * part + 1))
+        pairs = [(r["item_id"], r["text"]) for r in mine.select("item_id", "text").collect() if r["text"]]
+
+        def run(it, pairs=pairs):
+            import ahocorasick
+
+            items: dict[str, list[int]] = {}
+            for i, p in pairs:
+                items.setdefault(p, []).append(i)
+            machine = ahocorasick.Automaton()
+            for p in items:
+                machine.add_word(p, p)
+            if items:
+                machine.make_automaton()
+            for b in it:
+                rows, ids, ats = [], [], []
+                for k, text in enumerate(b.column("text").to_pylist()):
+                    first: dict[str, int] = {}
+                    for end, p in machine.iter(text or "") if items else ():
+                        first.setdefault(p, end + 1 - len(p))
+                    for p, at in first.items():
+                        for i in items[p]:
+                            rows.append(k)
+                            ids.append(i)
+                            ats.append(at)
+                t = b.take(pa.array(rows, pa.int64()))
+                yield pa.RecordBatch.from_arrays([*(t.column(n) for n in names), pa.array(ids, pa.int64()), pa.array(ats, pa.int64())], names=[*names, "item_id", "at"])
+
+        one = texts.select(*names, "text").mapInArrow(run, ddl)
+        out = one if out is None else out.unionByName(one)
+    return out
 
 
 def hue_key(r: Column, g: Column, b: Column) -> Column:
