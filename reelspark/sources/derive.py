@@ -49,8 +49,12 @@ def _main_pack(*columns: pa.Array) -> np.ndarray:
     return main_planes(*(c.to_numpy(zero_copy_only=False) for c in columns))
 
 
-def main_frames(spark: SparkSession, sf_dir: str) -> DataFrame:
-    rows = _order_columns(table(spark, sf_dir, "orders")).select(F.lit("main").alias("source_id"), F.col("i").alias("idx"), "i", "price_k", "cust", "status")
+def main_frames(spark: SparkSession, sf_dir: str, lo: int | None = None, hi: int | None = None) -> DataFrame:
+    """The main clip, or its frames lo..hi: then only those rows are read."""
+    orders = table(spark, sf_dir, "orders")
+    if lo is not None:
+        orders = orders.where(F.col("o_orderkey").between(lo, hi))
+    rows = _order_columns(orders).select(F.lit("main").alias("source_id"), F.col("i").alias("idx"), "i", "price_k", "cust", "status")
     return _packed(rows, _main_pack)
 
 

@@ -23,6 +23,15 @@ def task_spec(spark: SparkSession, sf_dir: str, recipe: str, conversion: str = "
     return relational.annotate(frames if frames is not None else main_index(spark, sf_dir), derive.detections(spark, sf_dir), recipe, recipe, SEG, conversion=conversion)
 
 
+def segment_inputs(spark: SparkSession, sf_dir: str, recipe: str, seg: int) -> tuple[DataFrame, DataFrame]:
+    """Spec and GOPs of one segment: the generation range reaches both scans, so cost doesn't depend on the clip's length."""
+    lo, hi = seg * SEG, (seg + 1) * SEG - 1
+    frames = main_index(spark, sf_dir).where(F.col("gen").between(lo, hi))
+    dets = derive.detections(spark, sf_dir).where(F.col("frame").between(lo, hi))
+    spec = relational.annotate(frames, dets, recipe, recipe, SEG)
+    return spec, gopindex.encode(derive.main_frames(spark, sf_dir, lo // GOP_LEN * GOP_LEN, hi // GOP_LEN * GOP_LEN + GOP_LEN - 1))
+
+
 def task_sources(spark: SparkSession, sf_dir: str) -> DataFrame:
     """The (two) rows of the catalogue that annotation tasks use."""
     from reelspark.model.schemas import SOURCES

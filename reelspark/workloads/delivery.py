@@ -11,7 +11,7 @@ from reelspark.registry import query
 from reelspark.session import table
 from reelspark.sources.derive import GOP_LEN
 from reelspark.vod import segments as vod
-from reelspark.workloads.clips import SEG, main_index, pixels_sql, task_gops, task_sources, task_spec
+from reelspark.workloads.clips import pixels_sql, segment_inputs, task_sources
 
 _SPECS = "SELECT 'coll/' || (o_custkey % 100) AS spec_id, count(*) AS n_frames, 60 AS s, 30000 AS num, 1001 AS den FROM orders GROUP BY 1 UNION ALL SELECT 'main', count(*), 48, 24, 1 FROM orders"
 _SEGS = f"WITH sp AS ({_SPECS}), seg AS (SELECT spec_id, CAST(k AS BIGINT) AS seg, CAST(k * s AS BIGINT) AS first_gen, CAST(least(s, n_frames - k * s) AS BIGINT) AS n, CAST(least(s, n_frames - k * s) * 1000 * den // num AS BIGINT) AS millis FROM (SELECT *, unnest(range((n_frames - 1) // s + 1)) AS k FROM sp))"
@@ -105,11 +105,8 @@ def poll(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def _segment(spark: SparkSession, sf_dir: str, seg: int) -> DataFrame:
     """One segment: only its expressions are built and only the GOPs it touches are read."""
-    lo, hi = seg * SEG, (seg + 1) * SEG - 1
-    frames = main_index(spark, sf_dir).where(F.col("gen").between(lo, hi))
-    spec = task_spec(spark, sf_dir, "box_label", frames=frames)
-    gops = task_gops(spark, sf_dir, "box_label")
-    return engine.digests(engine.segment_local(spec, gops.where(F.col("gop_id").between(lo // GOP_LEN, hi // GOP_LEN)), task_sources(spark, sf_dir), GOP_LEN)).select("gen", "md5")
+    spec, gops = segment_inputs(spark, sf_dir, "box_label", seg)
+    return engine.digests(engine.segment_local(spec, gops, task_sources(spark, sf_dir), GOP_LEN)).select("gen", "md5")
 
 
 @query("render_segment", pixels_sql("box_label", "o_orderkey BETWEEN 0 AND 47"))
