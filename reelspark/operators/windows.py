@@ -16,25 +16,28 @@ def _clips(spark: SparkSession, sf_dir: str) -> DataFrame:
     return table(spark, sf_dir, "orders").select(F.col("o_orderkey").alias("i"), F.pmod("o_custkey", F.lit(100)).alias("c"))
 
 
-_w = Window.partitionBy("c").orderBy("i")
+def _w():
+    return Window.partitionBy("c").orderBy("i")
+
+
 for _name, _sql, _f in (
-    ("win_row_number", "CAST(row_number() OVER {w} AS BIGINT)", lambda: F.row_number().over(_w).cast("bigint")),
+    ("win_row_number", "CAST(row_number() OVER {w} AS BIGINT)", lambda: F.row_number().over(_w()).cast("bigint")),
     ("win_rank", "CAST(rank() OVER (PARTITION BY c ORDER BY i // 500) AS BIGINT)", lambda: F.rank().over(Window.partitionBy("c").orderBy(F.expr("i div 500"))).cast("bigint")),
     ("win_dense_rank", "CAST(dense_rank() OVER (PARTITION BY c ORDER BY i // 500) AS BIGINT)", lambda: F.dense_rank().over(Window.partitionBy("c").orderBy(F.expr("i div 500"))).cast("bigint")),
-    ("win_ntile", "CAST(ntile(4) OVER {w} AS BIGINT)", lambda: F.ntile(4).over(_w).cast("bigint")),
-    ("win_percent_rank", "round(percent_rank() OVER {w}, 9)", lambda: F.round(F.percent_rank().over(_w), 9)),
-    ("win_cume_dist", "round(cume_dist() OVER {w}, 9)", lambda: F.round(F.cume_dist().over(_w), 9)),
-    ("win_lag_lead", "i - lag(i, 1, -1) OVER {w} + coalesce(lead(i) OVER {w}, 0)", lambda: F.col("i") - F.lag("i", 1, -1).over(_w) + F.coalesce(F.lead("i").over(_w), F.lit(0))),
+    ("win_ntile", "CAST(ntile(4) OVER {w} AS BIGINT)", lambda: F.ntile(4).over(_w()).cast("bigint")),
+    ("win_percent_rank", "round(percent_rank() OVER {w}, 9)", lambda: F.round(F.percent_rank().over(_w()), 9)),
+    ("win_cume_dist", "round(cume_dist() OVER {w}, 9)", lambda: F.round(F.cume_dist().over(_w()), 9)),
+    ("win_lag_lead", "i - lag(i, 1, -1) OVER {w} + coalesce(lead(i) OVER {w}, 0)", lambda: F.col("i") - F.lag("i", 1, -1).over(_w()) + F.coalesce(F.lead("i").over(_w()), F.lit(0))),
     ("win_first_last_nth", "first_value(i) OVER {f} + last_value(i) OVER {f} * 3 + nth_value(i, 2) OVER {f} * 7", lambda: F.first("i").over(_all()) + F.last("i").over(_all()) * 3 + F.nth_value("i", 2).over(_all()) * 7),
-    ("win_rows", "CAST(sum(i) OVER (PARTITION BY c ORDER BY i ROWS BETWEEN 4 PRECEDING AND CURRENT ROW) AS BIGINT)", lambda: F.sum("i").over(_w.rowsBetween(-4, 0))),
-    ("win_range", "count(*) OVER (PARTITION BY c ORDER BY i RANGE BETWEEN CURRENT ROW AND 800 FOLLOWING)", lambda: F.count("*").over(_w.rangeBetween(0, 800))),
-    ("win_running", "CAST(sum(i % 7) OVER {w} AS BIGINT)", lambda: F.sum(F.pmod("i", F.lit(7))).over(_w)),
+    ("win_rows", "CAST(sum(i) OVER (PARTITION BY c ORDER BY i ROWS BETWEEN 4 PRECEDING AND CURRENT ROW) AS BIGINT)", lambda: F.sum("i").over(_w().rowsBetween(-4, 0))),
+    ("win_range", "count(*) OVER (PARTITION BY c ORDER BY i RANGE BETWEEN CURRENT ROW AND 800 FOLLOWING)", lambda: F.count("*").over(_w().rangeBetween(0, 800))),
+    ("win_running", "CAST(sum(i % 7) OVER {w} AS BIGINT)", lambda: F.sum(F.pmod("i", F.lit(7))).over(_w())),
 ):
     query(_name, f"WITH t AS ({_C}) SELECT i, " + _sql.format(w=_W, f="(PARTITION BY c ORDER BY i ROWS BETWEEN UNBOUNDED PRECEDING AND UNBOUNDED FOLLOWING)") + " AS v FROM t")(lambda spark, sf_dir, f=_f: _clips(spark, sf_dir).select("i", f().alias("v")))
 
 
 def _all():
-    return _w.rowsBetween(Window.unboundedPreceding, Window.unboundedFollowing)
+    return _w().rowsBetween(Window.unboundedPreceding, Window.unboundedFollowing)
 
 
 @query("win_gaps_islands", "WITH t AS (SELECT DISTINCT l_orderkey AS i FROM lineitem WHERE l_returnflag = 'A'), g AS (SELECT i, i - row_number() OVER (ORDER BY i) AS k FROM t) SELECT min(i) AS first, max(i) AS last, count(*) AS n FROM g GROUP BY k")

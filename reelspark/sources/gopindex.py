@@ -17,7 +17,9 @@ def encode(frames: DataFrame, gop_len: int = GOP_LEN, b_run: int = 0, all_intra:
     def run(t: pa.Table) -> pa.Table:
         rows = sorted(zip(t.column("idx").to_pylist(), t.column("raw").to_pylist(), strict=True))
         first = rows[0][0]
-        packets = codec.encode([r for _, r in rows], b_run, all_intra, first)
+        packets = codec.encode([r for _, r in rows], b_run, all_intra)
+        for p in packets:  # a clip may have gaps (an hour without an event has no raster)
+            p["idx"] = rows[p["idx"]][0]
         return pa.table({"source_id": [t.column("source_id")[0].as_py()], "gop_id": [t.column("gop_id")[0].as_py()], "first_idx": [first], "n": pa.array([len(rows)], pa.int32()), "packets": pa.array([packets], _packets())})
 
     return frames.withColumn("gop_id", F.expr(f"idx div {gop_len}")).groupBy("source_id", "gop_id").applyInArrow(run, GOPS)
