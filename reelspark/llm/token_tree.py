@@ -228,8 +228,8 @@ def counts(docs: DataFrame, edits: DataFrame | None = None, path: str | None = N
     ``edits`` may give (doc_id, edits array<struct<lo,hi,new>>), joined on the id; without it each text
     gets ``edits_of``. Arrays of edits should be short against the texts, so a plain join serves.
     """
-    source = docs.select(F.col("doc_id").cast("bigint").alias("doc_id"), "text")
-    if edits is not None:
+    source, given = docs.select(F.col("doc_id").cast("bigint").alias("doc_id"), "text"), edits is not None
+    if given:
         source = source.join(edits.select("doc_id", F.col("edits").cast("array<struct<lo:int,hi:int,new:string>>").alias("edits")), "doc_id", "left")
 
     def run(cols: list[list]) -> list[list]:
@@ -237,7 +237,7 @@ def counts(docs: DataFrame, edits: DataFrame | None = None, path: str | None = N
         out = []
         for row in zip(*cols[1:], strict=True):
             text = row[0] or ""
-            steps = edits_of(text) if edits is None else [(e["lo"], e["hi"], e["new"] or "") for e in row[1] or []]
+            steps = edits_of(text) if not given else [(e["lo"], e["hi"], e["new"] or "") for e in row[1] or []]
             tree = TokenTree(text, split, count)
             before = (tree.tokens, tree.root.pieces)
             for lo, hi, new in steps:
@@ -245,7 +245,7 @@ def counts(docs: DataFrame, edits: DataFrame | None = None, path: str | None = N
             out.append((*before, tree.tokens, tree.root.pieces, tree.encoded))
         return [cols[0], *map(list, zip(*out, strict=True))] if out else [[] for _ in range(6)]
 
-    names = ["doc_id", "text", *(["edits"] if edits is not None else [])]
+    names = ["doc_id", "text", *(["edits"] if given else [])]
     return per_document(source, names, "doc_id bigint, n_tokens bigint, n_pieces bigint, n_tokens_edited bigint, n_pieces_edited bigint, n_encoded bigint", run)
 
 

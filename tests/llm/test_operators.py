@@ -1,0 +1,568 @@
+"""Each corpus operator against brute force, and on tables of odd rows."""
+
+import hashlib
+import itertools
+import re
+from collections import Counter
+
+import duckdb
+import numpy as np
+import pytest
+import regex
+import xxhash
+from pyspark.sql import functions as F
+
+from reelspark.llm import block_search, byte_bpe, license_scan, quality_gam, quality_rules, secret_scan, simhash, source_mix, token_tree, toxicity
+from reelspark.llm.queries import oracle_sql, queries
+
+WORDS = re.compile(r"[^\x20\x09-\x0D]+")
+
+
+def rows_of(df):
+    return sorted((tuple(r) for r in df.collect()), key=lambda r: tuple((v is None, str(v)) for v in r))
+
+
+def test_every_query_is_there():
+    assert sorted(int(re.match(r"op(\d+)_", n)[1]) for n in queries()) == list(range(1, 11))
+
+
+# -- op1 ----------------------------------------------------------------------------------------------------
+
+
+def test_quality_model_on_held_out_rows(spark):
+    sf = "/root/testdata/sf0.01"
+    labels = spark.read.parquet(f"{sf}/labels.parquet")
+    out = quality_gam.digest(spark.read.parquet(f"{sf}/documents.parquet"), labels).join(labels, "doc_id").where("held_out")
+    right, n = out.agg(F.count_if(F.col("predicted") == F.col("quality")), F.count("*")).first()
+    assert n > 50 and right / n >= 0.95
+
+
+def test_quality_of_odd_tables(odd_docs, no_docs, labels, spark):
+    got = quality_gam.digest(odd_docs, labels)
+    assert got.count() == odd_docs.count() and got.where("score IS NULL OR score < 0 OR score > 1").count() == 0
+    assert quality_gam.digest(no_docs, labels).count() == 0
+    none = quality_gam.digest(odd_docs, labels.where("false"))
+    assert {r["score"] for r in none.collect()} == {0.5}
+
+
+def test_model_tables_are_additive():
+    rng = np.random.default_rng(2)
+    x = rng.normal(size=(600, 3))
+    y = ((x[:, 0] > 0) ^ (x[:, 1] > 0)).astype(float)  # only a pair can tell
+    m = quality_gam.fit(x, y)
+    assert (((m.score(x) > 0.5) == y).mean()) > 0.85 and {(0, 1)} <= {(a, b) for a, b, *_ in m.pairs}
+    z = m.intercept + sum(t[np.searchsorted(c, x[:, k])] for k, (c, t) in enumerate(zip(m.cuts, m.tables, strict=True))) + sum(t[np.searchsorted(ca, x[:, a]), np.searchsorted(cb, x[:, b])] for a, b, ca, cb, t in m.pairs)
+    assert np.allclose(z, m.logit(x))
+    assert quality_gam.fit(np.zeros((5, 3)), np.ones(5)).score(np.zeros((1, 3)))[0] > 0.5
+
+
+# -- op2 ----------------------------------------------------------------------------------------------------
+
+
+def slow_fingerprint(text):
+    t = (text or "").translate({c: c + 32 for c in range(65, 91)})
+    w = WORDS.findall(t)
+    if not w:
+        return 0
+    h = [xxhash.xxh64_intdigest(" ".join(w[i : i + 4]).encode(), 42) for i in range(max(1, len(w) - 3))]
+    return sum(1 << b for b in range(64) if 2 * sum(x >> b & 1 for x in h) > len(h))
+
+
+def slow_groups(rows):
+    prints = [slow_fingerprint(r[1]) for r in rows]
+    parent = list(range(len(rows)))
+
+    def root(i):
+        while parent[i] != i:
+            i = parent[i]
+        return i
+
+    for i, j in itertools.combinations(range(len(rows)), 2):
+        if (prints[i] ^ prints[j]).bit_count() <= 4:
+            parent[root(j)] = root(i)
+    least = {}
+    for i, r in enumerate(rows):
+        if r[0] is not None:
+            least[root(i)] = min(least.get(root(i), r[0]), r[0])
+    return sorted(((r[0], f"{p:016x}", least.get(root(i))) for i, (r, p) in enumerate(zip(rows, prints, strict=True))), key=lambda r: tuple((v is None, str(v)) for v in r))
+
+
+def test_near_duplicates_equal_brute_force(spark, docs, odd_docs, odd_rows):
+    assert rows_of(simhash.near_duplicates(odd_docs)) == slow_groups(odd_rows)
+    rows = [tuple(r) for r in docs.select("doc_id", "text").collect()]
+    assert rows_of(simhash.near_duplicates(docs)) == slow_groups(rows)
+
+
+def test_near_duplicates_of_nothing(no_docs):
+    assert simhash.near_duplicates(no_docs).count() == 0 and simhash.keep_one(no_docs).count() == 0
+
+
+@pytest.mark.parametrize(("blocks", "tile"), [(5, 4096), (5, 7), (6, 64), (7, 7)])
+def test_links_survive_any_block_choice_and_tile(spark, blocks, tile):
+    rng = np.random.default_rng(4)
+    base = rng.integers(0, 1 << 63, 25, dtype=np.int64).tolist()
+    fps = {simhash.signed(v) for v in base}
+    for v in base:
+        for _ in range(6):
+            w = v
+            for b in rng.choice(64, rng.integers(1, 7), replace=False):
+                w ^= 1 << int(b)
+            fps.add(simhash.signed(w))
+    fps |= {i << 13 for i in range(40)}  # one hot bucket
+    simhash.ensure_checkpoint_dir(spark.range(1))
+    nodes = spark.createDataFrame([(f,) for f in fps], "fp bigint")
+    got = simhash.components(nodes.select(F.col("fp").alias("node")), simhash.edges(nodes, len(fps), blocks, tile)).collect()
+    want = {f: f for f in fps}
+
+    def root(f):
+        while want[f] != f:
+            f = want[f]
+        return f
+
+    for a, b in itertools.combinations(fps, 2):
+        if ((a ^ b) & (2**64 - 1)).bit_count() <= 4:
+            x, y = sorted((root(a), root(b)))
+            want[y] = x
+    assert {r["node"]: r["root"] for r in got} == {f: root(f) for f in fps}
+
+
+def test_keep_one_of_each_group(odd_docs, odd_rows):
+    kept = simhash.keep_one(odd_docs)
+    assert kept.columns == odd_docs.columns
+    groups = {c for _, _, c in slow_groups(odd_rows)}
+    both = [r[0] for r in odd_rows if r[0] == 13]  # two texts under one id are two documents
+    assert sorted(r["doc_id"] for r in kept.collect()) == sorted([*groups, *both[1:]])
+
+
+# -- op3 ----------------------------------------------------------------------------------------------------
+
+
+def slow_targets(sizes):
+    """Water-filling by repetition: {source: size} -> {source: target}."""
+    names = sorted((s for s in sizes if s is not None), key=lambda s: s.encode()) + ([None] if None in sizes else [])
+    weight = {s: 1 + k % 3 for k, s in enumerate(names)}
+    left, total, out = set(names), sum(sizes.values()), {}
+    while left:
+        rate = (total - sum(out.values())) / sum(weight[s] for s in left)
+        over = {s for s in left if rate * weight[s] > 3 * sizes[s]}
+        if not over:
+            return out | {s: rate * weight[s] for s in left}
+        out |= {s: 3.0 * sizes[s] for s in over}
+        left -= over
+    return out
+
+
+def check_mix(docs):
+    got = source_mix.digest(docs)
+    rows = docs.select("doc_id", "source", "text").collect()
+    out = got.collect()
+    assert len(out) == len(rows)
+    assert Counter((r["doc_id"], r["size"]) for r in out) == Counter((r["doc_id"], len(WORDS.findall(r["text"] or ""))) for r in rows)
+    sizes = Counter()
+    for r in rows:
+        sizes[r["source"]] += len(WORDS.findall(r["text"] or ""))
+    targets = slow_targets(sizes)
+    assert all(0 <= r["taken"] <= 3 * r["size"] for r in out)
+    by = Counter()
+    for r in out:
+        by[r["source_size"], round(r["target"], 6)] += r["taken"]
+    want = Counter()
+    for s, t in targets.items():
+        want[sizes[s], round(t, 6)] += t
+    assert set(by) == set(want)
+    for k, t in want.items():
+        assert abs(by[k] - t) <= max(40, 0.02 * t), (k, by[k], t)
+    assert rows_of(got) == rows_of(source_mix.digest(docs.repartition(5)))
+    return out
+
+
+def test_mix_meets_its_targets(docs):
+    check_mix(docs)
+
+
+def test_mix_of_odd_tables(odd_docs, no_docs, spark):
+    check_mix(odd_docs)
+    assert source_mix.digest(no_docs).count() == 0 and source_mix.mixed(no_docs).count() == 0
+    blank = spark.createDataFrame([(1, "", "a"), (2, None, None)], "doc_id bigint, text string, source string")
+    assert {(r["size"], r["target"], r["taken"]) for r in source_mix.digest(blank).collect()} == {(0, 0.0, 0)}
+    tiny = spark.createDataFrame([(1, "w", "a"), (2, "word " * 5000, "b"), (3, "word " * 5000, "c")], "doc_id bigint, text string, source string")
+    check_mix(tiny)
+
+
+def test_mixed_documents_hold_the_taken_words(odd_docs, docs):
+    for d in (odd_docs, docs):
+        m = source_mix.mixed(d)
+        assert m.columns == d.columns
+        words = Counter()
+        for r in m.collect():
+            words[r["doc_id"]] += len(WORDS.findall(r["text"]))
+            assert "n_chars" not in d.columns or r["n_chars"] == len(r["text"])
+        want = Counter()
+        for r in source_mix.digest(d).collect():
+            want[r["doc_id"]] += r["taken"]
+        total, asked = sum(words.values()), sum(want.values())
+        assert abs(total - asked) <= 0.02 * asked + 40
+
+
+def test_layout_is_the_mix(docs):
+    source_mix.ensure_checkpoint_dir(docs)
+    rows = docs.select("doc_id", "source", source_mix.word_count(F.col("text")).alias("size")).checkpoint()
+    mix = source_mix.Mix(rows, ["doc_id"])
+    taken = {r["doc_id"]: r["taken"] for r in mix.taken().collect() if r["taken"]}
+    laid = {r["doc_id"]: r["n"] for r in mix.layout().groupBy("doc_id").agg(F.sum("n_piece").alias("n")).collect()}
+    assert laid == taken
+    n, d = mix.slots.count(), mix.slots.select("shard", "position").distinct().count()
+    assert n == d  # every slot of the output is filled once
+
+
+@pytest.mark.parametrize("n", [1, 2, 3, 5, 16, 17, 100, 1025])
+def test_permutation(spark, n):
+    v = [r[0] for r in spark.range(n).select(source_mix.permuted(F.col("id"), F.lit(n).cast("bigint"), F.lit(3))).collect()]
+    assert sorted(v) == list(range(n))
+
+
+# -- op4 ----------------------------------------------------------------------------------------------------
+
+
+def slow_license(text):
+    w = re.findall(r"[^\x00-\x2F\x3A-\x60\x7B-\x7F]+", (text or "").translate({c: c + 32 for c in range(65, 91)}))
+    places = [(i, label) for phrase, label in license_scan.PHRASES.items() for i in range(len(w)) if w[i : i + len(phrase.split())] == phrase.split()]
+    at = [i for i, _ in places]
+    return len(w), len(places), min(at, default=None), max(at, default=None), ",".join(sorted({x for _, x in places}))
+
+
+def test_license_base_columns(docs, odd_docs, no_docs):
+    for d in (docs, odd_docs):
+        want = Counter((r["doc_id"], *slow_license(r["text"])) for r in d.select("doc_id", "text").collect())
+        out = license_scan.digest(d).collect()
+        assert Counter((r["doc_id"], r["n_words"], r["n_base"], r["first_word"], r["last_word"], r["base_labels"]) for r in out) == want
+        for r in out:
+            assert set(filter(None, r["base_labels"].split(","))) <= set(r["labels"].split(",")) and 0 <= r["score"] <= 1
+    assert license_scan.digest(no_docs).count() == 0
+
+
+def test_license_with_edits():
+    s = license_scan.scan("So: Licensd under the Apach Licence, version 2.0!")
+    assert s["exact"] == [] and [(a, b, x) for a, b, x, *_ in s["fuzzy"]] == [(1, 8, "apache")]
+    assert license_scan.scan("GNU, General -- Public\nLicense; mit license mit license")["exact"] == [(0, "gpl"), (4, "mit"), (6, "mit")]
+    assert license_scan.scan("the apaches license their mits")["fuzzy"] == []
+
+
+def test_seeds_miss_nothing_that_the_pattern_finds():
+    import random
+
+    rng = random.Random(5)
+    for notice in license_scan.NOTICES:
+        for _ in range(15):
+            t = list(notice)
+            for _ in range(rng.randint(0, license_scan.errors(notice))):
+                at = rng.randrange(1, len(t) - 1)
+                rng.choice([lambda: t.pop(at), lambda: t.insert(at, "q"), lambda: t.__setitem__(at, "q")])()
+            flat = "before " + "".join(t) + " after"
+            whole = [m.span() for m in license_scan.machine()[1][notice].finditer(flat)]
+            found = [(a, b) for a, b, label, _ in license_scan.fuzzy(flat) if label == license_scan.NOTICES[notice]]
+            assert bool(whole) <= bool(found), (notice, flat)
+
+
+# -- op5 ----------------------------------------------------------------------------------------------------
+
+
+@pytest.fixture(scope="module")
+def forest(spark):
+    return secret_scan.compile_forest(secret_scan.train(secret_scan.labelled_findings(spark)))
+
+
+def test_forest_on_findings_it_has_not_seen(spark, forest):
+    f = secret_scan.labelled_findings(spark, 9000).where(F.col("value").isNotNull())
+    f = f.select("label", F.array(secret_scan.features(F.col("before"), F.col("value"), F.col("after"))).alias("xs")).select("label", F.transform("xs", lambda x: secret_scan.forest_score(x, forest))[0].alias("s"))
+    right, n = f.agg(F.count_if((F.col("s") >= 0.5) == (F.col("label") == 1)), F.count("*")).first()
+    assert right / n > 0.98
+
+
+def test_compiled_forest_equals_the_library(spark):
+    from pyspark.ml.functions import array_to_vector, vector_to_array
+
+    f = secret_scan.labelled_findings(spark, 800)
+    model = secret_scan.train(f, trees=5, depth=4)
+    x = f.select(secret_scan.features(F.col("before"), F.col("value"), F.col("after")).alias("a")).withColumn("x", array_to_vector("a"))
+    both = model.transform(x).select(vector_to_array("probability")[1].alias("p"), F.array("a").alias("xs")).select("p", F.transform("xs", lambda v: secret_scan.forest_score(v, secret_scan.compile_forest(model)))[0].alias("q"))
+    assert both.where("abs(p - q) > 1e-9").count() == 0
+
+
+def test_findings_have_right_spans(spark, forest, docs, odd_docs, no_docs):
+    for d in (docs, odd_docs):
+        text = {r["doc_id"]: r["text"] for r in d.collect()}
+        found = secret_scan.findings(d, forest).collect()
+        assert all(text[r["doc_id"]][r["start"] : r["end"]] == r["value"] for r in found)
+        want = sum(len(re.findall(secret_scan.CANDIDATE, t or "")) for t in (r["text"] for r in d.select("text").collect()))
+        assert len(found) == want
+    assert secret_scan.findings(no_docs, forest).count() == 0
+    many = spark.createDataFrame([(1, " ".join(f"id{i:020d}" for i in range(1300)))], "doc_id bigint, text string")
+    out = sorted((r["start"], r["value"]) for r in secret_scan.findings(many, forest).collect())
+    assert out == [(23 * i, f"id{i:020d}") for i in range(1300)]
+
+
+def test_masking_changes_secrets_only(odd_docs, no_docs, forest):
+    before = {(r["doc_id"], r["text"]) for r in odd_docs.collect()}
+    m = secret_scan.masked(odd_docs, forest)
+    assert m.columns == odd_docs.columns and m.count() == odd_docs.count()
+    changed = {(r["doc_id"], r["text"]) for r in m.collect()} - before
+    assert {d for d, _ in changed} == {14}
+    ((_, text),) = changed
+    assert 'token = "[SECRET]"' in text
+    assert secret_scan.masked(no_docs, forest).count() == 0
+
+
+def test_what_is_no_secret(spark, forest):
+    rows = [(1, "commit 04dbebab91ab85687d33eeaaf9ac699e1188f962 was good"), (2, "card 4644348398010899 and"), (3, "uuid 70a37d8f-972f-2494-837f-9dba8364cbb4 here"), (4, "api_key = 'ghp_abcdefghij0123456789ABCDEFGHIJ123456'"), (5, "-----BEGIN RSA PRIVATE KEY-----\nabc")]
+    out = {r["doc_id"]: r["is_secret"] for r in secret_scan.findings(spark.createDataFrame(rows, "doc_id bigint, text string"), forest).collect()}
+    assert out == {1: False, 2: False, 3: False, 4: True, 5: True}
+
+
+# -- op6 and op7 --------------------------------------------------------------------------------------------
+
+
+@pytest.fixture(scope="module")
+def reference_bpe():
+    import base64
+
+    import public_tokenizers
+    import tiktoken
+
+    with open(public_tokenizers.path(byte_bpe.RANKS), "rb") as f:
+        ranks = {base64.b64decode(a): int(b) for a, b in map(bytes.split, f)}
+    return tiktoken.Encoding("own", pat_str=public_tokenizers.PATTERN, mergeable_ranks=ranks, special_tokens={})
+
+
+def test_tokens_equal_the_reference_library(docs, odd_docs, no_docs, reference_bpe):
+    for d in (docs, odd_docs):
+        want = Counter()
+        for r in d.select("doc_id", "text").collect():
+            ids = reference_bpe.encode_ordinary(r["text"] or "")
+            want[r["doc_id"], len(ids), hashlib.sha256(",".join(map(str, ids)).encode()).hexdigest(), hashlib.sha256((r["text"] or "").encode()).hexdigest()] += 1
+        assert Counter(tuple(r) for r in byte_bpe.digest(d).collect()) == want
+    assert byte_bpe.digest(no_docs).count() == 0
+
+
+def test_odd_strings_offsets_and_split_characters(reference_bpe):
+    import random
+
+    rng, bpe = random.Random(3), byte_bpe.shared()
+    odd = ["", "   ", "a" * 1000, " " * 333 + "x", "-" * 777, "日本語テキスト" * 20, "\U0001f600" * 9, "<|endoftext|>", "it's we'RE", "\x00\x01"] + ["".join(rng.choice("ab =-\n é日\U0001f600_1'") for _ in range(rng.randint(1, 60))) for _ in range(1500)]
+    for t in odd:
+        ids = bpe.encode(t)
+        assert ids == reference_bpe.encode_ordinary(t) and bpe.decode_bytes(ids) == t.encode()
+        spans = bpe.offsets(ids)
+        assert [t.encode()[a:b] for a, b in spans] == [bpe.bytes[i] for i in ids]
+        dec = byte_bpe.StreamDecoder(bpe)
+        assert "".join(dec.feed([i]) for i in ids) + dec.feed([], True) == t
+
+
+def test_round_trip_of_a_table(odd_docs):
+    back = byte_bpe.decode(byte_bpe.encode(odd_docs))
+    assert Counter((r["doc_id"], r["text"]) for r in back.collect()) == Counter((r["doc_id"], r["text"] or "") for r in odd_docs.collect())
+
+
+def test_memory_of_pieces_starts_anew():
+    bpe = byte_bpe.shared()
+    before, byte_bpe.REMEMBER = byte_bpe.REMEMBER, 50
+    try:
+        t = " ".join(f"w{i}" for i in range(300))
+        assert bpe.decode_bytes(bpe.encode(t)) == t.encode()
+    finally:
+        byte_bpe.REMEMBER = before
+
+
+def test_token_tree_after_edits():
+    import random
+
+    rng = random.Random(5)
+    split, count = token_tree.bpe_tools()
+    parts = ["a", "  ", "'s", " the", "1234", "\n", "\n   ", "é", "日本", "--", "!'re", "   "]
+    for start in ["", "  ", " \n\n   x", "".join(rng.choice(parts) for _ in range(3000))]:
+        for _ in range(12):
+            tree, text = token_tree.TokenTree(start, split, count), start
+            for _ in range(8):
+                lo = rng.randint(0, len(text))
+                hi = min(len(text), lo + rng.choice([0, 1, 5, 50, len(text)]))
+                new = "".join(rng.choice(parts) for _ in range(rng.randint(0, 6))) * rng.choice([1, 1, 1, 100])
+                text = text[:lo] + new + text[hi:]
+                tree.edit(lo, hi, new)
+                full = list(split(text, 0))
+                assert (tree.text, tree.tokens, tree.root.pieces, tree.root.chars) == (text, sum(count(full)), len(full), len(text))
+            at = rng.randint(0, len(text))
+            ends = list(itertools.accumulate(map(len, full)))
+            assert tree.tokens_before(at) == sum(c for c, e in zip(count(full), ends, strict=True) if e <= at)
+
+
+def test_token_counts_of_tables(docs, odd_docs, no_docs, reference_bpe, spark):
+    for d in (docs, odd_docs):
+        got = Counter((r["doc_id"], r["n_tokens"], r["n_tokens_edited"]) for r in token_tree.digest(d).collect())
+        want = Counter()
+        for r in d.select("doc_id", "text").collect():
+            t = r["text"] or ""
+            e = t
+            for lo, hi, new in token_tree.edits_of(t):
+                e = e[:lo] + new + e[hi:]
+            want[r["doc_id"], len(reference_bpe.encode_ordinary(t)), len(reference_bpe.encode_ordinary(e))] += 1
+        assert got == want
+    assert token_tree.digest(no_docs).count() == 0
+    own = spark.createDataFrame([(1, [(0, 3, "new words")])], "doc_id bigint, edits array<struct<lo:int,hi:int,new:string>>")
+    r = token_tree.counts(spark.createDataFrame([(1, "old words here")], "doc_id bigint, text string"), own).first()
+    assert r["n_tokens_edited"] == len(reference_bpe.encode_ordinary("new words words here"))
+
+
+def test_edits_touch_few_pieces(docs):
+    r = token_tree.digest(docs).agg(F.sum("n_encoded"), F.sum("n_pieces")).first()
+    assert r[0] < 0.2 * r[1]
+
+
+# -- op8 ----------------------------------------------------------------------------------------------------
+
+
+def test_rules_equal_sql(odd_docs, docs, no_docs, tmp_path):
+    for k, d in enumerate((docs, odd_docs, no_docs)):
+        d.select("doc_id", "text").coalesce(1).write.parquet(str(tmp_path / str(k)))
+        c = duckdb.connect()
+        c.sql(f"CREATE VIEW documents AS SELECT * FROM '{tmp_path}/{k}/*.parquet'")
+        rel = c.sql(oracle_sql()["op8_quality_rules"])
+        got = quality_rules.digest(d)
+        at = [rel.columns.index(x) for x in got.columns]
+        assert rows_of(got) == sorted((tuple(r[i] for i in at) for r in rel.fetchall()), key=lambda r: tuple((v is None, str(v)) for v in r))
+
+
+def test_rule_forms_agree(odd_docs, docs):
+    for d in (odd_docs, docs):
+        for r in quality_rules.ledger(d).collect():
+            assert r["failed"] == quality_rules.failed_bits(tuple(r[m] for m in quality_rules.MEASURES))
+        kept = quality_rules.apply_rules(d)
+        assert kept.columns == d.columns and kept.count() == quality_rules.ledger(d).where(quality_rules.verdict()).count()
+
+
+def test_wide_texts_take_the_same_way():
+    import random
+
+    rng = random.Random(1)
+    texts = [" ".join(rng.choice("abcd") for _ in range(rng.randint(0, 60))) for _ in range(200)]
+    want, before = [quality_rules.measure(t) for t in texts], quality_rules.WIDE
+    try:
+        quality_rules.WIDE = 0
+        assert [quality_rules.measure(t) for t in texts] == want
+    finally:
+        quality_rules.WIDE = before
+
+
+def test_ablation_is_bit_arithmetic(docs):
+    book = quality_rules.ledger(docs).cache()
+    rows = {r["rule"]: r for r in quality_rules.ablation(book).collect()}
+    failed = [r["failed"] for r in book.collect()]
+    for k, rule in enumerate(quality_rules.RULES):
+        assert rows[rule]["n_failed"] == sum(f >> k & 1 for f in failed)
+        assert rows[rule]["kept_without"] == sum(not f & ~(1 << k) for f in failed)
+    assert quality_rules.summary(book).first()["any_failed"] == np.bitwise_or.reduce(failed)
+
+
+# -- op9 ----------------------------------------------------------------------------------------------------
+
+
+def slow_nearest(rows, k=20):
+    fine = {}
+    for i, v in rows:
+        if i is not None and v and all(x is not None and np.isfinite(x) for x in v) and any(v):
+            fine[i, tuple(v)] = None
+    out = []
+    for q, a in fine:
+        if q % 20:
+            continue
+        scored = []
+        for c, b in fine:
+            if c != q and len(b) == len(a):
+                s = 0.0
+                for n, (x, y) in enumerate(zip(a, b, strict=True)):
+                    s = x * y if n == 0 else s + x * y
+                scored.append((-s, c))
+        out += [(q, r, c, -s) for r, (s, c) in enumerate(sorted(scored)[:k], 1)]
+    return sorted(out)
+
+
+@pytest.mark.parametrize("groups", [(16_384, 16_384), (3, 40)])
+def test_nearest_equals_brute_force(spark, groups):
+    rng = np.random.default_rng(6)
+    same = rng.normal(size=8).tolist()
+    rows = [(i, rng.normal(size=8).tolist()) for i in range(300)] + [(1000 + i, same) for i in range(120)] + [(2000, None), (2020, []), (2040, [0.0] * 8), (2060, [float("nan")] * 8), (2080, [None] * 8), (None, same), (2100, [1.0, 2.0]), (2101, [2.0, 1.0]), (0, rng.normal(size=8).tolist()), (5, [float("inf")] * 8)]
+    rows += rows[40:60]
+    df = spark.createDataFrame(rows, "vec_id bigint, embedding array<double>").withColumn("rank", F.lit("x"))
+    clean = [r for r in rows if not (r[0] == 0 and r is not rows[0])]  # one query per id
+    df = df.where("NOT (vec_id = 0)").unionByName(spark.createDataFrame([rows[0]], "vec_id bigint, embedding array<double>").withColumn("rank", F.lit("x")))
+    got = sorted(tuple(r) for r in block_search.nearest(df, F.col("vec_id") % 20 == 0, 20, *groups).collect())
+    assert got == slow_nearest(clean)
+
+
+def test_nearest_of_few_and_none(spark):
+    d = "vec_id bigint, embedding array<float>"
+    assert block_search.digest(spark.createDataFrame([], d)).count() == 0
+    assert block_search.digest(spark.createDataFrame([(20, [1.0])], d)).count() == 0
+    assert rows_of(block_search.digest(spark.createDataFrame([(20, [1.0]), (3, [2.0]), (1, [2.0])], d))) == [(20, 1, 1, 2.0), (20, 2, 3, 2.0)]
+
+
+def test_bounds_hold():
+    rng = np.random.default_rng(8)
+    a, b = rng.normal(size=(50, 64)), rng.normal(size=(60, 64))
+    ca, sa, ea, na = block_search.quantise(a)
+    cb, sb, eb, nb = block_search.quantise(b)
+    near = (ca.astype(np.float32) @ cb.astype(np.float32).T) * sa[:, None] * sb[None]
+    bound = ea[:, None] * np.linalg.norm(b, axis=1)[None] + na[:, None] * eb[None]
+    assert (np.abs(near - a @ b.T) <= bound * (1 + 1e-6)).all() and bound.mean() < 1.0
+
+
+# -- op10 ---------------------------------------------------------------------------------------------------
+
+
+def slow_segments(scores):
+    """Maximal scoring segments by their definition: highest-scoring (of ties, shortest) run, then both sides."""
+    best, at = 0.0, None
+    for i in range(len(scores)):
+        s = 0.0
+        for j in range(i, len(scores)):
+            s += scores[j]
+            if s > best + 1e-12 or (at and abs(s - best) < 1e-12 and j - i < at[1] - at[0]):
+                best, at = s, (i, j)
+    if at is None:
+        return []
+    i, j = at
+    left, right = slow_segments(scores[:i]), slow_segments(scores[j + 1 :])
+    return left + [(i, j, best)] + [(a + j + 1, b + j + 1, s) for a, b, s in right]
+
+
+def test_segments_equal_their_definition():
+    import random
+
+    rng = random.Random(9)
+    for _ in range(300):
+        n = rng.randint(0, 25)
+        hits = sorted((i, rng.choice([0.5, 1.0, 1.75, 3.5])) for i in rng.sample(range(n), rng.randint(0, n)))
+        scores = [-0.25] * n
+        for i, w in hits:
+            scores[i] += w
+        got = toxicity.segments(hits, 0.25)
+        want = slow_segments(scores)
+        assert [round(s, 9) for _, _, s in got] == [round(s, 9) for _, _, s in want]
+
+
+def test_toxicity_on_held_out_rows(spark):
+    sf = "/root/testdata/sf0.1"
+    labels = spark.read.parquet(f"{sf}/labels.parquet")
+    out = toxicity.digest(spark.read.parquet(f"{sf}/documents.parquet"), labels).join(labels, "doc_id").where("held_out")
+    r = out.agg(F.expr("count_if(predicted = 1 AND toxic = 1) AS tp"), F.expr("count_if(predicted = 1 AND toxic = 0) AS fp"), F.expr("count_if(toxic = 1) AS p")).first()
+    assert r["tp"] / r["p"] > 0.85 and r["fp"] <= 0.05 * r["p"]
+
+
+def test_toxicity_of_odd_tables(odd_docs, no_docs, labels):
+    got = toxicity.digest(odd_docs, labels)
+    assert got.count() == odd_docs.count() and got.where("score IS NULL OR score < 0 OR score > 1").count() == 0
+    assert toxicity.digest(no_docs, labels).count() == 0
+    assert toxicity.digest(odd_docs, labels.where("false")).where("predicted = 1").count() == 0
+
+
+def test_words_of_unicode():
+    assert toxicity.words_of("Été_1 naïve42 ok") == ["été", "naïve", "ok"] and regex.match(r"\w", "é")
