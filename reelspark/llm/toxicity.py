@@ -91,10 +91,12 @@ def segments(hits: list[tuple[int, float]], drift: float = DRIFT) -> list[tuple[
 def evidence(words: list[str], model: Model) -> tuple[list[tuple[int, int, float]], tuple[float, float, float]]:
     """The segments, and what the curve takes: best segment as a standard Gumbel excess, log number and sum of the significant ones."""
     a, b = LENGTHS
-    get, w4, hits = model.weights.get, model.weights, []
+    get, known, hits, seen = model.weights.get, model.weights, [], {}
     for i, w in enumerate(words):
-        if w[:a] in w4 or w[:b] + "$" in w4:
-            hits.append((i, max(get(w[:a], 0.0) if len(w) >= a else 0.0, get(w[:b] + "$", 0.0))))
+        if w[:a] in known or w[:b] + "$" in known:
+            # weights come from counts of documents: the k-th time that a text has a token adds a k-th of it
+            k = seen[w[:b]] = seen.get(w[:b], 0) + 1
+            hits.append((i, max(get(w[:a], 0.0) if len(w) >= a else 0.0, get(w[:b] + "$", 0.0)) / math.sqrt(k)))
     if not hits:
         return [], (0.0, 0.0, 0.0)
     found = segments(hits)
