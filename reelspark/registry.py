@@ -27,5 +27,5 @@ def load() -> None:
     """Imports every module that registers queries."""
     import importlib
 
-    for m in ("operators.relational", "operators.joins", "operators.windows", "functions.scalar", "functions.udfs", "streaming.queries", "sources.io", "workloads.lifting", "workloads.rendering", "workloads.delivery", "workloads.access", "workloads.search", "workloads.filters", "workloads.studies"):
+    for m in ("operators.relational", "operators.joins", "operators.windows", "functions.scalar", "functions.udfs", "streaming.queries", "sources.io", "workloads.lifting", "workloads.rendering", "workloads.delivery", "workloads.access", "workloads.search", "workloads.filters", "workloads.studies", "workloads.measures"):
         importlib.import_module(f"reelspark.{m}")
