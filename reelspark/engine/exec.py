@@ -16,6 +16,7 @@ from pyspark.sql import functions as F
 from reelspark.engine import kernels
 from reelspark.engine.core import Engine, EngineConfig
 from reelspark.model.schemas import NODE, STATS
+from reelspark.operators.joins import sized_broadcast
 from reelspark.plans.schedule import located, references
 from reelspark.sources import codec, gopindex
 
@@ -51,7 +52,7 @@ def run_segment(spec: list[dict], gops: list[dict], config: EngineConfig) -> tup
 
 
 def _packed(gops: DataFrame, sources: DataFrame) -> DataFrame:
-    return gops.join(F.broadcast(sources.select("source_id", "width", "height", "fmt")), "source_id")
+    return gops.join(sized_broadcast(sources.select("source_id", "width", "height", "fmt")), "source_id")
 
 
 def _touched(spec: DataFrame, gop_len: int) -> DataFrame:
@@ -65,7 +66,7 @@ def _segment_groups(spec: DataFrame, gops: DataFrame, sources: DataFrame, gop_le
 
 
 def segment_local(spec: DataFrame, gops: DataFrame, sources: DataFrame, gop_len: int, config: EngineConfig = EngineConfig()) -> DataFrame:
-    """Rendered frames (spec_id, gen, w, h, fmt, data). ``sources`` is the catalogue of the spec's own sources: small, broadcast."""
+    """Rendered frames (spec_id, gen, w, h, fmt, data). The catalogue is broadcast if it is small (counted), else joined."""
 
     def run(left: pa.Table, right: pa.Table) -> pa.Table:
         spec_rows = left.to_pylist()
@@ -103,7 +104,7 @@ def decode_exchange(spec: DataFrame, gops: DataFrame, gop_len: int) -> DataFrame
 def gop_exchange(spec: DataFrame, gops: DataFrame, sources: DataFrame, gop_len: int) -> DataFrame:
     frames = decode_exchange(spec, gops, gop_len)
     refs = references(spec)
-    inputs = refs.join(frames, ["source_id", "idx"]).join(F.broadcast(sources.select("source_id", "width", "height", "fmt")), "source_id")
+    inputs = refs.join(frames, ["source_id", "idx"]).join(sized_broadcast(sources.select("source_id", "width", "height", "fmt")), "source_id")
     per_gen = inputs.groupBy("spec_id", "gen").agg(F.collect_list(F.struct("source_id", "idx", "raw", "width", "height", "fmt")).alias("frames"))
     joined = spec.select("spec_id", "gen", "nodes").join(per_gen, ["spec_id", "gen"])
     return evaluate(joined)
