@@ -39,7 +39,7 @@ class Node:
 
     def renew(self) -> None:
         if self.kids is not None:
-            self.chars, self.tokens, self.pieces = (sum(getattr(k, x) for k in self.kids) for x in ("chars", "tokens", "pieces"))
+            self.chars, self.tokens, self.pieces = sum([k.chars for k in self.kids]), sum([k.tokens for k in self.kids]), sum([k.pieces for k in self.kids])
         else:
             self.chars, self.tokens, self.pieces = sum(self.lengths), sum(self.counts), len(self.lengths)
 
@@ -60,7 +60,7 @@ class TokenTree:
         """``split(text, at)`` yields pieces from a boundary on; ``count`` gives their token counts."""
         self.text, self.split, self.count = text, split, count
         pieces = list(split(text, 0))
-        self.root = raised(leaves_of([len(p) for p in pieces], count(pieces)))
+        self.root = raised(leaves_of(list(map(len, pieces)), count(pieces)))
         self.encoded = 0  # pieces encoded by edits
 
     @property
@@ -189,22 +189,18 @@ def bpe_tools(path: str | None = None, pattern: str | None = None) -> tuple[Call
     bpe = byte_bpe.shared(path, pattern)
 
     def split(text: str, at: int):
-        if at == 0:
-            for part in bpe.pieces(text):
-                yield from part
-        else:
-            for m in bpe.pattern.finditer(text, at):
-                yield m.group()
+        return itertools.chain.from_iterable(bpe.pieces(text)) if at == 0 else (m.group() for m in bpe.pattern.finditer(text, at))
 
     def count(pieces: list[str]) -> list[int]:
         out: list[int] = []
         for at in range(0, len(pieces), 100_000):  # no more than the memory of known pieces can hold
             part = pieces[at : at + 100_000]
             try:
-                out += [len(bpe.known[p]) for p in part]
+                found = list(map(len, map(bpe.known.__getitem__, part)))
             except KeyError:
                 bpe.learn(part)
-                out += [len(bpe.known[p]) for p in part]
+                found = list(map(len, map(bpe.known.__getitem__, part)))
+            out += found
         return out
 
     return split, count
