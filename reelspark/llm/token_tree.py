@@ -57,9 +57,9 @@ def raised(nodes: list[Node]) -> Node:
 
 class TokenTree:
     def __init__(self, text: str, split: Callable, count: Counter):
-        """``split(text, at)`` yields pieces from a boundary on; ``count`` gives their token counts."""
+        """``split(text, at)`` yields pieces from a boundary on, lazily (``at`` None: all at once); ``count`` gives their token counts."""
         self.text, self.split, self.count = text, split, count
-        pieces = list(split(text, 0))
+        pieces = list(split(text, None))
         self.root = raised(leaves_of(list(map(len, pieces)), count(pieces)))
         self.encoded = 0  # pieces encoded by edits
 
@@ -188,8 +188,8 @@ class TokenTree:
 def bpe_tools(path: str | None = None, pattern: str | None = None) -> tuple[Callable, Counter]:
     bpe = byte_bpe.shared(path, pattern)
 
-    def split(text: str, at: int):
-        return itertools.chain.from_iterable(bpe.pieces(text)) if at == 0 else (m.group() for m in bpe.pattern.finditer(text, at))
+    def split(text: str, at: int | None):
+        return itertools.chain.from_iterable(bpe.pieces(text)) if at is None else (m.group() for m in bpe.pattern.finditer(text, at))
 
     def count(pieces: list[str]) -> list[int]:
         out: list[int] = []
@@ -214,7 +214,7 @@ def edits_of(text: str) -> list[tuple[int, int, str]]:
     gone = min(200, n // 8)
     mid = len(head) + n // 2
     end = len(head) + n - gone
-    last = text.split()[-1] if text.split() else ""
+    last = (text.rsplit(None, 1) or [""])[-1]
     return [(0, 0, head), (mid, mid + gone, ""), (end, end, " " + last)]
 
 
