@@ -197,3 +197,28 @@ def set_prefetch(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Frames to fetch for segment 1 that segment 0 has not brought: need set less pool."""
     r = plan.references(task_spec(spark, sf_dir, "mask_label"))
     return r.where("gen BETWEEN 48 AND 95").select("source_id", "idx").subtract(r.where("gen < 48").select("source_id", "idx"))
+
+
+@query("lift_annotators", _LIFT)
+def lift_annotators(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The box-and-label task as a script with annotators: its detections come to the driver grouped by frame, as they would to
+    a user's script; the expressions equal those of the join."""
+    from reelspark.annot import annotators
+
+    by_frame: dict[int, list[dict]] = {}
+    for r in derive.detections(spark, sf_dir).orderBy("frame", "ord").toLocalIterator():
+        by_frame.setdefault(r["frame"], []).append(r.asDict())
+
+    def script(imaging) -> None:
+        clip, out = imaging.open_clip("main"), imaging.new_clip()
+        both = annotators.Chain(imaging, annotators.Box(imaging), annotators.Label(imaging))
+        while True:
+            at = clip.position()
+            ok, frame = clip.read()
+            if not ok:
+                break
+            out.write(both.annotate(frame, by_frame.get(at, ())))
+        out.close()
+
+    env = shim.ClipEnv.of(task_sources(spark, sf_dir), ["main"])
+    return _lift_columns(shim.as_spec(spark, shim.run(script, env)))
