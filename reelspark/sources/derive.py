@@ -140,10 +140,12 @@ def detections(spark: SparkSession, sf_dir: str) -> DataFrame:
     """(frame, ord, x1, y1, x2, y2, cls, conf, text, mask_id): ``ord`` ranks a frame's objects by the whole row."""
     li, part = table(spark, sf_dir, "lineitem"), table(spark, sf_dir, "part").select("p_partkey", "p_name")
     n_masks = table(spark, sf_dir, "embeddings").count()
-    order = Window.partitionBy("l_orderkey").orderBy("l_linenumber", "l_partkey", "l_suppkey", "l_quantity", "l_extendedprice", "l_shipdate")
+    # named before the window, so that a filter on the frame passes through it to the scan
+    rows = li.join(part, F.col("l_partkey") == F.col("p_partkey"), "left").withColumn("frame", F.col("l_orderkey"))
+    order = Window.partitionBy("frame").orderBy("l_linenumber", "l_partkey", "l_suppkey", "l_quantity", "l_extendedprice", "l_shipdate")
     x1, y1 = F.pmod("l_partkey", F.lit(12)).cast("int"), F.pmod("l_suppkey", F.lit(12)).cast("int")
-    return li.join(part, F.col("l_partkey") == F.col("p_partkey"), "left").select(
-        F.col("l_orderkey").alias("frame"), F.row_number().over(order).alias("ord"), x1.alias("x1"), y1.alias("y1"),
+    return rows.withColumn("ord", F.row_number().over(order)).select(
+        "frame", "ord", x1.alias("x1"), y1.alias("y1"),
         F.least(F.lit(15), x1 + 1 + F.pmod(F.col("l_quantity").cast("bigint"), F.lit(8)).cast("int")).alias("x2"), F.least(F.lit(15), y1 + 1 + F.col("l_linenumber")).alias("y2"),
         F.col("l_returnflag").alias("cls"), F.col("l_discount").alias("conf"), F.coalesce("p_name", F.lit("")).alias("text"), F.pmod("l_partkey", F.lit(max(1, n_masks))).alias("mask_id"),
     )
