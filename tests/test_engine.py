@@ -160,3 +160,24 @@ def test_raw_round_trip():
     for fmt, n in (("yuv420p", 96), ("bgr24", 192), ("gray8", 64)):
         data = bytes(range(n))
         assert kernels.raw(kernels.from_raw(data, 8, 8, fmt)) == data
+
+
+@pytest.mark.parametrize(
+    ("schedule", "gop", "n", "cfg"),
+    [
+        ([[3]] * 40, 4, 8, EngineConfig(pool=1, window=1, decoders=8)),  # one frame for all, more decoders than GOPs
+        ([[0]], 1, 1, EngineConfig(pool=1, window=1, decoders=1, filters=1)),  # a clip of one frame
+        ([[i] for i in range(96)], 60, 96, EngineConfig(pool=1, window=96)),  # last GOP short, pool of one
+        ([[0, 0, 5, 5]], 3, 6, EngineConfig(pool=2)),  # a frame twice in one generation
+        ([[i, 47 - i] for i in range(48)], 16, 48, EngineConfig(pool=6, window=3, decoders=2)),
+    ],
+)
+def test_edge_cases(schedule, gop, n, cfg):
+    stats = checked([sorted(set(s)) for s in schedule], gop, n, cfg)
+    if len(set(map(tuple, schedule))) == 1:
+        assert stats.gop_opens <= 2
+
+
+def test_jitter_does_not_change_the_output():
+    for seed in range(5):
+        checked([[i, (i * 7) % 60] for i in range(60)], 12, 60, EngineConfig(pool=12, window=8, decoders=3, jitter=0.4, seed=seed), 2)
