@@ -7,7 +7,7 @@ multinomial draw conditioned on the exact totals (sampling noise in a shard, non
 slot of a source takes, in its pass k div B over the source's B blocks, the block that a permutation of
 that source and pass gives; slots and blocks are joined by (source, block).
 
-Positions in a stream come from two levels of sums (buckets of a source, then rows of a bucket), so a
+Positions in a stream come from three levels of sums (bands of buckets of a source, buckets, rows of a bucket), so a
 source that holds a third of all rows is many buckets and never one task. Shuffles carry no text.
 
 Defined results: a null text has size 0; a null source is a source, the last; rows of size 0 are never taken; repeated rows are
@@ -23,7 +23,7 @@ from reelspark.llm.common import WORD_SQL, fresh
 from reelspark.llm.simhash import ensure_checkpoint_dir
 
 MOST, WEIGHTS, SEED = 3, (1, 2, 3), 20
-BUCKET_ROWS, SHARD_SLOTS, CHUNK, WALK = 8_192, 1_024, 8_192, 64
+BUCKET_ROWS, BUCKETS, SHARD_SLOTS, CHUNK, WALK = 512, 1_024, 1_024, 8_192, 64
 LONGEST_BLOCK, SHORTEST_BLOCK, BLOCKS_PER_SOURCE = 2_048, 16, 512
 
 
@@ -103,10 +103,12 @@ class Mix:
         tasks = max(1, min(20_000, 4 * (facts["total"] // max(1, self.words)) // (CHUNK * 4) + 1))
         self.slots = slots(self.plan, tasks)
         dealt = rows.withColumn("bucket", F.pmod(F.xxhash64(F.lit(SEED), *keys), F.lit(buckets)))
-        sums = dealt.groupBy("source", "bucket").agg(F.sum("size").alias("words"))
-        before = Window.partitionBy("source").orderBy("bucket").rowsBetween(Window.unboundedPreceding, -1)
-        sums = sums.withColumn("offset", F.coalesce(F.sum("words").over(before), F.lit(0)))
-        named = sums.join(self.plan, sums["source"].eqNullSafe(self.plan["source"])).select(sums["source"].alias("b_source"), F.col("bucket").alias("b_bucket"), "offset", "sid", "source_size", "target")
+        sums = dealt.groupBy("source", "bucket").agg(F.sum("size").alias("words")).withColumn("band", F.expr(f"bucket div {BUCKETS}"))
+        inside = Window.partitionBy("source", "band").orderBy("bucket").rowsBetween(Window.unboundedPreceding, -1)
+        bands = sums.groupBy("source", "band").agg(F.sum("words").alias("words"))
+        bands = bands.join(self.plan, bands["source"].eqNullSafe(self.plan["source"])).select(bands["source"].alias("b_source"), F.col("band").alias("b_band"), F.coalesce(F.sum("words").over(Window.partitionBy("sid").orderBy("band").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0)).alias("first_word"), "sid", "source_size", "target")
+        sums = sums.withColumn("inner", F.coalesce(F.sum("words").over(inside), F.lit(0)))
+        named = sums.join(bands, (F.col("band") == F.col("b_band")) & F.col("source").eqNullSafe(F.col("b_source"))).select("b_source", F.col("bucket").alias("b_bucket"), (F.col("first_word") + F.col("inner")).alias("offset"), "sid", "source_size", "target")
         placed = dealt.join(named, (F.col("bucket") == F.col("b_bucket")) & F.col("source").eqNullSafe(F.col("b_source"))).drop("b_source", "b_bucket")
         order = Window.partitionBy("sid", "bucket").orderBy(F.xxhash64(F.lit(SEED + 1), *keys), *keys, "size")
         self.rows = placed.withColumns({"row": F.row_number().over(order), "start": F.col("offset") + F.sum("size").over(order.rowsBetween(Window.unboundedPreceding, 0)) - F.col("size")})
@@ -155,17 +157,18 @@ def mixed(docs: DataFrame) -> DataFrame:
     rows = keyed.select(F.col(a).alias("ka"), F.col(b).alias("kb"), F.col(c).alias("kc"), F.col("source").cast("string").alias("source"), word_count(F.col("text")).alias("size")).checkpoint()
     taken = Mix(rows, ["ka", "kb", "kc"]).taken().where("taken > 0")
     # rows that agree in all keys are told apart by a number on both sides
-    numbered = taken.withColumn("kt", F.row_number().over(Window.partitionBy("ka", "kb", "kc").orderBy(F.desc("taken"), "sid", "bucket", "row"))).select("ka", "kb", "kc", "kt", "size", "chosen")
+    ka, kb, kc, kt, size, chosen, p = fresh(docs, "m_ka", "m_kb", "m_kc", "m_kt", "m_size", "m_chosen", "m_pass")
+    number = F.row_number().over(Window.partitionBy("ka", "kb", "kc").orderBy(F.desc("taken"), "sid", "bucket", "row"))
+    numbered = taken.select(F.col("ka").alias(ka), F.col("kb").alias(kb), F.col("kc").alias(kc), number.alias(kt), F.col("size").alias(size), F.col("chosen").alias(chosen))
     rest = [x for x, kind in docs.dtypes if x not in ("doc_id", "text") and "map<" not in kind and "variant" not in kind]
     texts = keyed.withColumn(twin, F.row_number().over(Window.partitionBy(a, b, c).orderBy(F.xxhash64(*rest) if rest else F.lit(0))))
-    same = (F.col(a) == F.col("ka")) & (F.col(b) == F.col("kb")) & (F.col(c) == F.col("kc")) & ((F.col(twin) - F.col("kt")) == 0)
-    (p,) = fresh(docs, "m_pass")
-    out = texts.join(numbered, same).withColumn(p, F.explode(F.array_distinct(F.flatten(F.transform("chosen", lambda x: x["passes"])))))
-    mine = F.array_sort(F.transform(F.filter("chosen", lambda x: F.array_contains(x["passes"], F.col(p))), lambda x: F.struct(x["word_from"], x["n_piece"])))
+    same = (F.col(a) == F.col(ka)) & (F.col(b) == F.col(kb)) & (F.col(c) == F.col(kc)) & ((F.col(twin) - F.col(kt)) == 0)
+    out = texts.join(numbered, same).withColumn(p, F.explode(F.array_distinct(F.flatten(F.transform(chosen, lambda x: x["passes"])))))
+    mine = F.array_sort(F.transform(F.filter(chosen, lambda x: F.array_contains(x["passes"], F.col(p))), lambda x: F.struct(x["word_from"], x["n_piece"])))
     words = F.regexp_extract_all(F.col("text"), F.lit(WORD_SQL), F.lit(0))
     part = F.array_join(F.flatten(F.transform(mine, lambda x: F.slice(words, (x["word_from"] + 1).cast("int"), x["n_piece"].cast("int")))), " ")
     n = F.aggregate(mine, F.lit(0).cast("bigint"), lambda s, x: s + x["n_piece"])
-    out = out.withColumn("text", F.when(n >= F.col("size"), F.col("text")).otherwise(part)) if "size" not in docs.columns else out.withColumn("text", F.when(n >= numbered["size"], F.col("text")).otherwise(part))
+    out = out.withColumn("text", F.when(n >= F.col(size), F.col("text")).otherwise(part))
     if "n_chars" in docs.columns:
         out = out.withColumn("n_chars", F.length("text").cast(dict(docs.dtypes)["n_chars"]))
-    return out.select(*[texts[x] if x not in ("text", "n_chars") else F.col(x) for x in docs.columns])
+    return out.select(*docs.columns)

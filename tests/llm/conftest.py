@@ -2,7 +2,7 @@ import random
 
 import pytest
 
-EXTRA = ["fp", "size", "score", "row", "start", "bucket", "block", "fingerprint", "component_id", "k_text", "s_parts", "m_pass", "cell", "label", "x"]
+EXTRA = ["fp", "size", "score", "row", "start", "bucket", "block", "fingerprint", "component_id", "k_text", "s_parts", "m_pass", "cell", "label", "x", "ka", "kt", "chosen", "taken", "sid", "passes", "word_from", "failed", "parts", "tokens"]
 SCHEMA = "doc_id bigint, text string, lang string, source string, n_chars bigint, " + ", ".join(f"{c} string" for c in EXTRA)
 
 
