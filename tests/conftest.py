@@ -12,7 +12,7 @@ DATA = os.environ.get("TEST_SF_DIR", "/root/testdata/sf0.001")
 def spark():
     from reelspark.session import session
 
-    return session(cpus=8, memory="6g")
+    return session(cpus=8, shuffle=4, memory="6g")
 
 
 @pytest.fixture(scope="session")

@@ -113,3 +113,30 @@ def test_sketches_are_near(spark, sf_dir):
     for r in QUERIES["agg_approx"](spark, sf_dir).collect():
         assert abs(r["users_hll"] - r["users"]) <= max(1, 0.1 * r["users"]) and abs(r["users_sketch"] - r["users"]) <= max(1, 0.05 * r["users"])
         assert abs(r["median_approx"] - r["median"]) <= 1
+
+
+def test_playback_over_http(service_parts):
+    import threading
+    import urllib.error
+    import urllib.request
+
+    from reelspark.vod import http
+
+    manager, delivery = service_parts
+    manager.create("web", 16, 16)
+    manager.push("web", [(g, ref(g)) for g in range(60)], 0)
+    manager.terminate("web")
+    s = http.server(delivery)
+    threading.Thread(target=s.serve_forever, daemon=True).start()
+    try:
+        base = f"http://127.0.0.1:{s.server_address[1]}"
+        get = lambda path: urllib.request.urlopen(base + path, timeout=60).read()
+        uris = [x for x in get("/web/playlist.m3u8").decode().splitlines() if x.endswith(".seg")]
+        assert uris == ["web/0.seg", "web/1.seg"]
+        frames = [i for u in uris for i, _ in codec.decode(http.unpacked(get("/" + u)))]
+        assert frames == list(range(60))
+        for missing in ("/web/2.seg", "/nobody/playlist.m3u8", "/"):
+            with pytest.raises(urllib.error.HTTPError):
+                get(missing)
+    finally:
+        s.shutdown()

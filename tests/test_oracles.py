@@ -9,7 +9,7 @@ from reelspark import registry
 
 registry.load()
 TABLES = "region nation customer supplier part orders lineitem events documents embeddings pages benchmark labels conversations".split()
-SLOW = {"m_time_to_playback"}
+SLOW = {"m_time_to_playback", "m_ttp", "m_speedup", "m_full_time", "m_fps_by_res"}  # clocks over queries that are tested by themselves
 
 
 @pytest.fixture(scope="module")
