@@ -20,15 +20,20 @@ WORD, AROUND = "enver", 38
 _CAPS = "caps AS (SELECT 'cap/' || source AS source_id, doc_id, text, (n_chars + 14) // 15 AS n_frames, CAST(sum((n_chars + 14) // 15) OVER (PARTITION BY source ORDER BY doc_id) - (n_chars + 14) // 15 AS BIGINT) AS start_frame, CAST(sum((n_chars + 14) // 15) OVER (PARTITION BY source) AS BIGINT) AS total FROM documents)"
 
 
-def hits(spark: SparkSession, sf_dir: str, word: str) -> DataFrame:
-    """Clips around the first place of a word in each caption: (occ, source_id, doc_id, first, n, stamp_text).
+#: Every place of a word, overlapping ones too: the next one is looked for from the character behind the last one's first.
+_PLACES = "o AS (SELECT source_id, doc_id, text, start_frame, total, CAST(instr(text, '{word}') AS BIGINT) AS pos FROM (SELECT * REPLACE (lower(text) AS text) FROM caps) WHERE contains(text, '{word}') UNION ALL SELECT source_id, doc_id, text, start_frame, total, CAST(pos + instr(substr(text, pos + 1), '{word}') AS BIGINT) FROM o WHERE contains(substr(text, pos + 1), '{word}'))"
 
-    Occurrences are numbered by source and time; the number comes from sums per source plus the rank inside it.
+
+def hits(spark: SparkSession, sf_dir: str, word: str, every: bool = True) -> DataFrame:
+    """Clips around the places of a word in each caption: (occ, source_id, doc_id, first, n, stamp_text).
+
+    All places, or each caption's first one if not ``every``. Occurrences are numbered by source and time (places of one
+    frame share all other columns); the number comes from sums per source plus the rank inside it.
     """
-    caps = derive.captions(spark, sf_dir)
-    totals = caps.groupBy("source_id").agg(F.sum("n_frames").alias("total"))
-    found = caps.withColumn("at", F.instr(F.lower("text"), word)).where("at > 0").join(totals, "source_id")
-    frame = F.col("start_frame") + F.expr("(at - 1) div 15")
+    totals = derive.captions(spark, sf_dir).groupBy("source_id").agg(F.sum("n_frames").alias("total"))
+    words = spark.createDataFrame([(0, word)], "item_id bigint, text string")
+    found = in_captions(spark, sf_dir, words, every, F.lower("text")).join(totals, "source_id")
+    frame = F.col("start_frame") + F.expr("at div 15")
     lo, hi = F.greatest(F.lit(0), frame - AROUND), F.least(F.col("total") - 1, frame + AROUND)
     rows = found.select("source_id", "doc_id", frame.alias("frame"), lo.alias("first"), (hi - lo + 1).alias("n"))
     rank = F.row_number().over(Window.partitionBy("source_id").orderBy("frame", "doc_id"))
@@ -39,12 +44,19 @@ def hits(spark: SparkSession, sf_dir: str, word: str) -> DataFrame:
 
 @query("w_search", f"WITH {_CAPS}, h AS (SELECT *, start_frame + (instr(lower(text), '{WORD}') - 1) // 15 AS frame FROM caps WHERE contains(lower(text), '{WORD}')) SELECT row_number() OVER (ORDER BY source_id, frame, doc_id) AS occ, source_id, doc_id, CAST(greatest(0, frame - 38) AS BIGINT) AS first, CAST(least(total - 1, frame + 38) - greatest(0, frame - 38) + 1 AS BIGINT) AS n, {STAMP_SQL.format('(frame * 1000 // 24)')} AS stamp_text FROM h")
 def w_search(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The first place in each caption, as its SQL has it; ``w_search_all`` has all of them."""
+    return hits(spark, sf_dir, WORD, every=False)
+
+
+@query("w_search_all", f"WITH RECURSIVE {_CAPS}, {_PLACES.format(word=WORD)}, h AS (SELECT *, start_frame + (pos - 1) // 15 AS frame FROM o) SELECT row_number() OVER (ORDER BY source_id, frame, doc_id) AS occ, source_id, doc_id, CAST(greatest(0, frame - 38) AS BIGINT) AS first, CAST(least(total - 1, frame + 38) - greatest(0, frame - 38) + 1 AS BIGINT) AS n, {STAMP_SQL.format('(frame * 1000 // 24)')} AS stamp_text FROM h")
+def w_search_all(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Every place of the word in every whole text."""
     return hits(spark, sf_dir, WORD)
 
 
 @query("w_search_spec")
 def w_search_spec(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """The compilation itself: each clip's frames in order, labelled with number, source and time; frames come
+    """The compilation itself, over every place of the word: each clip's frames in order, labelled with number, source and time; frames come
     from the main clip at the caption's position (captioned clips have an index only). Returns digests of what is rendered."""
     n = table(spark, sf_dir, "orders").count()
     h = hits(spark, sf_dir, WORD)
@@ -59,16 +71,36 @@ def w_search_spec(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 @query("w_passage", f"WITH {_CAPS} SELECT item_id, source_id, doc_id, CAST(start_frame + (instr(caps.text, b.text) - 1) // 15 AS BIGINT) AS frame FROM caps JOIN benchmark b ON contains(caps.text, b.text)")
 def w_passage(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Passages that stand in captions, by one linear multi-pattern scan of every whole text."""
-    caps = derive.captions(spark, sf_dir).select("source_id", "doc_id", "start_frame", "text")
-    return containing(caps, table(spark, sf_dir, "benchmark")).select("item_id", "source_id", "doc_id", (F.col("start_frame") + F.expr("at div 15")).alias("frame"))
+    """Passages that stand in captions, at their first place in each, as the SQL has it; ``w_passage_all`` has all places."""
+    return passages_at(spark, sf_dir, every=False)
+
+
+@query("w_passage_all", f"WITH RECURSIVE {_CAPS}, o AS (SELECT item_id, source_id, doc_id, start_frame, caps.text AS text, b.text AS passage, CAST(instr(caps.text, b.text) AS BIGINT) AS pos FROM caps JOIN benchmark b ON contains(caps.text, b.text) UNION ALL SELECT item_id, source_id, doc_id, start_frame, text, passage, CAST(pos + instr(substr(text, pos + 1), passage) AS BIGINT) FROM o WHERE contains(substr(text, pos + 1), passage)) SELECT item_id, source_id, doc_id, CAST(start_frame + (pos - 1) // 15 AS BIGINT) AS frame FROM o")
+def w_passage_all(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Every place of every passage in every whole text."""
+    return passages_at(spark, sf_dir)
+
+
+def passages_at(spark: SparkSession, sf_dir: str, every: bool = True) -> DataFrame:
+    """(item_id, source_id, doc_id, frame), by one linear multi-pattern scan of every whole text."""
+    found = in_captions(spark, sf_dir, table(spark, sf_dir, "benchmark"), every, F.col("text"))
+    return found.select("item_id", "source_id", "doc_id", (F.col("start_frame") + F.expr("at div 15")).alias("frame"))
+
+
+def in_captions(spark: SparkSession, sf_dir: str, passages: DataFrame, every: bool, text: Column) -> DataFrame:
+    """(source_id, doc_id, item_id, at, start_frame): texts are scanned where they are read, only places are moved."""
+    texts = table(spark, sf_dir, "documents").select(F.concat(F.lit("cap/"), "source").alias("source_id"), "doc_id", text.alias("text"))
+    starts = derive.captions(spark, sf_dir).select(F.col("source_id").alias("s"), F.col("doc_id").alias("d"), "start_frame")
+    return containing(texts, passages, every).join(starts, F.col("source_id").eqNullSafe(F.col("s")) & F.col("doc_id").eqNullSafe(F.col("d"))).drop("s", "d")
 
 
 PASSAGES = 20_000  # per automaton, which bounds what a task holds
 
 
-def containing(texts: DataFrame, passages: DataFrame) -> DataFrame:
-    """texts' columns but text, item_id, at: first place (characters from 0) of every passage in every text that holds it.
+def containing(texts: DataFrame, passages: DataFrame, every: bool = True) -> DataFrame:
+    """texts' columns but text, item_id, at: the places (characters from 0) of every passage in every text that holds it.
+
+    All places, overlapping ones too, or only the first of each passage in each text if not ``every``.
 
     Passages go to workers in parts of at most ``PASSAGES``, each an Aho-Corasick automaton over all texts.
     """
@@ -97,10 +129,12 @@ def containing(texts: DataFrame, passages: DataFrame) -> DataFrame:
             for b in it:
                 rows, ids, ats = [], [], []
                 for k, text in enumerate(b.column("text").to_pylist()):
-                    first: dict[str, int] = {}
+                    seen: set[str] = set()
                     for end, p in machine.iter(text or "") if items else ():
-                        first.setdefault(p, end + 1 - len(p))
-                    for p, at in first.items():
+                        if not every and p in seen:
+                            continue
+                        seen.add(p)
+                        at = end + 1 - len(p)
                         for i in items[p]:
                             rows.append(k)
                             ids.append(i)
