@@ -1,9 +1,11 @@
 """Secret scan with a random forest that removes false positives; DataFrame functions only.
 
-Candidates are runs of at least ``SHORTEST`` key-like characters with a digit (or a private key's
-heading). All of a text's candidates are found by one regular expression, cut out row-locally and kept with what
-stands around them. Features: length, transitions between character kinds, dictionary coverage, spread of
-characters, shapes (hex, UUID, digits only, known prefixes), path, and the neighbouring words. The forest is
+Candidates are, whatever their length: values that follow an assignment (``=`` or ``:``) or a keyword, strings with a
+known prefix, a private key's heading; and anywhere else runs of at least ``SHORTEST`` key-like characters with a digit.
+A name and its value are two candidates at most, cut at the ``=``; a value ends at white space or its quote, and without
+quotes at a separator. All of a text's candidates are found by one regular expression, cut out row-locally and kept with
+what stands around them in the whole text. Features: length, transitions between character kinds, dictionary coverage, spread of
+characters, shapes (hex, UUID, digits only, known prefixes, placeholders), path, and the neighbouring words. The forest is
 fitted by Spark's own learner on labelled findings and compiled into one column expression, so that
 scoring needs neither a join nor Python and no text is ever shuffled.
 
@@ -18,14 +20,28 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 SHORTEST, CHUNK, THRESHOLD, MASK = 16, 512, 0.5, "[SECRET]"
-_RUN = "A-Za-z0-9+/_=-"
-CANDIDATE = rf"(?<![{_RUN}])(?:(?=[A-Za-z+/_=-]*[0-9])[{_RUN}]{{{SHORTEST},}}|-----BEGIN [A-Z ]{{0,30}}PRIVATE KEY-----)"
+_RUN = "A-Za-z0-9+/_-"
+_PREFIXES = "AKIA|ASIA|ghp_|gho_|glpat-|sk-|sk_live_|xox[abp]-|eyJ|AIza"
+#: Written out in both cases, and white space as a list: Java's and Python's classes differ beyond ASCII.
+_NAMES = "|".join("".join(f"[{c.upper()}{c}]" if c.isalpha() else c for c in w) for w in ("token", "secret", "passwd", "password", "passphrase", "pwd", "api[ _-]?key", "access[ _-]?key", "private[ _-]?key", "authorization", "auth", "credential", "bearer", "basic", "signature")).replace("[[", "[").replace("]]", "]")
+#: Tried at the first letters of words only, which most places of a text are not.
+_WORD = rf"(?<![A-Za-z])(?=[TtSsPpAaCcBb])(?:{_NAMES})s?"
+_SPACE = r" \t\n\x0B\f\r\x85\xA0   　"
+_SET = r"[=:]{1,2}+>?"
+#: A keyword in a value's place ("Authorization: Bearer ...") leads on to the value.
+_LED = rf"""(?!(?:{_NAMES})s?[ \t"'`=:])"""
+_QUOTED = rf"""{_LED}[^{_SPACE}"'`=:]+(?:={{1,2}}(?![^{_SPACE}"'`]))?"""
+_PLAIN = rf"""{_LED}(?!//)[^{_SPACE}"'`=:,;|<>(){{}}\[\]]*[^{_SPACE}"'`=:,;|<>(){{}}\[\].!?](?:={{1,2}}(?![={_RUN}]))?"""
+_LOOSE = rf"(?<![{_RUN}])(?:(?:{_PREFIXES})[{_RUN}]+(?:={{1,2}}(?![={_RUN}]))?|(?=[A-Za-z+/_-]*[0-9])(?=[={_RUN}]{{{SHORTEST}}})[{_RUN}]+(?:={{1,2}}(?![={_RUN}]))?)"
+#: What stands before the value (groups 1 and 3) and the value (2, 4 and 5).
+CANDIDATE = rf"""((?:{_SET}|{_WORD})[ \t]*+["'`])({_QUOTED})|({_SET}[ \t]*+|{_WORD}[ \t]++(?:is[ \t]++)?)(?!-----BEGIN )({_PLAIN})|({_LOOSE}|-----BEGIN [A-Z ]{{0,30}}PRIVATE KEY-----)"""
 _OPEN, _CLOSE = "﷐", "﷑"
 #: Common letter groups of plain words (own choice), for dictionary coverage.
 _DICTIONARY = "the|and|ing|ion|ent|for|tha|nth|int|ere|tio|ter|est|ers|ati|hat|ate|all|eth|hes|ver|his|oft|ith|fth|sth|oth|res|ont|que|est|les|ein|ich|und|sch|den|man|user|name|data|file|test|http|html|index|image|page|main|config|value|version|release|build|object|class|string|number"
 _KEYWORD = "(?i)(token|secret|passw|pwd|api.?key|access.?key|auth|credential|private|bearer|signature)"
 _HASHWORD = "(?i)(sha-?[0-9]{0,3}|md5|commit|checksum|digest|uuid|guid|etag|revision|isbn|hash|order|invoice|phone|card|account)"
-FEATURES = ["length", "transitions", "coverage", "spread", "digits", "uppers", "hex", "uuid", "only_digits", "known_prefix", "path", "keyword_before", "assigned", "quoted", "hashword_before", "url_before", "letters_after", "pem"]
+_PLACEHOLDER = r"(?i)^(true|false|null|none|nil|undefined|yes|no|string|str|int|bool|required|optional|empty|todo|changeme|xxx+|\*+|\.+|-+|\$.*|%.*|the|a|an|of|for|and|is|el|la|le|der|die|das)$"
+FEATURES = ["length", "transitions", "coverage", "spread", "digits", "uppers", "hex", "uuid", "only_digits", "known_prefix", "path", "keyword_before", "assigned", "quoted", "hashword_before", "url_before", "letters_after", "pem", "symbols", "keyword_set", "placeholder"]
 
 
 def _flag(c: Column) -> Column:
@@ -42,9 +58,10 @@ def features(before: Column, value: Column, after: Column) -> Column:
         F.least(n, F.lit(200.0)), F.length(kinds) / n, 1 - left_over / n, F.size(F.array_distinct(F.split(value, ""))) / n,
         F.length(F.regexp_replace(value, "[^0-9]", "")) / n, F.length(F.regexp_replace(value, "[^A-Z]", "")) / n,
         _flag(value.rlike("^([0-9a-f]+|[0-9A-F]+)$")), _flag(value.rlike("(?i)[0-9a-f]{8}-[0-9a-f]{4}-[0-9a-f]{4}-[0-9a-f]{4}-[0-9a-f]{12}")), _flag(value.rlike("^[0-9]+$")),
-        _flag(value.rlike("^(AKIA|ASIA|ghp_|gho_|glpat-|sk-|sk_live_|xox[abp]-|eyJ|AIza)")), _flag(value.rlike("[A-Za-z0-9_-]{2,}/[A-Za-z0-9_-]{2,}")),
+        _flag(value.rlike(f"^({_PREFIXES})")), _flag(value.rlike("[A-Za-z0-9_-]{2,}/[A-Za-z0-9_-]{2,}")),
         _flag(tail.rlike(_KEYWORD + r"[^\n]{0,12}$")), _flag(tail.rlike("[=:]\\s*[\"'`]?$")), _flag(tail.rlike("[\"'`]$") & head.rlike("^[\"'`]")),
         _flag(tail.rlike(_HASHWORD + r"[^\n]{0,12}$")), _flag(tail.rlike("(?i)(https?://|www\\.)\\S*$")), _flag(head.rlike("^[A-Za-z.@]")), _flag(value.startswith("-----BEGIN")),
+        F.length(F.regexp_replace(value, "[A-Za-z0-9]", "")) / n, _flag(tail.rlike(_KEYWORD + r"[A-Za-z0-9_.-]{0,8}[\"'`]?\s*[=:]{1,2}>?\s*[\"'`]?$")), _flag(value.rlike(_PLACEHOLDER)),
     )
 
 
@@ -72,8 +89,30 @@ def labelled_findings(spark: SparkSession, rows: int = 6000) -> DataFrame:
         F.struct(pick(14, "name = ", "the ", "version: ").alias("before"), F.concat(pick(18, "release", "build", "index"), F.lit("-"), syllables, F.lit("-20"), (10 + u(17, 15)).cast("string")).alias("value"), pick(16, " in the", "\n", ", ").alias("after")),
     ), (u(19, 6) + 1).cast("int"))
     pem = F.struct(pick(14, "", "\n", "key: ").alias("before"), F.concat(F.lit("-----BEGIN "), pick(15, "", "RSA ", "EC ", "OPENSSH "), F.lit("PRIVATE KEY-----")).alias("value"), F.lit("\n").alias("after"))
-    secret = F.when(u(40, 25) == 0, pem).otherwise(F.struct(named.alias("before"), key.alias("value"), close(8).alias("after")))
-    return spark.range(rows).select("id", (F.col("id") % 2 == 0).cast("int").alias("label"), F.when(F.col("id") % 2 == 0, secret).otherwise(plain).alias("f")).select("label", "f.before", "f.value", "f.after")
+    made = {}
+    made["w_word"] = F.concat(*[F.when(u(50, 3) >= i, pick(51 + i, "the", "ing", "tion", "ver", "est", "and", "que", "lich", "ment", "er", "on", "re", "bo", "ka", "lu", "zi")).otherwise("") for i in range(3)])
+    word, hand, letters = F.col("w_word"), F.col("w_hand"), F.col("w_letters")
+    made["w_hand"] = F.concat(word, pick(54, "!", "&", "#", "$", "@", "_", "-", ""), F.initcap(pick(55, "dor", "gun", "pax", "mio", "zet")), u(56, 997).cast("string"), pick(57, "!", "?x", "&3", "", ""))
+    made["w_letters"] = F.translate(F.left(h(6), (8 + u(58, 24)).cast("int")), "0123456789", "ghijkqxyzw")
+    short = F.element_at(F.array(hand, letters, F.concat(word, letters), F.left(h(7), (8 + u(59, 8)).cast("int")), F.concat(F.initcap(word), hand), F.concat(letters, F.upper(word))), (u(60, 6) + 1).cast("int"))
+    made["w_quote"] = pick(61, '"', "'", '"', "`")
+    quote = F.col("w_quote")
+    told = F.struct(F.concat(pick(4, "the of and ", "export ", "x\n", "en la ", ""), pick(62, "password", "PASSWORD", "passwd", "pwd", "secret", "token", "api_key", "client_secret", "oauth2_client_secret", "db.password"), pick(63, " = ", "=", ": ", '": '), quote).alias("before"), short.alias("value"), F.concat(quote, pick(8, " and the", "\n", "!! ", " ### ", ", ", "")).alias("after"))
+    mixed = F.struct(F.concat(pick(4, "the of and ", "export ", "x\n", "en la ", ""), pick(62, "password", "PASSWORD", "passwd", "pwd", "secret", "token", "api_key", "client_secret", "oauth2_client_secret", "db.password"), pick(63, " = ", "=", ": ", " is ")).alias("before"), F.concat(hand, F.left(h(7), F.lit(4))).alias("value"), pick(8, "\n", " ", "", "\n", " and", "").alias("after"))
+    lead = pick(64, "the ", "note: ", "name = ", "size=", "title: ", "see: ", "at 12:", "color = ", "lang: ", "1:")
+    everyday = F.element_at(F.array(word, F.initcap(word), u(65, 9999).cast("string"), F.concat(word, u(66, 30).cast("string")), F.concat_ws("-", word, pick(67, "one", "two", "end")), F.concat(word, F.lit("/"), word), hand, letters), (u(68, 8) + 1).cast("int"))
+    prose = F.struct(F.concat(pick(69, "of ", "\n", "", "y "), lead, F.when(u(70, 3) == 0, quote).otherwise("")).alias("before"), everyday.alias("value"), F.concat(F.when(u(70, 3) == 0, quote).otherwise(""), pick(16, " in the", "\n", ", ")).alias("after"))
+    talk = F.struct(pick(71, "the password ", "a secret ", "token ", "password: ", "secret: ", "authentication ", "a bearer ", "password is ").alias("before"), F.element_at(F.array(word, word, F.initcap(word), F.lit("the"), pick(72, "of", "for", "is", "was", "that", "and")), (u(73, 5) + 1).cast("int")).alias("value"), pick(16, " in the", "\n", ", ").alias("after"))
+    empty = F.struct(F.concat(pick(62, "password", "PASSWORD", "passwd", "pwd", "secret", "token", "api_key", "client_secret"), pick(63, " = ", "=", ": ", '": '), F.when(u(70, 2) == 0, quote).otherwise("")).alias("before"), pick(74, "true", "false", "null", "None", "string", "required", "$VAR", "xxxx", "****", "changeme").alias("value"), F.concat(F.when(u(70, 2) == 0, quote).otherwise(""), pick(16, " in", "\n", ", ")).alias("after"))
+    begins = F.struct(pick(14, "the ", "in ", "an ", "of ").alias("before"), pick(75, "ASIAN", "ASIATIC", "ASIAS", "sk-the", "eyJo", "sk-word").alias("value"), pick(16, " in the", "\n", ", ").alias("after"))
+    name = F.struct(pick(4, "the of and ", "export ", "x\n", "en la ", "").alias("before"), F.concat(pick(76, "oauth2_", "app2_", "db1-", "s3_"), pick(77, "client_secret", "access_key_name", "service_password", "api_token_value")).alias("value"), pick(78, " = ", "=", ": ", " = ", "=").alias("after"))
+    known = F.struct(pick(14, "the ", "key ", "see ", "\n").alias("before"), F.element_at(F.array(key, F.concat(pick(79, "ghp_", "gho_", "sk-", "sk_live_", "glpat-", "xoxb-", "AKIA", "AIza"), F.left(h(9), (8 + u(80, 8)).cast("int")))), F.lit(2)).alias("value"), pick(16, " in the", "\n", ", ").alias("after"))
+    secret = F.when(u(40, 25) == 0, pem).when(u(41, 4) == 0, told).when(u(41, 4) == 1, F.when(u(42, 2) == 0, mixed).otherwise(known)).otherwise(F.struct(named.alias("before"), key.alias("value"), close(8).alias("after")))
+    plain = F.when(u(43, 2) == 0, plain).when(u(44, 8) < 4, prose).when(u(44, 8) < 5, talk).when(u(44, 8) < 6, empty).when(u(44, 8) < 7, begins).otherwise(name)
+    steps = spark.range(rows)
+    for new, column in made.items():  # columns of their own: one expression would be too long to compile
+        steps = steps.withColumn(new, column)
+    return steps.select("id", (F.col("id") % 2 == 0).cast("int").alias("label"), F.when(F.col("id") % 2 == 0, secret).otherwise(plain).alias("f")).select("label", "f.before", "f.value", "f.after")
 
 
 def train(findings: DataFrame, trees: int = 24, depth: int = 6, seed: int = 7):
@@ -111,10 +150,20 @@ def forest_score(x: Column, forest: list) -> Column:
 def _parts(text: Column) -> Column:
     """The text cut at its candidates: they stand at the odd places; null if it has none."""
     clean = F.translate(text, _OPEN + _CLOSE, "��")
-    cut = F.split(F.regexp_replace(clean, CANDIDATE, f"{_OPEN}$0{_CLOSE}"), f"[{_OPEN}{_CLOSE}]", -1)
+    cut = F.split(F.regexp_replace(clean, CANDIDATE, f"$1$3{_OPEN}$2$4$5{_CLOSE}"), f"[{_OPEN}{_CLOSE}]", -1)
     return F.when(text.rlike(CANDIDATE), cut)
 
 
+def _around(parts: Column, i: Column) -> tuple[Column, Column]:
+    """The 48 characters before part i and the 24 after it, in the whole text: neighbouring candidates belong to it.
+
+    A candidate holds a character and so does what stands between two of them, so 48 and 24 parts on each side are enough.
+    """
+    near = lambda lo, hi, cut: F.array_join(F.transform(F.slice(parts, lo + 1, hi - lo), cut), "")
+    lo, hi = F.greatest(i - 48, F.lit(0)), F.least(i + 25, F.size(parts))
+    return F.right(near(lo, i, lambda p: F.right(p, F.lit(48))), F.lit(48)), F.left(near(i + 1, hi, lambda p: F.left(p, F.lit(24))), F.lit(24))
+
+
 def findings(docs: DataFrame, forest: list, text: str = "text") -> DataFrame:
     """doc_id, start and end (characters from 0), value, score, is_secret: one row per candidate."""
     rows = docs.where(F.col(text).rlike(CANDIDATE)).select(F.col("doc_id").cast("bigint").alias("doc_id"), _parts(F.col(text)).alias("parts"))
@@ -123,7 +172,7 @@ def findings(docs: DataFrame, forest: list, text: str = "text") -> DataFrame:
     rows = rows.withColumn("at", F.explode(F.sequence(F.lit(0), F.size("parts") - 2, F.lit(CHUNK))))
     rows = rows.withColumn("base", total(F.lit(1), F.col("at")))
     inside = F.sequence(F.col("at") + 1, F.least(F.col("at") + CHUNK, F.size("parts")) - 1, F.lit(2))
-    one = lambda i: F.struct((F.col("base") + total(F.col("at") + 1, i - F.col("at"))).alias("start"), F.get("parts", i - 1).alias("before"), F.get("parts", i).alias("value"), F.get("parts", i + 1).alias("after"))
+    one = lambda i: F.struct((F.col("base") + total(F.col("at") + 1, i - F.col("at"))).alias("start"), _around(F.col("parts"), i)[0].alias("before"), F.get("parts", i).alias("value"), _around(F.col("parts"), i)[1].alias("after"))
     rows = rows.select("doc_id", F.explode(F.transform(inside, one)).alias("f")).select("doc_id", "f.start", (F.col("f.start") + F.length("f.value")).alias("end"), "f.value", features(F.col("f.before"), F.col("f.value"), F.col("f.after")).alias("x"))
     rows = rows.select("doc_id", F.col("start").cast("bigint").alias("start"), F.col("end").cast("bigint").alias("end"), "value", F.array("x").alias("xs"))
     scored = rows.withColumn("score", F.transform("xs", lambda x: forest_score(x, forest))[0])
@@ -137,7 +186,7 @@ def masked(docs: DataFrame, forest: list) -> DataFrame:
     parts, xs, scores = fresh(docs, "s_parts", "s_x", "s_score")
     rows = docs.withColumn(parts, _parts(F.col("text")))
     odd = F.sequence(F.lit(1), F.size(parts) - 2, F.lit(2))
-    rows = rows.withColumn(xs, F.when(F.col(parts).isNotNull(), F.transform(odd, lambda i: features(F.get(parts, i - 1), F.get(parts, i), F.get(parts, i + 1)))))
+    rows = rows.withColumn(xs, F.when(F.col(parts).isNotNull(), F.transform(odd, lambda i: features(_around(F.col(parts), i)[0], F.get(parts, i), _around(F.col(parts), i)[1]))))
     rows = rows.withColumn(scores, F.transform(xs, lambda x: forest_score(x, forest)))
     new = F.array_join(F.transform(parts, lambda p, i: F.when((i % 2 == 1) & (F.get(scores, ((i - 1) / 2).cast("int")) >= THRESHOLD), F.lit(MASK)).otherwise(p)), "")
     found = F.exists(scores, lambda s: s >= THRESHOLD)

@@ -319,6 +319,24 @@ def test_what_is_no_secret(spark, forest):
     assert out == {1: False, 2: False, 3: False, 4: True, 5: True}
 
 
+def test_secrets_of_any_length_and_their_names(spark, forest):
+    rows = [(1, 'x password = "Tr0ub4dor&3" y'), (2, 'api_key = "9f86d081884c7d6"'), (3, 'oauth2_client_secret = "04dbebab91ab85687d33eeaaf9ac699e1188f962"'), (4, "oauth2_client_secret=04dbebab91ab85687d33eeaaf9ac699e1188f962\n"), (5, 'api_key = "QwErTyUiOpAsDf"'), (6, "the ASIAN house, note: the end"), (7, "password of the house"), (8, "Authorization: Bearer abc123"), (9, 'password = "null"')]
+    docs = spark.createDataFrame(rows, "doc_id bigint, text string")
+    out = {(r["doc_id"], r["value"]): r["is_secret"] for r in secret_scan.findings(docs, forest).collect()}
+    for at, value in ((1, "Tr0ub4dor&3"), (2, "9f86d081884c7d6"), (3, "04dbebab91ab85687d33eeaaf9ac699e1188f962"), (4, "04dbebab91ab85687d33eeaaf9ac699e1188f962"), (5, "QwErTyUiOpAsDf")):
+        assert out[at, value]
+    assert not out[3, "oauth2_client_secret"] and not out[4, "oauth2_client_secret"] and (8, "abc123") in out
+    assert not any(hit for (at, _), hit in out.items() if at in (6, 7, 9))
+    masked = {r["doc_id"]: r["text"] for r in secret_scan.masked(docs, forest).collect()}
+    assert masked[1] == 'x password = "[SECRET]" y' and masked[4] == "oauth2_client_secret=[SECRET]\n" and masked[6] == rows[5][1]
+
+
+def test_context_reaches_over_other_candidates(spark):
+    docs = spark.createDataFrame([(["token = ", "a", "=", "b", " and ", "c", ""],)], "p array<string>")
+    before, after = secret_scan._around(F.col("p"), F.lit(3))
+    assert docs.select(before, after).first()[:] == ("token = a=", " and c")
+
+
 # -- op6 and op7 --------------------------------------------------------------------------------------------
 
 
