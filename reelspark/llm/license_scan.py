@@ -108,8 +108,12 @@ def fuzzy(flat: str) -> list[tuple[int, int, str, int]]:
         for lo, hi in windows:
             if not plausible(notice, flat[lo:hi]):
                 continue
-            for m in patterns[notice].finditer(flat, lo, hi):
-                out.add((m.start(), m.end(), NOTICES[notice], sum(m.fuzzy_counts)))
+            todo = [(lo, hi)]  # the best of a part is found first, so both sides of it are searched again
+            while todo:
+                a, b = todo.pop()
+                if m := patterns[notice].search(flat, a, b):
+                    out.add((m.start(), m.end(), NOTICES[notice], sum(m.fuzzy_counts)))
+                    todo += [(a, m.start()), (m.end(), b)]
     return sorted(out)
 
 

@@ -264,6 +264,28 @@ def test_seeds_miss_nothing_that_the_pattern_finds():
             assert bool(whole) <= bool(found), (notice, flat)
 
 
+def test_every_notice_of_a_window_is_found():
+    import random
+
+    text = "releasd under the mt license released under the mit license and more releasd under the mt license x"
+    assert [(a, b) for a, b, *_ in license_scan.fuzzy(text)] == [(0, 28), (29, 59), (69, 97)]
+    rng = random.Random(6)
+    for notice, label in license_scan.NOTICES.items():
+        for _ in range(5):
+            flat, planted = "start", []
+            for _ in range(6):
+                t = list(notice)
+                for _ in range(rng.randint(0, license_scan.errors(notice))):
+                    t[rng.randrange(1, len(t) - 1)] = "q"
+                planted.append((len(flat) + 1, len(flat) + 1 + len(t)))
+                flat += " " + "".join(t) + rng.choice(["", " and more"])
+            # brute force: each planted place by itself, without windows or neighbours
+            pattern = license_scan.machine()[1][notice]
+            assert all(pattern.search(flat[a:b]) for a, b in planted)
+            found = [(a, b) for a, b, x, _ in license_scan.fuzzy(flat) if x == label]
+            assert all(any(a < d and c < b for c, d in found) for a, b in planted), flat
+
+
 # -- op5 ----------------------------------------------------------------------------------------------------
 
 
