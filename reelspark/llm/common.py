@@ -9,6 +9,7 @@ Conventions that hold for every operator here:
 
 from __future__ import annotations
 
+import uuid
 from collections.abc import Callable, Iterator
 
 import pyarrow as pa
@@ -77,3 +78,44 @@ def training_labels(labels: DataFrame, label: str, modulus: int, remainder: int,
     one = labels.where(F.col("doc_id").isNotNull() & F.col(label).isNotNull() & ~held_out(F.col("doc_id"), modulus, remainder))
     one = one.groupBy("doc_id").agg((F.avg(label) >= 0.5).cast("int").alias("label"))
     return one.orderBy(F.xxhash64("doc_id"), "doc_id").limit(bound)
+
+
+def shared_base(df: DataFrame) -> str:
+    """The folder that driver and executors share: spark.checkpoint.dir. Where it is unset, a local session may use a folder of
+    its own (tests); on a cluster that would be wrong data, so it is an error."""
+    session = df.sparkSession
+    base = session.conf.get("spark.checkpoint.dir", None)
+    if not base:
+        found = session.sparkContext._jsc.sc().getCheckpointDir()
+        base = found.get() if found.isDefined() else None
+    if base:
+        return base.rstrip("/")
+    if not session.sparkContext.master.startswith("local"):
+        raise RuntimeError("spark.checkpoint.dir must name a folder that driver and executors share")
+    import tempfile
+
+    session.sparkContext.setCheckpointDir("file://" + tempfile.mkdtemp(prefix="reelspark-"))
+    return shared_base(df)
+
+
+class Scratch:
+    """Tables written to the shared folder: they cut lineage, survive lost executors and can be dropped."""
+
+    def __init__(self, df: DataFrame, name: str):
+        self.session = df.sparkSession
+        self.folder = f"{shared_base(df)}/{name}-{uuid.uuid4().hex}"
+        self.made = 0
+
+    def keep(self, df: DataFrame, codec: str = "snappy") -> DataFrame:
+        path = f"{self.folder}/{self.made}"
+        self.made += 1
+        df.write.option("compression", codec).parquet(path)
+        out = self.session.read.schema(df.schema).parquet(path)
+        out._scratch = path
+        return out
+
+    def drop(self, df: DataFrame) -> None:
+        """Removes a table that ``keep`` returned and nothing reads any more."""
+        jvm = self.session._jvm
+        path = jvm.org.apache.hadoop.fs.Path(df._scratch)
+        path.getFileSystem(self.session._jsparkSession.sessionState().newHadoopConf()).delete(path, True)

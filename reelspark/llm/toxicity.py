@@ -1,17 +1,21 @@
 """Toxicity by maximum-scoring segments.
 
-Tokens are words' openings of four and of six letters (lower-cased), which also catch inflected forms.
-Each gets the log-odds of toxic against other labelled documents under a Dirichlet prior whose shape is
-the token's frequency over *all* documents; its lower confidence bound counts, less a drift per word. A
-linear scan then finds every maximal scoring segment; the best one is calibrated as an extreme value
-of its text's length (Gumbel), and a logistic curve over that, the number and the sum of significant segments gives
-the score. The logistic is fitted on scores that each labelled document gets from a model of the other folds.
-
-At most ``MAX_LABELLED`` labelled rows and ``MAX_TOKENS`` tokens reach the driver or a broadcast; the
-prior's counts and the scores cover every whole text, row-local with one small aggregation.
+Tokens of a word (a run of letters, lower-cased) are the whole word, its openings of four and six letters, and every
+five letters in a row, so that inflected forms, compounds and words written together are read from end to end. A run of more
+than ``LONG`` letters (scripts without spaces) is cut into overlapping words that hold every five letters of it. Each token gets the
+log-odds of toxic against other labelled documents under a Dirichlet prior whose shape is the token's frequency over *all*
+documents (a document's distinct words count once each); its lower confidence bound counts, and a word weighs what the
+heaviest of its tokens weighs, less a drift per word. A linear scan then finds every maximal scoring segment; the best one is
+calibrated as an extreme value of its text's length (Gumbel), and a logistic curve over that, the number and the sum of significant
+segments gives the score. The logistic is fitted on scores that each labelled document gets from a model of the other folds.
+
+Counting is words in Arrow batches, everything else about tokens DataFrame expressions over the vocabulary. At most
+``MAX_LABELLED`` documents (one a labelled id: that of the smallest text hash) teach the model. Positive weights travel to the tasks
+in parts of at most ``PART`` tokens: one part as a rule; beyond it the documents pass the parts one after another, each pass
+raising the words' weights, so that no token is left out and no task holds more than a part.
 
 Defined results: a null, empty or wordless text has no segment and gets the score of no evidence; with no labelled
-rows that is 0; ties and repeated rows score equally.
+rows that is 0; a token that stands in no toxic labelled document weighs nothing; ties and repeated rows score equally.
 """
 
 from __future__ import annotations
@@ -19,91 +23,135 @@ from __future__ import annotations
 import math
 import re
 from collections import Counter
-from collections.abc import Iterator
-from dataclasses import dataclass, field
+from collections.abc import Callable, Iterator
+from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from reelspark.llm.common import held_out, per_document, training_labels
+from reelspark.llm.common import Scratch, held_out, per_document, training_labels
 
-MAX_LABELLED, MAX_TOKENS = 20_000, 50_000
+MAX_LABELLED = 20_000
 MODULUS, REMAINDER, THRESHOLD, FOLDS = 3, 1, 0.7, 3
-DRIFT, BOUND_SD, PRIOR_SHARE = 0.25, 2.33, 0.1
-LENGTHS = (4, 6)
+DRIFT, BOUND_SD, INNER_SD, PRIOR_SHARE = 0.25, 2.33, 6.0, 0.1
+OPENINGS, INNER, LONG = (4, 6), 5, 24
+PART, FLUSH, REMEMBER = 250_000, 200_000, 200_000
 _WORD = re.compile(r"[^\W\d_]+")
+#: ASCII other than letters becomes a space; the bytes of other characters stay.
+_SPACED = bytes(b if 97 <= b <= 122 or b >= 128 else 32 for b in range(256))
 
 
 def words_of(text: str | None) -> list[str]:
-    return _WORD.findall((text or "").lower())
+    low = (text or "").lower()
+    words = low.encode().translate(_SPACED).decode().split()  # splitting bytes is far cheaper than matching
+    if words and not (low.isascii() or "".join(words).isalpha()):
+        words = _WORD.findall(low)
+    if max(map(len, words), default=0) > LONG:
+        step = LONG - INNER + 1
+        words = [w[at : at + LONG] for w in words for at in range(0, max(1, len(w) - INNER + 1), step)]
+    return words
+
 
+def tokens_of(word: str) -> set[str]:
+    """The word's tokens; the first character tells the kind: whole, opening or inner letters."""
+    n = len(word)
+    return {"=" + word, *("^" + word[:k] for k in OPENINGS if n > k), *("~" + word[i : i + INNER] for i in range(n - INNER + 1))}
 
-def openings(words: list[str]) -> set[str]:
-    """The tokens of a document; a word shorter than an opening is that opening, marked as whole."""
-    a, b = LENGTHS
-    return {w[:a] for w in words if len(w) >= a} | {w[:b] + "$" for w in words}
+
+def token_column(word: Column) -> Column:
+    """The same set, as an array column."""
+    n = F.length(word)
+    inner = F.when(n >= INNER, F.transform(F.sequence(F.lit(1), n - (INNER - 1)), lambda i: F.concat(F.lit("~"), F.substring(word, i, F.lit(INNER))))).otherwise(F.array().cast("array<string>"))
+    return F.array_distinct(F.concat(F.array(F.concat(F.lit("="), word)), *[F.when(n > k, F.array(F.concat(F.lit("^"), F.left(word, F.lit(k))))).otherwise(F.array().cast("array<string>")) for k in OPENINGS], inner))
 
 
 @dataclass
 class Model:
-    weights: dict[str, float] = field(default_factory=dict)
+    """Positive weights in parts of a bounded size, each read from its own rows of ``table`` (token, weight, part)."""
+
+    table: DataFrame | None = None
+    parts: int = 0
     rate: float = 1.0  # lambda of the extreme-value law
     log_k: float = 0.0
     curve: tuple[float, ...] = (-30.0, 0.0, 0.0, 0.0)
 
 
-def log_odds(toxic: np.ndarray, other: np.ndarray, corpus: np.ndarray, n_toxic: float, n_other: float, n_corpus: float) -> np.ndarray:
-    """Lower confidence bounds of log-odds under an informative Dirichlet prior (counts of documents)."""
-    prior = PRIOR_SHARE * (n_toxic + n_other) * (corpus / max(1.0, n_corpus)) + 1e-3
-    full = PRIOR_SHARE * (n_toxic + n_other) + 1.0
-    a, b = toxic + prior, other + prior
-    delta = np.log(a / np.maximum(n_toxic + full - a, 0.5)) - np.log(b / np.maximum(n_other + full - b, 0.5))
-    return delta - BOUND_SD * np.sqrt(1 / a + 1 / b)
-
-
 def segments(hits: list[tuple[int, float]], drift: float = DRIFT) -> list[tuple[int, int, float]]:
     """All maximal scoring segments (first, last, score): hits are (word index, weight), every word costs the drift.
 
-    Linear: each hit is pushed once and merged into earlier candidates at most once.
+    Candidates keep a link to the last earlier one with a smaller sum before it, so that candidates once passed over
+    are never looked at again: linear in the hits.
     """
-    stack: list[tuple[int, int, float, float]] = []  # first, last, sum before, sum after
+    first, last, low, high, link = [], [], [], [], []
     total, before = 0.0, -1
     for i, w in hits:
         total -= drift * (i - before - 1)
         left, total, before = total, total + w - drift, i
         if total <= left:
             continue
-        first = i
-        while stack:
-            k = len(stack) - 1
-            while k >= 0 and stack[k][2] >= left:  # earlier candidates that cannot be extended to here
-                k -= 1
-            if k < 0 or stack[k][3] >= total:
+        begin, k = i, len(low) - 1
+        while True:
+            while k >= 0 and low[k] >= left:
+                k = link[k]
+            if k < 0 or high[k] >= total:
                 break
-            first, left = stack[k][0], stack[k][2]
-            del stack[k:]
-        stack.append((first, i, left, total))
-    return [(a, b, high - low) for a, b, low, high in stack]
-
-
-def evidence(words: list[str], model: Model) -> tuple[list[tuple[int, int, float]], tuple[float, float, float]]:
-    """The segments, and what the curve takes: best segment as a standard Gumbel excess, log number and sum of the significant ones."""
-    a, b = LENGTHS
-    get, known, hits, seen = model.weights.get, model.weights, [], {}
-    for i, w in enumerate(words):
-        if w[:a] in known or w[:b] + "$" in known:
-            # weights come from counts of documents: the k-th time that a text has a token adds a k-th of it
-            k = seen[w[:b]] = seen.get(w[:b], 0) + 1
-            hits.append((i, max(get(w[:a], 0.0) if len(w) >= a else 0.0, get(w[:b] + "$", 0.0)) / math.sqrt(k)))
-    if not hits:
-        return [], (0.0, 0.0, 0.0)
-    found = segments(hits)
-    level = model.log_k + math.log(len(words) + 1)
-    strong = [s for s in found if model.rate * s[2] > level]
-    best = max((s[2] for s in found), default=0.0)
-    return found, (max(0.0, model.rate * best - level), math.log1p(len(strong)), math.log1p(sum(model.rate * s[2] for s in strong)))
+            begin, left = first[k], low[k]  # the candidate grows to here and takes in all after it
+            back = link[k]
+            for column in (first, last, low, high, link):
+                del column[k:]
+            k = back
+        for column, value in zip((first, last, low, high, link), (begin, i, left, total, k), strict=True):
+            column.append(value)
+    return [(a, b, y - x) for a, b, x, y in zip(first, last, low, high, strict=True)]
+
+
+def weigh(word: str, weights: dict[str, float]) -> float:
+    return max((weights[t] for t in tokens_of(word) if t in weights), default=0.0)
+
+
+class Weigher:
+    """Remembers the weights of words, at most ``REMEMBER`` of them; the dictionary of tokens is one part of the model's."""
+
+    def __init__(self, weights: dict[str, float]):
+        self.weights, self.known = weights, {}
+
+    def __call__(self, words: list[str]) -> list[tuple[int, float]]:
+        known = self.known
+        try:
+            found = list(map(known.__getitem__, words))
+        except KeyError:
+            if len(known) > REMEMBER:
+                known.clear()
+            found = []
+            for w in words:
+                v = known.get(w)
+                if v is None:
+                    v = weigh(w, self.weights)
+                    if len(known) <= REMEMBER:
+                        known[w] = v
+                found.append(v)
+        return [(i, v) for i, v in enumerate(found) if v] if any(found) else []
+
+
+def damped(words: list[str], hits: list[tuple[int, float]]) -> list[tuple[int, float]]:
+    """Weights come from counts of documents: the k-th word of one opening weighs its share by the root of k."""
+    seen, out = {}, []
+    for i, v in hits:
+        key = words[i][: OPENINGS[-1]]
+        k = seen[key] = seen.get(key, 0) + 1
+        out.append((i, v / math.sqrt(k)))
+    return out
+
+
+def evidence(n_words: int, found: list[tuple[int, int, float]], rate: float, log_k: float) -> tuple[float, float, float]:
+    """What the curve takes: best segment as a standard Gumbel excess, log number and sum of the significant ones."""
+    if not found:
+        return 0.0, 0.0, 0.0
+    level = log_k + math.log(n_words + 1)
+    strong = [s[2] for s in found if rate * s[2] > level]
+    return max(0.0, rate * max(s[2] for s in found) - level), math.log1p(len(strong)), math.log1p(sum(rate * s for s in strong))
 
 
 def chance(x: tuple[float, float, float], curve: tuple[float, ...]) -> float:
@@ -134,98 +182,179 @@ def extreme_value(scores: np.ndarray, sizes: np.ndarray) -> tuple[float, float]:
     return rate, float(np.mean(rate * scores - np.log(sizes + 1)) - 0.5772)
 
 
-def token_counts(docs: DataFrame) -> DataFrame:
-    """(token, cell, n): documents of each cell = fold * 2 + label that hold the token; token '' counts all."""
-    schema = "token string, cell int, n bigint"
+def word_counts(docs: DataFrame, cells: int) -> DataFrame:
+    """(word, c0, c1, ...): documents of each cell that hold the word; ``docs`` has text and cell."""
+    names = [f"c{k}" for k in range(cells)]
+    schema = "word string, " + ", ".join(f"{c} bigint" for c in names)
+
+    def batch_of(counts: list[Counter]) -> pa.RecordBatch:
+        words = list(dict.fromkeys(w for c in counts for w in c))
+        return pa.RecordBatch.from_arrays([pa.array(words, pa.string()), *(pa.array([c[w] for w in words], pa.int64()) for c in counts)], names=["word", *names])
 
     def run(it: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        counts = [Counter() for _ in names]
         for batch in it:
-            counts: Counter = Counter()
             for text, cell in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True):
-                counts.update((t, cell) for t in openings(words_of(text)))
-                counts["", cell] += 1
-            yield pa.RecordBatch.from_arrays([pa.array([k[0] for k in counts], pa.string()), pa.array([k[1] for k in counts], pa.int32()), pa.array(list(counts.values()), pa.int64())], names=["token", "cell", "n"])
+                counts[cell].update(set(words_of(text)))
+            if sum(map(len, counts)) > FLUSH:
+                yield batch_of(counts)
+                counts = [Counter() for _ in names]
+        yield batch_of(counts)
 
-    return docs.select("text", "cell").mapInArrow(run, schema).groupBy("token", "cell").agg(F.sum("n").alias("n"))
+    return docs.select("text", "cell").mapInArrow(run, schema).groupBy("word").agg(*[F.sum(c).alias(c) for c in names])
 
 
-def corpus_counts(docs: DataFrame, tokens: set[str]) -> DataFrame:
-    """Documents of the whole corpus that hold each of the (bounded) tokens; token '' counts all."""
+def token_counts(words: DataFrame) -> DataFrame:
+    """(token, c0, ...) from (word, c0, ...)."""
+    names = [c for c in words.columns if c != "word"]
+    return words.select(F.explode(token_column(F.col("word"))).alias("token"), *names).groupBy("token").agg(*[F.sum(c).alias(c) for c in names])
 
-    def run(it: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        counts: Counter = Counter()
-        for batch in it:
-            for text in batch.column(0).to_pylist():
-                counts.update(openings(words_of(text)) & tokens)
-                counts[""] += 1
-        yield pa.RecordBatch.from_arrays([pa.array(list(counts), pa.string()), pa.array(list(counts.values()), pa.int64())], names=["token", "n"])
 
-    return docs.select("text").mapInArrow(run, "token string, n bigint").groupBy("token").agg(F.sum("n").alias("n"))
+def weight_column(token: Column, toxic: Column, other: Column, corpus: Column, n_toxic: float, n_other: float, n_corpus: float) -> Column:
+    """Lower confidence bound of the log-odds under an informative Dirichlet prior; nothing below 0.
+
+    A word has many inner tokens and takes the heaviest, so theirs is the stricter bound."""
+    mass = PRIOR_SHARE * (n_toxic + n_other)
+    prior = corpus * F.lit(mass / max(1.0, n_corpus)) + F.lit(1e-3)
+    a, b = toxic + prior, other + prior
+    odds = F.log(a / F.greatest(F.lit(n_toxic + mass + 1.0) - a, F.lit(0.5))) - F.log(b / F.greatest(F.lit(n_other + mass + 1.0) - b, F.lit(0.5)))
+    return F.greatest(F.lit(0.0), odds - F.when(token.startswith("~"), F.lit(INNER_SD)).otherwise(F.lit(BOUND_SD)) * F.sqrt(F.lit(1.0) / a + F.lit(1.0) / b))
 
 
-def train(docs: DataFrame, labels: DataFrame, bound: int = MAX_LABELLED) -> Model:
+def learners(docs: DataFrame, labels: DataFrame, bound: int = MAX_LABELLED) -> DataFrame:
+    """(cell, text), cell = 2 * fold + label: one document for each of at most ``bound`` labelled ids, however often an id occurs."""
     chosen = training_labels(labels, "toxic", MODULUS, REMAINDER, bound).withColumn("cell", (F.pmod(F.xxhash64("doc_id", F.lit(11)), F.lit(FOLDS)) * 2 + F.col("label")).cast("int"))
-    texts = docs.select(F.col("doc_id").cast("bigint").alias("doc_id"), "text")
-    joined = texts.join(F.broadcast(chosen), "doc_id")
-    wide = token_counts(joined).groupBy("token").agg(*[F.coalesce(F.sum(F.when(F.col("cell") == c, F.col("n"))), F.lit(0)).alias(f"c{c}") for c in range(2 * FOLDS)])
-    toxic = sum((F.col(f"c{2 * f + 1}") for f in range(FOLDS)), F.lit(0))
-    other = sum((F.col(f"c{2 * f}") for f in range(FOLDS)), F.lit(0))
-    # a token seen in one toxic document only can't pass the bound; the order makes the cut exact and repeatable
-    lean = (F.col("t") + 0.5) / (F.col("o") + 0.5)
-    picked = wide.withColumns({"t": toxic, "o": other}).where("t >= 2 OR token = ''").orderBy(F.when(F.col("token") == "", 0).otherwise(1), (lean * F.sqrt("t")).desc(), "token").limit(MAX_TOKENS + 1).collect()
-    rows = {r["token"]: [r[f"c{c}"] for c in range(2 * FOLDS)] for r in picked}
-    if "" not in rows:
-        return Model()
-    all_docs = np.array(rows.pop(""), float)
-    tokens = list(rows)
-    counts = np.array([rows[t] for t in tokens], float).reshape(-1, 2 * FOLDS)
-    seen = {r["token"]: r["n"] for r in corpus_counts(texts, set(tokens)).collect()}
-    corpus, n_corpus = np.array([seen.get(t, 0) for t in tokens], float), float(seen.get("", 0))
+    joined = docs.select(F.col("doc_id").cast("bigint").alias("doc_id"), F.coalesce("text", F.lit("")).alias("text")).join(F.broadcast(chosen), "doc_id")
+    return joined.groupBy("doc_id", "cell").agg(F.min(F.struct(F.xxhash64("text").alias("h"), "text")).alias("t")).select("cell", "t.text")
 
-    def weights(but: int | None) -> dict[str, float]:
-        keep = np.array([f != but for f in range(FOLDS)])
-        tox, oth = counts[:, 1::2] @ keep, counts[:, 0::2] @ keep
-        w = log_odds(tox, oth, corpus, float(all_docs[1::2] @ keep), float(all_docs[0::2] @ keep), n_corpus)
-        return {t: float(v) for t, v in zip(tokens, w, strict=True) if v > 0}
 
-    folds = [Model(weights(f)) for f in range(FOLDS)]
+def parts_of(table: DataFrame, column: str, parts: int) -> Iterator[dict[str, float]]:
+    for k in range(parts):
+        yield {r["token"]: r[column] for r in table.where((F.col("part") == k) & (F.col(column) > 0)).select("token", column).collect()}
 
-    def raw(cols: list[list]) -> list[list]:
-        found = [(words_of(t), c) for t, c in zip(cols[0], cols[1], strict=True)]
-        segs = [[s[2] for s in evidence(w, folds[c // 2])[0]] for w, c in found]
-        return [cols[1], [len(w) for w, _ in found], segs]
 
-    rows = per_document(joined.select("text", "cell"), ["text", "cell"], "cell int, n bigint, s array<double>", raw).collect()
+def hits(docs: DataFrame, keep: list[str], table: DataFrame, parts: int, columns: list[str], scratch: Scratch) -> DataFrame:
+    """``keep``, text, and for every weight column of the table the text's weighted words (hits_0, hits_1, ...).
+
+    One part is one pass; with more, the passes follow each other over a written table.
+    """
+    kinds = dict(docs.dtypes)
+    made = [f"hits_{k}" for k in range(len(columns))]
+    empty = F.array().cast("array<struct<at:bigint,weight:double>>")
+    rows = docs.select(*keep, F.coalesce("text", F.lit("")).alias("text"), *([empty.alias(m) for m in made] if parts != 1 else []))
+    schema = ", ".join(f"{c} {kinds[c]}" for c in keep) + ", text string, " + ", ".join(f"{m} array<struct<at:bigint,weight:double>>" for m in made)
+    width = len(keep) + 1
+    for k, weights in enumerate(zip(*[parts_of(table, c, parts) for c in columns], strict=True) if parts else []):
+
+        def run(cols: list[list], weights=weights, ready=[]) -> list[list]:  # noqa: B006
+            if not ready:
+                ready.extend(map(Weigher, weights))
+            out = [[] for _ in made]
+            old = cols[width:] or [[()] * len(cols[0])] * len(made)
+            for row, text in enumerate(cols[width - 1]):
+                words = words_of(text)
+                for into, weigher, before in zip(out, ready, old, strict=True):
+                    best = {h["at"]: h["weight"] for h in before[row]}
+                    for i, v in weigher(words):
+                        best[i] = max(v, best.get(i, 0.0))
+                    into.append([{"at": i, "weight": best[i]} for i in sorted(best)])
+            return [*cols[:width], *out]
+
+        rows = per_document(rows, rows.columns, schema, run)
+        if k + 1 < parts:
+            rows = scratch.keep(rows)
+    return rows
+
+
+def fold_weights(docs: DataFrame, learned: DataFrame, scratch: Scratch, part: int = PART) -> tuple[DataFrame, int]:
+    """The table (token, part, w, w0, w1, ...) of all positive weights, whole and without each fold, and its number of parts."""
+    cells = 2 * FOLDS
+    all_cells = [f"c{k}" for k in range(cells)]
+    taught = scratch.keep(token_counts(word_counts(learned, cells)).withColumn("toxic", sum((F.col(f"c{k}") for k in range(1, cells, 2)), F.lit(0))))
+    sums = taught.agg(*[F.coalesce(F.sum(c), F.lit(0)).alias(c) for c in all_cells]).first()
+    words = scratch.keep(word_counts(docs.select("text", F.lit(0).alias("cell")), 1))
+    asked = taught.where("toxic > 0")
+    seen = words.select(F.explode(token_column(F.col("word"))).alias("token"), F.col("c0").alias("n"))
+    n = F.length("word")
+    places = 1 + sum((n > k).cast("int") for k in OPENINGS) + F.greatest(n - (INNER - 1), F.lit(0))
+    n_corpus = float(words.agg(F.coalesce(F.sum(F.col("c0") * places), F.lit(0))).first()[0])
+    corpus = seen.join(asked.select("token"), "token", "left_semi").groupBy("token").agg(F.sum("n").alias("corpus"))
+    rows = asked.join(corpus, "token", "left").withColumn("corpus", F.coalesce("corpus", F.lit(0)).cast("double"))
+    made = {}
+    for name, but in [("w", None), *((f"w{f}", f) for f in range(FOLDS))]:
+        tox = [f"c{2 * f + 1}" for f in range(FOLDS) if f != but]
+        oth = [f"c{2 * f}" for f in range(FOLDS) if f != but]
+        total = lambda cols: sum((F.col(c) for c in cols), F.lit(0)).cast("double")
+        made[name] = weight_column(F.col("token"), total(tox), total(oth), F.col("corpus"), float(sum(sums[c] for c in tox)), float(sum(sums[c] for c in oth)), n_corpus)
+    rows = rows.withColumns(made).where(F.greatest(*made) > 0).select("token", *made)
+    table = scratch.keep(rows)
+    parts = -(-table.count() // part)
+    return table.withColumn("part", F.pmod(F.xxhash64("token"), F.lit(max(1, parts))).cast("int")), parts
+
+
+def train(docs: DataFrame, labels: DataFrame, bound: int = MAX_LABELLED, part: int = PART) -> Model:
+    scratch = Scratch(docs, "toxicity")
+    learned = scratch.keep(learners(docs, labels, bound))
+    if learned.isEmpty():
+        return Model()
+    table, parts = fold_weights(docs, learned, scratch, part)
+    found = hits(learned, ["cell"], table, parts, [f"w{f}" for f in range(FOLDS)], scratch)
+
+    def raw(cols: list[list]) -> list[list]:
+        out, sizes = [], []
+        for row, (cell, text) in enumerate(zip(cols[0], cols[1], strict=True)):
+            words = words_of(text)
+            mine = [(h["at"], h["weight"]) for h in cols[2 + cell // 2][row]]
+            out.append([s[2] for s in segments(damped(words, mine))])
+            sizes.append(len(words))
+        return [cols[0], sizes, out]
+
+    rows = per_document(found, found.columns, "cell int, n bigint, s array<double>", raw).collect()
     y = np.array([r["cell"] % 2 for r in rows], float)
     best, sizes = np.array([max(r["s"], default=0.0) for r in rows]), np.array([r["n"] for r in rows], float)
+    order = np.lexsort([best, sizes, y])  # rows come in any order
+    y, best, sizes, rows = y[order], best[order], sizes[order], [rows[k] for k in order]
     rate, log_k = extreme_value(best[y == 0], sizes[y == 0])
-    x = []
-    for r in rows:
-        level = log_k + math.log(r["n"] + 1)
-        strong = [s for s in r["s"] if rate * s > level]
-        x.append((max(0.0, rate * max(r["s"]) - level) if r["s"] else 0.0, math.log1p(len(strong)), math.log1p(sum(rate * s for s in strong))))
-    order = np.lexsort([*np.array(x, float).reshape(-1, 3).T, y])  # rows come in any order
-    return Model(weights(None), rate, log_k, fit_curve(np.array(x, float).reshape(-1, 3)[order], y[order]))
+    x = np.array([evidence(r["n"], [(0, 0, s) for s in r["s"]], rate, log_k) for r in rows], float).reshape(-1, 3)
+    order = np.lexsort([*x.T, y])
+    return Model(table, parts, rate, log_k, fit_curve(x[order], y[order]))
+
+
+def over_segments(docs: DataFrame, model: Model, column: str, finish: Callable) -> DataFrame:
+    """doc_id and ``finish(number of words, maximal segments)`` of every text, as the named column."""
+    rows = docs.select(F.col("doc_id").cast("bigint").alias("doc_id"), "text")
+    schema = f"doc_id bigint, {column}"
+    if model.parts <= 1:  # one pass
+        weights, ready = next(parts_of(model.table, "w", 1)) if model.parts else {}, []
+
+        def whole(cols: list[list]) -> list[list]:
+            if not ready:
+                ready.append(Weigher(weights))
+            texts = map(words_of, cols[1])
+            return [cols[0], [finish(len(w), segments(damped(w, ready[0](w)))) for w in texts]]
+
+        return per_document(rows, ["doc_id", "text"], schema, whole)
+    weighed = hits(rows, ["doc_id"], model.table, model.parts, ["w"], Scratch(docs, "toxicity"))
+
+    def last(cols: list[list]) -> list[list]:
+        return [cols[0], [finish(len(w), segments(damped(w, [(h["at"], h["weight"]) for h in hs]))) for w, hs in zip(map(words_of, cols[1]), cols[2], strict=True)]]
+
+    return per_document(weighed, ["doc_id", "text", "hits_0"], schema, last)
 
 
 def passages(docs: DataFrame, model: Model) -> DataFrame:
     """Every maximal segment of every text: first and last word, score, p-value of so high a segment by chance."""
+    rate, log_k = model.rate, model.log_k
 
-    def run(cols: list[list]) -> list[list]:
-        out = []
-        for t in cols[1]:
-            w = words_of(t)
-            out.append([{"first": a, "last": b, "score": s, "p": -math.expm1(-math.exp(min(30.0, model.log_k + math.log(len(w) + 1) - model.rate * s)))} for a, b, s in evidence(w, model)[0]])
-        return [cols[0], out]
+    def finish(n: int, found: list[tuple[int, int, float]]) -> list[dict]:
+        return [{"first": a, "last": b, "score": s, "p": -math.expm1(-math.exp(min(30.0, log_k + math.log(n + 1) - rate * s)))} for a, b, s in found]
 
-    return per_document(docs.select(F.col("doc_id").cast("bigint").alias("doc_id"), "text"), ["doc_id", "text"], "doc_id bigint, segments array<struct<first:bigint,last:bigint,score:double,p:double>>", run)
+    return over_segments(docs, model, "segments array<struct<first:bigint,last:bigint,score:double,p:double>>", finish)
 
 
 def score(docs: DataFrame, model: Model) -> DataFrame:
-    def run(cols: list[list]) -> list[list]:
-        return [cols[0], [chance(evidence(words_of(t), model)[1], model.curve) for t in cols[1]]]
-
-    return per_document(docs.select(F.col("doc_id").cast("bigint").alias("doc_id"), "text"), ["doc_id", "text"], "doc_id bigint, score double", run)
+    rate, log_k, curve = model.rate, model.log_k, model.curve
+    return over_segments(docs, model, "score double", lambda n, found: chance(evidence(n, found, rate, log_k), curve))
 
 
 def digest(docs: DataFrame, labels: DataFrame) -> DataFrame:

@@ -248,42 +248,70 @@ def test_license_with_edits():
     assert license_scan.scan("the apaches license their mits")["fuzzy"] == []
 
 
-def test_seeds_miss_nothing_that_the_pattern_finds():
+def distance(a, b):
+    row = list(range(len(b) + 1))
+    for i, x in enumerate(a, 1):
+        last, row[0] = row[0], i
+        for j, y in enumerate(b, 1):
+            last, row[j] = row[j], min(row[j] + 1, row[j - 1] + 1, last + (x != y))
+    return row[-1]
+
+
+def test_spans_equal_brute_force():
+    """Every word-bounded stretch within k edits overlaps a reported one of no more edits; reported ones are apart and exact."""
     import random
 
     rng = random.Random(5)
-    for notice in license_scan.NOTICES:
-        for _ in range(15):
-            t = list(notice)
-            for _ in range(rng.randint(0, license_scan.errors(notice))):
-                at = rng.randrange(1, len(t) - 1)
-                rng.choice([lambda: t.pop(at), lambda: t.insert(at, "q"), lambda: t.__setitem__(at, "q")])()
-            flat = "before " + "".join(t) + " after"
-            whole = [m.span() for m in license_scan.machine()[1][notice].finditer(flat)]
-            found = [(a, b) for a, b, label, _ in license_scan.fuzzy(flat) if label == license_scan.NOTICES[notice]]
-            assert bool(whole) <= bool(found), (notice, flat)
+    for notice, label in license_scan.NOTICES.items():
+        k = license_scan.errors(notice)
+        for _ in range(4):
+            flat = "start"
+            for _ in range(4):
+                t = list(notice)
+                for _ in range(rng.randint(0, k + 2)):
+                    at = rng.randrange(len(t))
+                    rng.choice([lambda: t.pop(at), lambda: t.insert(at, rng.choice("q e")), lambda: t.__setitem__(at, rng.choice("q e"))])()  # noqa: B023
+                flat += " " + "".join(t) + rng.choice(["", " and more", " the"])
+            flat = " ".join(flat.split())
+            own = license_scan.machine(((notice, label),))[1][0]
+            found = [(a, b, e) for a, b, _, e in license_scan.fuzzy(flat, ((notice, label),))]
+            assert all(distance(notice, flat[a:b]) == e <= k for a, b, e in found) and all(x[1] < y[0] for x, y in itertools.pairwise(found))
+            starts = [0, *(i + 1 for i, c in enumerate(flat) if c == " ")]
+            ends = [*(i for i, c in enumerate(flat) if c == " "), len(flat)]
+            for a in starts:
+                for b in ends:
+                    if abs(b - a - own.size) <= k and (e := distance(notice, flat[a:b])) <= k:
+                        assert any(x < b and a < y and f <= e for x, y, f in found), (flat, flat[a:b], e, found)
 
 
 def test_every_notice_of_a_window_is_found():
-    import random
-
     text = "releasd under the mt license released under the mit license and more releasd under the mt license x"
     assert [(a, b) for a, b, *_ in license_scan.fuzzy(text)] == [(0, 28), (29, 59), (69, 97)]
-    rng = random.Random(6)
-    for notice, label in license_scan.NOTICES.items():
-        for _ in range(5):
-            flat, planted = "start", []
-            for _ in range(6):
-                t = list(notice)
-                for _ in range(rng.randint(0, license_scan.errors(notice))):
-                    t[rng.randrange(1, len(t) - 1)] = "q"
-                planted.append((len(flat) + 1, len(flat) + 1 + len(t)))
-                flat += " " + "".join(t) + rng.choice(["", " and more"])
-            # brute force: each planted place by itself, without windows or neighbours
-            pattern = license_scan.machine()[1][notice]
-            assert all(pattern.search(flat[a:b]) for a, b in planted)
-            found = [(a, b) for a, b, x, _ in license_scan.fuzzy(flat) if x == label]
-            assert all(any(a < d and c < b for c, d in found) for a, b in planted), flat
+    text = "released under the mit licence or else released under the mit license"
+    assert [(a, b) for a, b, *_ in license_scan.scan(text)["fuzzy"]] == [(0, 4), (7, 11)]
+
+
+def test_licence_time_is_linear():
+    import time
+
+    def seconds(n):
+        text = "Permission is hereby grantd, free of charge, to any person obtaining a copy. cc by mit license " * n
+        began = time.perf_counter()
+        out = license_scan.scan(text)
+        assert len(out["fuzzy"]) >= n and len(out["exact"]) == 2 * n and out["exact"][-1][0] == 17 * n - 2
+        return time.perf_counter() - began
+
+    seconds(10)
+    assert seconds(4000) < 16 * seconds(500)
+
+
+def test_own_notices_are_a_table(spark):
+    docs = spark.createDataFrame([(1, "Copyrite held by the guild of bakers, and mit license"), (2, None)], "doc_id bigint, text string")
+    out = {r["doc_id"]: r for r in license_scan.spans(docs, notices={"copyright held by the guild": "guild", "": "none"}).collect()}
+    assert [tuple(s) for s in out[1]["fuzzy"]] == [(0, 4, "guild", 3, 26)] and out[2]["n_words"] == 0
+    assert [tuple(s) for s in license_scan.spans(docs, notices={}).where("doc_id = 1").first()["exact"]] == [(8, "mit")]
+    row = license_scan.digest(spark.createDataFrame([(3, "releasd under the mt license, releasd under the mit license")], "doc_id bigint, text string")).first()
+    assert (row["n_spans"], row["spans"]) == (2, "0-4:mit:2;5-9:mit:1")
 
 
 # -- op5 ----------------------------------------------------------------------------------------------------
@@ -606,3 +634,140 @@ def test_toxicity_of_odd_tables(odd_docs, no_docs, labels):
 
 def test_words_of_unicode():
     assert toxicity.words_of("Été_1 naïve42 ok") == ["été", "naïve", "ok"] and regex.match(r"\w", "é")
+    assert toxicity.words_of("a²b — ½ x\u0301y") == re.findall(r"[^\W\d_]+", "a²b — ½ x\u0301y")
+    run = "".join(chr(0x4E00 + k) for k in range(100))
+    cut = toxicity.words_of(f"ab {run} cd")
+    assert max(map(len, cut)) == 24 and {run[i : i + 5] for i in range(96)} <= {w[i : i + 5] for w in cut for i in range(len(w) - 4)}
+
+
+def test_token_forms_agree(spark):
+    words = ["a", "abcd", "abcde", "disgusting", "aaaaaaaaaa", "été", "\U00010400" * 7, "x" * 24]
+    got = spark.createDataFrame([(w,) for w in words], "word string").select("word", toxicity.token_column(F.col("word")).alias("t")).collect()
+    assert all(len(r["t"]) == len(set(r["t"])) and set(r["t"]) == toxicity.tokens_of(r["word"]) for r in got)
+
+
+def test_segment_scan_is_linear():
+    import time
+
+    def seconds(n):
+        hits = [(7 * i, 1.0) for i in range(n)]  # sums before the hits fall steadily: no candidate is ever extended
+        rising = [(i, 3.0 if i % 3 else 0.5) for i in range(n)]
+        began = time.perf_counter()
+        assert len(toxicity.segments(hits)) == n and toxicity.segments(rising)
+        return time.perf_counter() - began
+
+    seconds(1000)
+    small = min(seconds(16_000) for _ in range(3))
+    assert min(seconds(160_000) for _ in range(2)) < 25 * small
+
+
+def test_scores_equal_brute_force(spark):
+    import math
+    import zlib
+
+    rng = __import__("random").Random(3)
+    common, bad = ["".join(rng.choice("abcdefgh") for _ in range(rng.randint(1, 9))) for _ in range(300)], ["poison", "vile", "nastyness", "unvile"]
+    rows = []
+    for d in range(500):
+        words = [rng.choice(common) for _ in range(rng.randint(1, 120))]
+        for _ in range(rng.choice([0, 0, 0, 1, 4])):
+            words.insert(rng.randint(0, len(words)), rng.choice(bad))
+        rows.append((d, " ".join(words)))
+    labels = spark.createDataFrame([(d, int(sum(t.count(w) for w in ("poison", "vile", "nasty")) > 1)) for d, t in rows], "doc_id bigint, toxic int")
+    part = spark.createDataFrame(rows, "doc_id bigint, text string")
+    y = {r["doc_id"]: r["toxic"] for r in labels.collect() if zlib.crc32(str(r["doc_id"]).encode()) % 3 != 1}
+    fold = {r["doc_id"]: r["f"] for r in part.select("doc_id", F.pmod(F.xxhash64("doc_id", F.lit(11)), F.lit(3)).alias("f")).collect()}
+    word = re.compile(r"[^\W\d_]+")
+
+    def tokens(w):
+        out = {"=" + w} | {"^" + w[:k] for k in (4, 6) if len(w) > k}
+        return out | {"~" + w[i : i + 5] for i in range(len(w) - 4)}
+
+    texts = {d: word.findall(t.lower()) for d, t in rows}
+    assert max(len(w) for ws in texts.values() for w in ws) <= 24
+    corpus, places = Counter(), 0
+    for ws in texts.values():
+        for w in set(ws):
+            corpus.update(tokens(w))
+            places += 1 + sum(len(w) > k for k in (4, 6)) + max(0, len(w) - 4)
+    learned = [d for d, _ in rows if d in y]
+
+    def model(but):
+        n, total = [Counter(), Counter()], [0, 0]
+        for d in learned:
+            if fold[d] != but:
+                for w in set(texts[d]):
+                    n[y[d]].update(tokens(w))
+                    total[y[d]] += len(tokens(w))
+        seen = {t for d in learned if y[d] for w in texts[d] for t in tokens(w)}
+        mass, out = 0.1 * sum(total), {}
+        for t in seen:
+            prior = mass * corpus[t] / places + 1e-3
+            a, b = n[1][t] + prior, n[0][t] + prior
+            odds = math.log(a / max(total[1] + mass + 1 - a, 0.5)) - math.log(b / max(total[0] + mass + 1 - b, 0.5))
+            out[t] = odds - (6.0 if t[0] == "~" else 2.33) * math.sqrt(1 / a + 1 / b)
+        return out
+
+    def segments_of(ws, weights):
+        scores, seen = [], Counter()
+        for w in ws:
+            v = max(0.0, max(weights.get(t, 0.0) for t in tokens(w)))
+            if v:
+                seen[w[:6]] += 1
+                v /= math.sqrt(seen[w[:6]])
+            scores.append(v)
+        # runs of words without weight can't begin or end a segment: cut them to what the drift adds up to
+        at = [i for i, v in enumerate(scores) if v]
+        found, low = [], 0
+        while low < len(at):  # parts that no segment can span, by the definition's own search inside them
+            high = low
+            while high + 1 < len(at) and 0.25 * (at[high + 1] - at[high]) < sum(scores):
+                high += 1
+            span = [v - 0.25 for v in scores[at[low] : at[high] + 1]]
+            found += [s for _, _, s in slow_segments(span)]
+            low = high + 1
+        return found
+
+    folds = [model(f) for f in range(3)]
+    raw = [(y[d], len(texts[d]), segments_of(texts[d], folds[fold[d]])) for d in learned]
+    clean = [(max(s, default=0.0), n) for q, n, s in raw if not q]
+    rate, log_k = toxicity.extreme_value(np.array([s for s, _ in clean]), np.array([n for _, n in clean], float))
+
+    def shape(n, s):
+        level = log_k + math.log(n + 1)
+        strong = [v for v in s if rate * v > level]
+        return (max(0.0, rate * max(s) - level), math.log1p(len(strong)), math.log1p(sum(rate * v for v in strong))) if s else (0.0, 0.0, 0.0)
+
+    x = np.array([shape(n, s) for _, n, s in raw])
+    curve = toxicity.fit_curve(x, np.array([q for q, _, _ in raw], float))
+    full = model(None)
+    want = {d: 1 / (1 + math.exp(-max(-30, min(30, curve[0] + sum(c * v for c, v in zip(curve[1:], shape(len(ws), segments_of(ws, full)), strict=True)))))) for d, ws in texts.items()}
+    got = {r["doc_id"]: r["score"] for r in toxicity.digest(part, labels).collect()}
+    assert max(curve[1:]) > 0 and max(want.values()) > 0.7 and len(set(want.values())) > 50
+    assert set(got) == set(want) and all(abs(got[d] - want[d]) < 1e-6 for d in want)
+
+
+def test_parts_of_weights_give_the_same_scores(spark):
+    sf = "/root/testdata/sf0.01"
+    docs, labels = spark.read.parquet(f"{sf}/documents.parquet"), spark.read.parquet(f"{sf}/labels.parquet")
+    one, many = toxicity.train(docs, labels), toxicity.train(docs, labels, part=30)
+    assert one.parts == 1 and many.parts > 2
+    a, b = ({r["doc_id"]: r["score"] for r in toxicity.score(docs, m).collect()} for m in (one, many))
+    assert set(a) == set(b) and all(abs(a[d] - b[d]) < 1e-9 for d in a)
+
+
+def test_labelled_ids_that_repeat_teach_once(spark, docs, labels):
+    many = docs.select("doc_id", "text").withColumn("k", F.explode(F.sequence(F.lit(1), F.lit(5)))).drop("k")
+    assert toxicity.learners(many, labels).count() == toxicity.learners(docs, labels).count() <= labels.count()
+    assert toxicity.learners(docs, labels, 7).count() <= 7
+
+
+def test_toxic_stems_inside_words_are_seen(spark):
+    rng = __import__("random").Random(2)
+    rows = [(i, " ".join("".join(rng.choice("abcdefghij") for _ in range(6)) for _ in range(60))) for i in range(400)]
+    rows = [(i, t + (" blubberpoison xx" if i % 4 == 0 else "")) for i, t in rows]
+    labels = spark.createDataFrame([(i, int(i % 4 == 0)) for i, _ in rows], "doc_id bigint, toxic int")
+    model = toxicity.train(spark.createDataFrame(rows, "doc_id bigint, text string"), labels)
+    new = [(1, rows[1][1] + " superpoisonous"), (2, rows[2][1])]
+    out = {r["doc_id"]: r["score"] for r in toxicity.score(spark.createDataFrame(new, "doc_id bigint, text string"), model).collect()}
+    assert out[1] > 2 * out[2] and out[2] < 0.2
