@@ -10,9 +10,14 @@ tiles. Cells return at most k rows a query, merged by one window over those. Not
 Equal vectors in a cell are compared once and stand for their smallest ids (k + 1 of them, as one may
 be the query's own), so a vector shared by a third of all rows costs no more than any other.
 
+Products are plain sums in double precision, component by component. Where lengths are so great that a bound or such a sum
+could overflow (or so small that it could vanish), every pair goes to the exact path; a sum that is no number (infinite parts of both signs) is
+taken over scaled components instead, so that it is infinite only if the product itself is beyond doubles.
+
 Defined results: vectors that are null, empty, zero or hold null or non-finite components take no part, nor
 do rows with a null id; a query meets candidates of its own dimension; repeated rows of one id and
-vector count once; ties go to the smaller id; fewer than k candidates give fewer rows.
+vector count once; an id with several vectors is several queries (each with ranks of its own) and several candidates,
+but never a neighbour of itself; ties go to the smaller id; fewer than k candidates give fewer rows.
 """
 
 from __future__ import annotations
@@ -33,25 +38,41 @@ def usable(vector: Column) -> Column:
     return vector.isNotNull() & (F.size(vector) > 0) & fine & F.exists(vector, lambda v: v != 0)
 
 
+#: Beyond these lengths of a pair's vectors, multiplied, plain sums or bounds might overflow or lose all digits.
+GREAT, SMALL = 1e300, 1e-250
+
+
+def lengths(x: np.ndarray) -> np.ndarray:
+    """Norms of rows, free of overflow inside."""
+    most = np.abs(x).max(axis=1)
+    most = np.where(most > 0, most, 1.0)
+    with np.errstate(over="ignore"):
+        return np.linalg.norm(x / most[:, None], axis=1) * most
+
+
 def quantise(x: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
     """int8 codes, scales, residual norms, norms of the codes' vectors (rows of x, double)."""
     scale = np.abs(x).max(axis=1) / 127
     scale[scale == 0] = np.finfo(float).tiny
     code = np.rint(x / scale[:, None]).clip(-127, 127).astype(np.int8)
     back = code * scale[:, None]
-    return code, scale, np.linalg.norm(x - back, axis=1), np.linalg.norm(back, axis=1)
+    return code, scale, lengths(x - back), lengths(back)
 
 
 def products(a: np.ndarray, b: np.ndarray) -> np.ndarray:
     """Inner products of paired rows, summed in the order of the components."""
-    out = a[:, 0] * b[:, 0]
-    for d in range(1, a.shape[1]):
-        out = out + a[:, d] * b[:, d]
+    with np.errstate(over="ignore", invalid="ignore"):
+        out = a[:, 0] * b[:, 0]
+        for d in range(1, a.shape[1]):
+            out = out + a[:, d] * b[:, d]
+        if (odd := np.isnan(out)).any():
+            ea, eb = (np.frexp(np.abs(x[odd]).max(axis=1))[1] for x in (a, b))
+            out[odd] = np.ldexp(np.ldexp(products(np.ldexp(a[odd], -ea[:, None]), np.ldexp(b[odd], -eb[:, None])), ea), eb)
     return out
 
 
 def search_cell(q_ids: np.ndarray, q: np.ndarray, c_ids: np.ndarray, c: np.ndarray, k: int = K) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """(query id, candidate id, score) of the k nearest in one cell, own rows excluded."""
+    """(place of the query, candidate id, score) of the k nearest in one cell, rows of the query's id excluded."""
     order = np.lexsort((c_ids, *c.T[::-1]))
     c_ids, c = c_ids[order], c[order]
     new = np.r_[True, (c[1:] != c[:-1]).any(axis=1)]
@@ -62,7 +83,7 @@ def search_cell(q_ids: np.ndarray, q: np.ndarray, c_ids: np.ndarray, c: np.ndarr
     u = c[starts]
     qc, qs, qe, qn = quantise(q)
     uc, us, ue, un = quantise(u)
-    length = np.linalg.norm(u, axis=1)
+    length, q_length = lengths(u), lengths(q)
     out_q, out_c, out_s = [], [], []
     for lo in range(0, len(q), TILE):
         part = slice(lo, min(lo + TILE, len(q)))
@@ -72,13 +93,16 @@ def search_cell(q_ids: np.ndarray, q: np.ndarray, c_ids: np.ndarray, c: np.ndarr
             tile = slice(at, min(at + TILE, len(u)))
             # float32 holds the integers below 2**24 exactly; wider vectors use double
             kind = np.float32 if q.shape[1] * 127 * 127 < 1 << 24 else np.float64
-            near = (qc[part].astype(kind) @ uc[tile].astype(kind).T).astype(np.float64) * qs[part, None] * us[None, tile]
-            bound = qe[part, None] * length[None, tile] + qn[part, None] * ue[None, tile]
-            bound = bound * (1 + 1e-9) + 1e-12 * (qn[part, None] + qe[part, None]) * length[None, tile]
-            low = near - bound
+            with np.errstate(over="ignore", invalid="ignore"):
+                near = (qc[part].astype(kind) @ uc[tile].astype(kind).T).astype(np.float64) * qs[part, None] * us[None, tile]
+                bound = qe[part, None] * length[None, tile] + qn[part, None] * ue[None, tile]
+                bound = bound * (1 + 1e-9) + 1e-12 * (qn[part, None] + qe[part, None]) * length[None, tile]
+                reach = q_length[part, None] * length[None, tile]
+                sure = (reach < GREAT) & (reach > SMALL)
+                low, high = np.where(sure, near - bound, -np.inf), np.where(sure, near + bound, np.inf)
             if low.shape[1] > k + 1:  # one of the vectors may stand for the query's own row alone
                 floor = np.maximum(floor, np.partition(low, low.shape[1] - k - 1, axis=1)[:, low.shape[1] - k - 1])
-            i, j = np.nonzero(near + bound >= floor[:, None])
+            i, j = np.nonzero(high >= floor[:, None])
             for s in range(0, len(i), 1 << 17):
                 ii, jj = i[s : s + (1 << 17)], j[s : s + (1 << 17)]
                 exact = products(q[lo + ii], u[at + jj])
@@ -104,7 +128,7 @@ def search_cell(q_ids: np.ndarray, q: np.ndarray, c_ids: np.ndarray, c: np.ndarr
             floor = np.maximum(floor, full)
         for a, heap in enumerate(heaps):
             for v, cid in sorted(heap, reverse=True):
-                out_q.append(int(q_ids[lo + a]))
+                out_q.append(lo + a)
                 out_c.append(-cid)
                 out_s.append(v)
     return np.array(out_q, np.int64), np.array(out_c, np.int64), np.array(out_s, np.float64)
@@ -119,19 +143,20 @@ def nearest(vectors: DataFrame, queries: Column, k: int = K, per_query_group: in
     if wide * high < 24:  # small inputs: still enough cells for the machines
         wide = max(1, min(-(-count["n"] // 512), 24 // high))
     spread = lambda n: F.sequence(F.lit(0), F.lit(n - 1))
-    asked = rows.where("is_query").select("id", "v", "dim", F.pmod(F.xxhash64("id"), F.lit(high)).cast("int").alias("i"), F.explode(spread(wide)).alias("j"), F.lit(0).alias("side"))
+    asked = rows.where("is_query").select("id", "v", "dim", F.xxhash64("v").alias("twin"), F.pmod(F.xxhash64("id"), F.lit(high)).cast("int").alias("i"), F.explode(spread(wide)).alias("j"), F.lit(0).alias("side"))
     held = rows.select("id", "v", "dim", F.explode(spread(high)).alias("i"), F.pmod(F.xxhash64("id", F.lit(5)), F.lit(wide)).cast("int").alias("j"), F.lit(1).alias("side"))
     cells = [F.col(c) for c in ("dim", "i", "j")]
 
     def cell(a: pd.DataFrame, b: pd.DataFrame) -> pd.DataFrame:
         if not len(a) or not len(b):
-            return pd.DataFrame({"query_id": [], "vec_id": [], "score": []})
-        a = a.drop_duplicates("id") if not a["id"].is_unique else a
+            return pd.DataFrame({"query_id": [], "twin": [], "vec_id": [], "score": []})
+        a = a.drop_duplicates(["id", "twin"]) if not a["id"].is_unique else a
         q, c, s = search_cell(a["id"].to_numpy(), np.stack(a["v"].to_numpy()).astype(float), b["id"].to_numpy(), np.stack(b["v"].to_numpy()).astype(float), k)
-        return pd.DataFrame({"query_id": q, "vec_id": c, "score": s})
+        return pd.DataFrame({"query_id": a["id"].to_numpy()[q], "twin": a["twin"].to_numpy()[q], "vec_id": c, "score": s})
 
-    found = asked.groupBy(*cells).cogroup(held.groupBy(*cells)).applyInPandas(cell, "query_id bigint, vec_id bigint, score double")
-    w = Window.partitionBy("query_id").orderBy(F.desc("score"), "vec_id")
+    found = asked.groupBy(*cells).cogroup(held.groupBy(*cells)).applyInPandas(cell, "query_id bigint, twin bigint, vec_id bigint, score double")
+    # cells of one query may share an id's equal vectors, never a (query, candidate row): the window sees at most k rows a cell
+    w = Window.partitionBy("query_id", "twin").orderBy(F.desc("score"), "vec_id")
     return found.withColumn("rank", F.row_number().over(w)).where(F.col("rank") <= k).select("query_id", "rank", "vec_id", "score")
 
 

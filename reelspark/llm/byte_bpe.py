@@ -2,7 +2,7 @@
 
 The ranks name tokens as bytes; the library wants characters, so every byte is mapped to a printable
 character and back. Each match of the pattern (a piece) is encoded once per worker and remembered
-(up to ``REMEMBER`` pieces; then the memory starts anew), which bounds memory for texts of any length.
+(up to ``REMEMBER`` pieces of at most ``LONGEST`` characters; then the memory starts anew), which bounds memory for texts of any length.
 Decoding joins the tokens' bytes through the reversed byte table; a character whose bytes are split
 over tokens is whole again once they are joined, and ``StreamDecoder`` holds back its first bytes.
 
@@ -24,7 +24,7 @@ from pyspark.sql import functions as F
 from reelspark.llm.common import per_document
 
 RANKS = "byte_bpe_multi_50k.tiktoken"
-REMEMBER = 400_000
+REMEMBER, LONGEST = 400_000, 128
 
 
 @functools.cache
@@ -57,16 +57,25 @@ class ByteBpe:
         self.known: dict[str, tuple[int, ...]] = {}
 
     def learn(self, pieces: Iterable[str]) -> None:
-        """Encodes the pieces that are not yet known."""
-        new = [p for p in dict.fromkeys(pieces) if p not in self.known]
+        """Encodes the pieces that are not yet known; long ones are not remembered."""
+        pieces = [p for p in dict.fromkeys(pieces) if len(p) <= LONGEST]
+        new = [p for p in pieces if p not in self.known]
         if len(self.known) + len(new) > REMEMBER:
             self.known.clear()
-            new = list(dict.fromkeys(pieces))
+            new = pieces
         for at in range(0, len(new), 4096):
             part = new[at : at + 4096]
             for p, e in zip(part, self.library.encode_batch_fast(part, add_special_tokens=False), strict=True):
                 self.known[p] = tuple(e.ids)
 
+    def ids_of(self, pieces: list[str]) -> list[tuple[int, ...]]:
+        """The ids of each piece."""
+        try:
+            return list(map(self.known.__getitem__, pieces))
+        except KeyError:
+            self.learn(pieces)
+            return [self.known[p] if len(p) <= LONGEST else tuple(self.library.encode(p, add_special_tokens=False).ids) for p in pieces]
+
     def pieces(self, text: str, most: int = 100_000) -> Iterator[list[str]]:
         """The pattern's matches, in lists of bounded length."""
         if len(text) < most:
@@ -79,12 +88,7 @@ class ByteBpe:
     def encode(self, text: str) -> list[int]:
         out: list[int] = []
         for part in self.pieces(text):
-            try:
-                ids = list(itertools.chain.from_iterable(map(self.known.__getitem__, part)))
-            except KeyError:
-                self.learn(part)
-                ids = list(itertools.chain.from_iterable(map(self.known.__getitem__, part)))
-            out += ids
+            out += itertools.chain.from_iterable(self.ids_of(part))
         return out
 
     def offsets(self, ids: list[int]) -> list[tuple[int, int]]:

@@ -185,11 +185,16 @@ def feature_rows(docs: DataFrame, *keep: str) -> DataFrame:
     return per_document(docs.select("doc_id", "text", *keep), ["doc_id", "text", *keep], "doc_id bigint, " + "".join(f"{k} {kinds[k]}, " for k in keep) + "x array<double>", run)
 
 
-def train(docs: DataFrame, labels: DataFrame, bound: int = MAX_LABELLED) -> Model:
-    """Only (doc_id, label) of at most ``bound`` rows is broadcast; the same number of feature rows comes to the driver."""
+def taught(docs: DataFrame, labels: DataFrame, bound: int = MAX_LABELLED) -> DataFrame:
+    """(doc_id, label, x): the features of at most ``bound`` labelled ids, one row an id however often it occurs (the smallest features)."""
     chosen = training_labels(labels, "quality", MODULUS, REMAINDER, bound)
     joined = docs.select(F.col("doc_id").cast("bigint").alias("doc_id"), "text").join(F.broadcast(chosen), "doc_id")
-    rows = feature_rows(joined, "label").collect()
+    return feature_rows(joined, "label").groupBy("doc_id").agg(F.min("label").alias("label"), F.min("x").alias("x"))
+
+
+def train(docs: DataFrame, labels: DataFrame, bound: int = MAX_LABELLED) -> Model:
+    """Only (doc_id, label) of at most ``bound`` ids is broadcast; as many feature rows come to the driver."""
+    rows = taught(docs, labels, bound).collect()
     rows.sort(key=lambda r: (r["doc_id"], r["x"]))
     return fit(np.array([r["x"] for r in rows], float).reshape(-1, len(FEATURES)), np.array([r["label"] for r in rows], float))
 

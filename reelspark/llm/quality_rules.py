@@ -13,7 +13,7 @@ import numpy as np
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from reelspark.llm.common import per_document
+from reelspark.llm.common import fresh, per_document
 
 SYMBOLS = b"#*$%&|<>"
 MEASURES = ["n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "n_lines", "n_bangs", "n_upper", "n_letters"]
@@ -24,9 +24,9 @@ _NOT_UPPER = bytes(b for b in range(256) if not 65 <= b <= 90)
 _NOT_LETTER = bytes(b for b in range(256) if b not in _LETTERS)
 
 
-def _rules() -> dict[str, Column]:
-    """Rule name -> failed, over the measurements; integers only, so that SQL agrees to the bit."""
-    c = F.col
+def _rules(at: dict[str, str] | None = None) -> dict[str, Column]:
+    """Rule name -> failed, over the measurements; integers only, so that SQL agrees to the bit. ``at``: their columns' names, where others."""
+    c = lambda m: F.col((at or {}).get(m, m))
     return {
         "too_short": c("n_words") < 50,
         "repeated_windows": 100 * c("n_repeat_words") > 50 * c("n_words"),
@@ -95,11 +95,39 @@ def measurements(docs: DataFrame, text: str = "text") -> DataFrame:
     return per_document(docs.select(F.col("doc_id").cast("bigint"), F.col(text)), ["doc_id", text], LEDGER, run)
 
 
+def failed_bits(at: dict[str, str] | None = None) -> Column:
+    """Bit i is set if rule i failed."""
+    rules = _rules(at)
+    return sum((F.when(rules[r], F.lit(1 << i)).otherwise(F.lit(0)) for i, r in enumerate(RULES)), F.lit(0)).cast("bigint")
+
+
 def ledger(docs: DataFrame) -> DataFrame:
     """doc_id, every measurement, and ``failed``: bit i is set if rule i failed."""
-    rules = _rules()
-    bits = sum((F.when(rules[r], F.lit(1 << i)).otherwise(F.lit(0)) for i, r in enumerate(RULES)), F.lit(0))
-    return measurements(docs).withColumn("failed", bits.cast("bigint"))
+    return measurements(docs).withColumn("failed", failed_bits())
+
+
+def with_ledger(docs: DataFrame) -> tuple[DataFrame, str]:
+    """The documents, all columns and rows, with their ledger beside them, and the name of the failure bits' column.
+
+    Measured on each row itself: no join back, so nulls and repeats in doc_id do no harm.
+    """
+    from collections.abc import Iterator
+
+    import pyarrow as pa
+    from pyspark.sql.pandas.types import to_arrow_schema
+    from pyspark.sql.types import LongType, StructField, StructType
+
+    *names, failed = fresh(docs, *MEASURES, "failed")
+    schema = StructType([*docs.schema.fields, *(StructField(n, LongType()) for n in names)])
+    arrow, at = to_arrow_schema(schema), docs.columns.index("text")
+
+    def run(it: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in it:
+            rows = [measure(t) for t in batch.column(at).to_pylist()]
+            made = [pa.array([r[k] for r in rows], pa.int64()) for k in range(len(names))]
+            yield pa.RecordBatch.from_arrays([c.cast(f.type) for c, f in zip([*batch.columns, *made], arrow, strict=True)], schema=arrow)
+
+    return docs.mapInArrow(run, schema).withColumn(failed, failed_bits(dict(zip(MEASURES, names, strict=True)))), failed
 
 
 def verdict(policy: str = "v1", failed: str = "failed") -> Column:
@@ -119,33 +147,9 @@ def summary(book: DataFrame) -> DataFrame:
 
 
 def apply_rules(docs: DataFrame, policy: str = "v1") -> DataFrame:
-    """The documents that the policy keeps, with all their columns and rows (pipeline stage).
-
-    Evaluated on each row itself: no join back, so nulls and repeats in doc_id do no harm.
-    """
-    from collections.abc import Iterator
-
-    import pyarrow as pa
-    from pyspark.sql.types import StructType
-    from pyspark.sql.pandas.types import to_arrow_schema
-
-    names, bits = docs.columns, mask(POLICIES[policy])
-    arrow, at = to_arrow_schema(StructType(docs.schema.fields)), names.index("text")
-
-    def run(it: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in it:
-            ok = [not failed_bits(measure(t)) & bits for t in batch.column(at).to_pylist()]
-            out = batch.filter(pa.array(ok, pa.bool_()))
-            yield pa.RecordBatch.from_arrays([c.cast(f.type) for c, f in zip(out.columns, arrow, strict=True)], schema=arrow)
-
-    return docs.mapInArrow(run, docs.schema)
-
-
-def failed_bits(m: tuple[int, ...]) -> int:
-    """The rules once more, for one row of measurements; a test holds both forms together."""
-    n_words, chars, symbols, dup, repeat, lines, bangs, upper, letters = m
-    failed = [n_words < 50, 100 * repeat > 50 * n_words, 100 * symbols > 25 * n_words, 100 * dup > 50 * lines, 100 * bangs > 30 * n_words, 100 * upper > 60 * letters, chars > 40 * n_words]
-    return sum(1 << i for i, x in enumerate(failed) if x)
+    """The documents that the policy keeps, with all their columns and rows (pipeline stage): the ledger's bits decide."""
+    book, failed = with_ledger(docs)
+    return book.where(verdict(policy, failed)).select(*docs.columns)
 
 
 def digest(docs: DataFrame) -> DataFrame:

@@ -7,7 +7,8 @@ quotes at a separator. All of a text's candidates are found by one regular expre
 what stands around them in the whole text. Features: length, transitions between character kinds, dictionary coverage, spread of
 characters, shapes (hex, UUID, digits only, known prefixes, placeholders), path, and the neighbouring words. The forest is
 fitted by Spark's own learner on labelled findings and compiled into one column expression, so that
-scoring needs neither a join nor Python and no text is ever shuffled.
+scoring needs neither a join nor Python and no text is ever shuffled. The dictionary is the corpus' own most frequent
+words (``dictionary``: counted over all texts; a user's table of words can take its place), as one expression that tries common beginnings once.
 
 Defined results: null and empty texts have no findings; repeated rows give repeated findings; many
 candidates in one very long text are dealt with in chunks of ``CHUNK``; the two sentinels (Unicode
@@ -16,6 +17,8 @@ noncharacters) in a text count as replacement characters.
 
 from __future__ import annotations
 
+import re
+
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -36,8 +39,9 @@ _LOOSE = rf"(?<![{_RUN}])(?:(?:{_PREFIXES})[{_RUN}]+(?:={{1,2}}(?![={_RUN}]))?|(
 #: What stands before the value (groups 1 and 3) and the value (2, 4 and 5).
 CANDIDATE = rf"""((?:{_SET}|{_WORD})[ \t]*+["'`])({_QUOTED})|({_SET}[ \t]*+|{_WORD}[ \t]++(?:is[ \t]++)?)(?!-----BEGIN )({_PLAIN})|({_LOOSE}|-----BEGIN [A-Z ]{{0,30}}PRIVATE KEY-----)"""
 _OPEN, _CLOSE = "﷐", "﷑"
-#: Common letter groups of plain words (own choice), for dictionary coverage.
-_DICTIONARY = "the|and|ing|ion|ent|for|tha|nth|int|ere|tio|ter|est|ers|ati|hat|ate|all|eth|hes|ver|his|oft|ith|fth|sth|oth|res|ont|que|est|les|ein|ich|und|sch|den|man|user|name|data|file|test|http|html|index|image|page|main|config|value|version|release|build|object|class|string|number"
+#: Words of the dictionary where no table is given (own choice): plain words and common letter groups.
+GROUPS = tuple("the and ing ion ent for tha nth int ere tio ter est ers ati hat ate all eth hes ver his oft ith fth sth oth res ont que est les ein ich und sch den man user name data file test http html index image page main config value version release build object class string number".split())
+WORDS, SHORTEST_WORD, LONGEST_WORD = 2_000, 4, 16
 _KEYWORD = "(?i)(token|secret|passw|pwd|api.?key|access.?key|auth|credential|private|bearer|signature)"
 _HASHWORD = "(?i)(sha-?[0-9]{0,3}|md5|commit|checksum|digest|uuid|guid|etag|revision|isbn|hash|order|invoice|phone|card|account)"
 _PLACEHOLDER = r"(?i)^(true|false|null|none|nil|undefined|yes|no|string|str|int|bool|required|optional|empty|todo|changeme|xxx+|\*+|\.+|-+|\$.*|%.*|the|a|an|of|for|and|is|el|la|le|der|die|das)$"
@@ -48,12 +52,40 @@ def _flag(c: Column) -> Column:
     return F.coalesce(c, F.lit(False)).cast("double")
 
 
-def features(before: Column, value: Column, after: Column) -> Column:
+def dictionary(docs: DataFrame, size: int = WORDS, text: str = "text") -> DataFrame:
+    """(word, n): the ``size`` most frequent words of ``SHORTEST_WORD`` to ``LONGEST_WORD`` plain letters over all texts; of equals the first by name.
+
+    Words are counted in every task before they are shuffled, so a word that every text holds is no hot key."""
+    words = docs.select(F.explode(F.split(F.lower(F.col(text)), "[^a-z]+")).alias("word"))
+    words = words.where(F.length("word").between(SHORTEST_WORD, LONGEST_WORD)).groupBy("word").agg(F.count("*").alias("n"))
+    return words.orderBy(F.desc("n"), "word").limit(size)
+
+
+def alternatives(words) -> str:
+    """A regular expression for any of the words, longest first, that tries common beginnings once."""
+    tree: dict = {}
+    for w in words:
+        at = tree
+        for ch in w:
+            at = at.setdefault(ch, {})
+        at[""] = {}
+
+    def text(node: dict) -> str:
+        kids = [re.escape(ch) + text(kid) for ch, kid in sorted(node.items()) if ch]
+        if not kids:
+            return ""
+        inner = kids[0] if len(kids) == 1 and "" not in node else "(?:" + "|".join(kids) + ")"
+        return inner + "?" if "" in node else inner
+
+    return text({k: v for k, v in tree.items() if k}) or "(?!)"
+
+
+def features(before: Column, value: Column, after: Column, words: tuple[str, ...] = GROUPS) -> Column:
     """array<double> in the order of FEATURES; before and after are the text's parts around the value."""
     n = F.greatest(F.length(value), F.lit(1)).cast("double")
     tail, head = F.right(before, F.lit(48)), F.left(after, F.lit(24))
     kinds = F.regexp_replace(F.regexp_replace(F.regexp_replace(value, "[a-z]+", "a"), "[A-Z]+", "b"), "[0-9]+", "c")
-    left_over = F.length(F.regexp_replace(F.lower(value), _DICTIONARY, ""))
+    left_over = F.length(F.regexp_replace(F.lower(value), alternatives(words), ""))
     return F.array(
         F.least(n, F.lit(200.0)), F.length(kinds) / n, 1 - left_over / n, F.size(F.array_distinct(F.split(value, ""))) / n,
         F.length(F.regexp_replace(value, "[^0-9]", "")) / n, F.length(F.regexp_replace(value, "[^A-Z]", "")) / n,
@@ -65,9 +97,11 @@ def features(before: Column, value: Column, after: Column) -> Column:
     )
 
 
-def labelled_findings(spark: SparkSession, rows: int = 6000) -> DataFrame:
+def labelled_findings(spark: SparkSession, rows: int = 6000, words: tuple[str, ...] = GROUPS) -> DataFrame:
     """Own labelled findings (before, value, after, label), made from hashes of a number: keys in assignments against
-    digests, identifiers, paths, numbers and long words. A user's own table of this shape can take its place."""
+    digests, identifiers, paths, numbers and words of the dictionary. A user's own table of this shape can take its place."""
+    known = F.array(*map(F.lit, words[:500] or GROUPS))
+    drawn = lambda k: F.element_at(known, (F.pmod(F.xxhash64(F.lit(k), "id"), F.size(known)) + 1).cast("int"))
     h = lambda k: F.sha2(F.concat(F.lit(f"{k}:"), F.col("id").cast("string")), 256)
     pick = lambda k, *choices: F.element_at(F.array(*map(F.lit, choices)), (F.pmod(F.xxhash64(F.lit(k), "id"), F.lit(len(choices))) + 1).cast("int"))
     u = lambda k, n: F.pmod(F.xxhash64(F.lit(k), "id"), F.lit(n))
@@ -77,7 +111,8 @@ def labelled_findings(spark: SparkSession, rows: int = 6000) -> DataFrame:
     named = F.concat(pick(4, "the of and ", "export ", "x\n", "en la ", ""), pick(5, "token", "TOKEN", "secret", "api_key", "apikey", "password", "access-key", "auth_token", "Authorization: Bearer", "client_secret", "private_key"), pick(6, " = ", "=", ": ", " = ", ":"), pick(7, '"', "'", "", '"'))
     close = lambda k: F.concat(pick(7, '"', "'", "", '"'), pick(k, " and the", "\n", "!! ", " ### ", ", ", ""))
     uuid = F.concat_ws("-", F.substring(h(2), 1, 8), F.substring(h(2), 9, 4), F.substring(h(2), 13, 4), F.substring(h(2), 17, 4), F.substring(h(2), 21, 12))
-    syllables = F.concat(*[pick(20 + i, "the", "ing", "tion", "ver", "est", "and", "que", "lich", "ment", "er", "on", "re") for i in range(6)])
+    syllables = F.col("w_syllables")
+    made_up = F.concat(*[pick(20 + i, "the", "ing", "tion", "ver", "est", "and", "que", "lich", "ment", "er", "on", "re") for i in range(6)])
     digits = F.left(F.regexp_replace(F.concat(h(2), h(8)), "[^0-9]", ""), (16 + u(10, 4)).cast("int"))
     path = F.concat(pick(11, "static/", "images/", "src/main/", "docs/2021/"), syllables, pick(12, "/page-", "_v", "-"), u(13, 9999).cast("string"))
     plain = F.element_at(F.array(
@@ -89,8 +124,8 @@ def labelled_findings(spark: SparkSession, rows: int = 6000) -> DataFrame:
         F.struct(pick(14, "name = ", "the ", "version: ").alias("before"), F.concat(pick(18, "release", "build", "index"), F.lit("-"), syllables, F.lit("-20"), (10 + u(17, 15)).cast("string")).alias("value"), pick(16, " in the", "\n", ", ").alias("after")),
     ), (u(19, 6) + 1).cast("int"))
     pem = F.struct(pick(14, "", "\n", "key: ").alias("before"), F.concat(F.lit("-----BEGIN "), pick(15, "", "RSA ", "EC ", "OPENSSH "), F.lit("PRIVATE KEY-----")).alias("value"), F.lit("\n").alias("after"))
-    made = {}
-    made["w_word"] = F.concat(*[F.when(u(50, 3) >= i, pick(51 + i, "the", "ing", "tion", "ver", "est", "and", "que", "lich", "ment", "er", "on", "re", "bo", "ka", "lu", "zi")).otherwise("") for i in range(3)])
+    made = {"w_syllables": F.when(u(47, 2) == 0, F.concat(drawn(48), drawn(49))).otherwise(made_up)}
+    made["w_word"] = F.when(u(45, 2) == 0, drawn(46)).otherwise(F.concat(*[F.when(u(50, 3) >= i, pick(51 + i, "the", "ing", "tion", "ver", "est", "and", "que", "lich", "ment", "er", "on", "re", "bo", "ka", "lu", "zi")).otherwise("") for i in range(3)]))
     word, hand, letters = F.col("w_word"), F.col("w_hand"), F.col("w_letters")
     made["w_hand"] = F.concat(word, pick(54, "!", "&", "#", "$", "@", "_", "-", ""), F.initcap(pick(55, "dor", "gun", "pax", "mio", "zet")), u(56, 997).cast("string"), pick(57, "!", "?x", "&3", "", ""))
     made["w_letters"] = F.translate(F.left(h(6), (8 + u(58, 24)).cast("int")), "0123456789", "ghijkqxyzw")
@@ -115,12 +150,12 @@ def labelled_findings(spark: SparkSession, rows: int = 6000) -> DataFrame:
     return steps.select("id", (F.col("id") % 2 == 0).cast("int").alias("label"), F.when(F.col("id") % 2 == 0, secret).otherwise(plain).alias("f")).select("label", "f.before", "f.value", "f.after")
 
 
-def train(findings: DataFrame, trees: int = 24, depth: int = 6, seed: int = 7):
+def train(findings: DataFrame, trees: int = 24, depth: int = 6, seed: int = 7, words: tuple[str, ...] = GROUPS):
     """A random forest over labelled findings (before, value, after, label)."""
     from pyspark.ml.classification import RandomForestClassifier
     from pyspark.ml.functions import array_to_vector
 
-    rows = findings.select(array_to_vector(features(F.coalesce("before", F.lit("")), F.coalesce("value", F.lit("")), F.coalesce("after", F.lit("")))).alias("x"), F.col("label").cast("double").alias("y"))
+    rows = findings.select(array_to_vector(features(F.coalesce("before", F.lit("")), F.coalesce("value", F.lit("")), F.coalesce("after", F.lit("")), words)).alias("x"), F.col("label").cast("double").alias("y"))
     return RandomForestClassifier(featuresCol="x", labelCol="y", numTrees=trees, maxDepth=depth, seed=seed, featureSubsetStrategy="sqrt").fit(rows)
 
 
@@ -164,29 +199,37 @@ def _around(parts: Column, i: Column) -> tuple[Column, Column]:
     return F.right(near(lo, i, lambda p: F.right(p, F.lit(48))), F.lit(48)), F.left(near(i + 1, hi, lambda p: F.left(p, F.lit(24))), F.lit(24))
 
 
-def findings(docs: DataFrame, forest: list, text: str = "text") -> DataFrame:
-    """doc_id, start and end (characters from 0), value, score, is_secret: one row per candidate."""
+def findings(docs: DataFrame, forest: list, text: str = "text", words: tuple[str, ...] = GROUPS) -> DataFrame:
+    """doc_id, start and end (characters from 0), value, score, is_secret: one row per candidate.
+
+    A text's parts are cut into chunks, each with its own parts, the context beside them and the place where it starts, so that a text
+    of many candidates becomes many rows of bounded size."""
     rows = docs.where(F.col(text).rlike(CANDIDATE)).select(F.col("doc_id").cast("bigint").alias("doc_id"), _parts(F.col(text)).alias("parts"))
-    rows = rows.withColumn("sizes", F.transform("parts", F.length))
-    total = lambda lo, n: F.aggregate(F.slice("sizes", lo, n), F.lit(0), lambda a, b: a + b)
-    rows = rows.withColumn("at", F.explode(F.sequence(F.lit(0), F.size("parts") - 2, F.lit(CHUNK))))
-    rows = rows.withColumn("base", total(F.lit(1), F.col("at")))
-    inside = F.sequence(F.col("at") + 1, F.least(F.col("at") + CHUNK, F.size("parts")) - 1, F.lit(2))
-    one = lambda i: F.struct((F.col("base") + total(F.col("at") + 1, i - F.col("at"))).alias("start"), _around(F.col("parts"), i)[0].alias("before"), F.get("parts", i).alias("value"), _around(F.col("parts"), i)[1].alias("after"))
-    rows = rows.select("doc_id", F.explode(F.transform(inside, one)).alias("f")).select("doc_id", "f.start", (F.col("f.start") + F.length("f.value")).alias("end"), "f.value", features(F.col("f.before"), F.col("f.value"), F.col("f.after")).alias("x"))
+    span = lambda lo, hi: F.slice("parts", lo + 1, hi - lo)
+    length = lambda parts: F.aggregate(F.transform(parts, F.length), F.lit(0).cast("bigint"), lambda a, b: a + b)
+    n = F.size("parts")
+    rows = rows.withColumn("heads", F.sequence(F.lit(0), n - 2, F.lit(CHUNK)))
+    rows = rows.withColumn("lengths", F.transform("heads", lambda at: length(span(at, F.least(at + CHUNK, n)))))
+    rows = rows.select("doc_id", F.inline(F.transform("heads", lambda at, c: F.struct(
+        F.aggregate(F.slice("lengths", F.lit(1), c), F.lit(0).cast("bigint"), lambda a, b: a + b).alias("base"), F.least(at, F.lit(48)).alias("lead"), F.least(F.lit(CHUNK), n - at).alias("own"),
+        span(F.greatest(at - 48, F.lit(0)), F.least(at + CHUNK + 25, n)).alias("parts"),
+    ))))
+    inside = F.sequence(F.col("lead") + 1, F.col("lead") + F.col("own") - 1, F.lit(2))
+    one = lambda i: F.struct((F.col("base") + length(F.slice("parts", F.col("lead") + 1, i - F.col("lead")))).alias("start"), _around(F.col("parts"), i)[0].alias("before"), F.get("parts", i).alias("value"), _around(F.col("parts"), i)[1].alias("after"))
+    rows = rows.where("own > 1").select("doc_id", F.explode(F.transform(inside, one)).alias("f")).select("doc_id", "f.start", (F.col("f.start") + F.length("f.value")).alias("end"), "f.value", features(F.col("f.before"), F.col("f.value"), F.col("f.after"), words).alias("x"))
     rows = rows.select("doc_id", F.col("start").cast("bigint").alias("start"), F.col("end").cast("bigint").alias("end"), "value", F.array("x").alias("xs"))
     scored = rows.withColumn("score", F.transform("xs", lambda x: forest_score(x, forest))[0])
     return scored.select("doc_id", "start", "end", "value", "score", (F.col("score") >= THRESHOLD).alias("is_secret"))
 
 
-def masked(docs: DataFrame, forest: list) -> DataFrame:
+def masked(docs: DataFrame, forest: list, words: tuple[str, ...] = GROUPS) -> DataFrame:
     """The documents with every secret replaced by ``MASK``; all rows and columns stay (pipeline stage)."""
     from reelspark.llm.common import fresh
 
     parts, xs, scores = fresh(docs, "s_parts", "s_x", "s_score")
     rows = docs.withColumn(parts, _parts(F.col("text")))
     odd = F.sequence(F.lit(1), F.size(parts) - 2, F.lit(2))
-    rows = rows.withColumn(xs, F.when(F.col(parts).isNotNull(), F.transform(odd, lambda i: features(_around(F.col(parts), i)[0], F.get(parts, i), _around(F.col(parts), i)[1]))))
+    rows = rows.withColumn(xs, F.when(F.col(parts).isNotNull(), F.transform(odd, lambda i: features(_around(F.col(parts), i)[0], F.get(parts, i), _around(F.col(parts), i)[1], words))))
     rows = rows.withColumn(scores, F.transform(xs, lambda x: forest_score(x, forest)))
     new = F.array_join(F.transform(parts, lambda p, i: F.when((i % 2 == 1) & (F.get(scores, ((i - 1) / 2).cast("int")) >= THRESHOLD), F.lit(MASK)).otherwise(p)), "")
     found = F.exists(scores, lambda s: s >= THRESHOLD)
@@ -197,7 +240,18 @@ def masked(docs: DataFrame, forest: list) -> DataFrame:
     return out.select(*docs.columns)
 
 
+def fitted(docs: DataFrame) -> tuple[list, tuple[str, ...]]:
+    """The corpus' dictionary and the forest that goes with it; at most ``WORDS`` words and the trees come to the driver."""
+    words = tuple(r["word"] for r in dictionary(docs).collect()) or GROUPS
+    return compile_forest(train(labelled_findings(docs.sparkSession, words=words), words=words)), words
+
+
 def digest(docs: DataFrame) -> DataFrame:
     """What op5 returns: every candidate with its verdict; the value itself stays inside."""
-    forest = compile_forest(train(labelled_findings(docs.sparkSession)))
-    return findings(docs, forest).drop("value")
+    forest, words = fitted(docs)
+    return findings(docs, forest, words=words).drop("value")
+
+
+def mask_secrets(docs: DataFrame) -> DataFrame:
+    """The pipeline's stage: a dictionary and a forest for these documents, then the documents with their secrets masked."""
+    return masked(docs, *fitted(docs))

@@ -1,14 +1,17 @@
 """Mixing sources to target weights, with DataFrame functions only.
 
 Each source's documents form one stream of words, in a pseudorandom order, packed into blocks of a fixed
-length. The mix is a sequence of slots, dealt to output shards. A source's number of slots is its target in blocks;
-which slots are its own is a pseudorandom permutation of all slots, so that a shard's counts per source are a
-multinomial draw conditioned on the exact totals (sampling noise in a shard, none in the whole). The k-th
-slot of a source takes, in its pass k div B over the source's B blocks, the block that a permutation of
-that source and pass gives; slots and blocks are joined by (source, block).
+length. The mix is a sequence of output shards of ``SHARD_SLOTS`` slots. Every slot draws its source by the weights, so a shard's
+counts are a multinomial draw; the draws are then reconciled with the targets (``Mix._settle``): a source
+drawn too often gives up a pseudorandom choice of its slots, and those go to the sources drawn too seldom. So a shard's counts carry the
+noise of sampling (and a share of the few moved slots), while the totals are met. The k-th slot of a source (in
+a pseudorandom order of its slots over all shards) takes, in its pass k div B over the source's B blocks, the block that a
+permutation of that source and pass gives; slots and blocks are joined by (source, block).
 
 Positions in a stream come from three levels of sums (bands of buckets of a source, buckets, rows of a bucket), so a
-source that holds a third of all rows is many buckets and never one task. Shuffles carry no text.
+source that holds a third of all rows is many buckets and never one task; likewise slots (bands of shards, shards, slots of a shard). Rows that agree
+in every key are counted first and then numbered, so that a third of all rows with one id (or none) spreads over the buckets like any others.
+Shuffles carry no text.
 
 Defined results: a null text has size 0; a null source is a source, the last; rows of size 0 are never taken; repeated rows are
 rows of their own; an empty table gives an empty result; no row is taken more than ``MOST`` times its size.
@@ -16,14 +19,15 @@ rows of their own; an empty table gives an empty result; no row is taken more th
 
 from __future__ import annotations
 
+import math
+
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from reelspark.llm.common import WORD_SQL, fresh
-from reelspark.llm.simhash import ensure_checkpoint_dir
+from reelspark.llm.common import WORD_SQL, Scratch, fresh
 
 MOST, WEIGHTS, SEED = 3, (1, 2, 3), 20
-BUCKET_ROWS, BUCKETS, SHARD_SLOTS, CHUNK, WALK = 512, 1_024, 1_024, 8_192, 64
+BUCKET_ROWS, BUCKETS, SHARD_SLOTS, SHARDS, CHUNK, WALK = 128, 1_024, 1_024, 1_024, 8_192, 64
 LONGEST_BLOCK, SHORTEST_BLOCK, BLOCKS_PER_SOURCE = 2_048, 16, 512
 
 
@@ -72,13 +76,28 @@ def permuted(value: Column, size: Column, *key: Column) -> Column:
     return F.when(walked < size, walked).otherwise(F.raise_error(F.lit("permutation walk did not end")))
 
 
-def slots(plan: DataFrame, tasks: int) -> DataFrame:
-    """Every slot of the mix: sid, pass, block, shard, position. ``plan``: sid, n_slots, n_blocks, first (sum of n_slots before), n_all."""
-    chunks = plan.where("n_slots > 0").withColumn("chunk", F.explode(F.sequence(F.lit(0).cast("bigint"), F.expr(f"(n_slots - 1) div {CHUNK}"))))
-    rows = chunks.repartition(tasks, "sid", "chunk").withColumn("k", F.explode(F.sequence(F.col("chunk") * CHUNK, F.least((F.col("chunk") + 1) * CHUNK, F.col("n_slots")) - 1)))
-    rows = rows.withColumns({"pass": F.expr("k div n_blocks"), "at": permuted(F.col("first") + F.col("k"), F.col("n_all"), F.lit(0))})
-    rows = rows.withColumn("block", permuted(F.pmod("k", "n_blocks"), F.col("n_blocks"), F.col("sid"), F.col("pass")))
-    return rows.select("sid", "pass", "block", F.expr(f"at div {SHARD_SLOTS}").alias("shard"), F.pmod("at", F.lit(SHARD_SLOTS)).alias("position"))
+def draw(plan: DataFrame, n_slots: int, n_sources: int) -> DataFrame:
+    """(shard, position, sid): every slot draws a source by the plan's shares (sid, first, n_slots).
+
+    The draw is a number below 2 ** 53; each source owns an interval of them. Slots meet sources in the cells of a grid over the
+    numbers, an equality join in which no cell is hot, however large a source's share."""
+    spark, cells = plan.sparkSession, 1 << min(16, max(10, math.ceil(math.log2(4 * max(1, n_sources)))))
+    edge = lambda c: F.floor(c.cast("double") / F.lit(float(n_slots)) * F.lit(float(1 << 53))).cast("bigint")
+    width = F.lit((1 << 53) // cells)
+    owned = plan.where("n_slots > 0").select("sid", edge(F.col("first")).alias("lo"), edge(F.col("first") + F.col("n_slots")).alias("hi"))
+    owned = owned.withColumn("cell", F.explode(F.sequence(F.floor(F.col("lo") / width).cast("bigint"), F.floor((F.col("hi") - 1) / width).cast("bigint"))))
+    number = F.shiftrightunsigned(F.xxhash64(F.lit(SEED + 9), "id"), 11)
+    asked = spark.range(0, n_slots, 1, max(1, min(20_000, n_slots // (8 * CHUNK)))).select("id", number.alias("u")).withColumn("cell", F.floor(F.col("u") / width).cast("bigint"))
+    return asked.join(owned, "cell").where("u >= lo AND u < hi").select(F.expr(f"id div {SHARD_SLOTS}").alias("shard"), F.pmod("id", F.lit(SHARD_SLOTS)).alias("position"), "sid")
+
+
+def numbered(rows: DataFrame, keys: list[str], twin: str) -> DataFrame:
+    """Equal rows told apart by a number from 0: counted first, so that many equal ones never meet in one task."""
+    counted = rows.groupBy(*rows.columns).agg(F.count("*").alias("n_equal"))
+    few = counted.where(F.col("n_equal") <= CHUNK).withColumn(twin, F.explode(F.sequence(F.lit(0).cast("bigint"), F.col("n_equal") - 1)))
+    many = counted.where(F.col("n_equal") > CHUNK).withColumn("part", F.explode(F.sequence(F.lit(0).cast("bigint"), F.expr(f"(n_equal - 1) div {CHUNK}"))))
+    many = many.repartition(*keys, "part").withColumn(twin, F.explode(F.sequence(F.col("part") * CHUNK, F.least((F.col("part") + 1) * CHUNK, F.col("n_equal")) - 1)))
+    return few.drop("n_equal").unionByName(many.drop("n_equal", "part"))
 
 
 class Mix:
@@ -88,8 +107,7 @@ class Mix:
     """
 
     def __init__(self, rows: DataFrame, keys: list[str], words: int | None = None):
-        ensure_checkpoint_dir(rows)
-        self.keys = keys
+        self.keys, self.scratch = keys, Scratch(rows, "mix")
         sized = rows.groupBy("source").agg(F.sum("size").alias("source_size"), F.count("*").alias("n_rows"))
         facts = sized.agg(F.coalesce(F.sum("source_size"), F.lit(0)).alias("total"), F.count("*").alias("sources"), F.coalesce(F.max("n_rows"), F.lit(0)).alias("most")).first()
         self.words = words or block_words(facts["total"], facts["sources"])
@@ -99,9 +117,10 @@ class Mix:
         n_slots = F.when(F.col("source_size") > 0, F.round(F.col("target") * blocks / F.col("source_size"))).otherwise(0).cast("bigint")
         plan = targets(sized.select("source", "source_size")).withColumns({"n_blocks": blocks, "n_slots": n_slots})
         whole = Window.orderBy("sid")
-        self.plan = plan.withColumns({"first": F.sum("n_slots").over(whole) - F.col("n_slots"), "n_all": F.sum("n_slots").over(whole.rowsBetween(Window.unboundedPreceding, Window.unboundedFollowing))}).checkpoint()
-        tasks = max(1, min(20_000, 4 * (facts["total"] // max(1, self.words)) // (CHUNK * 4) + 1))
-        self.slots = slots(self.plan, tasks)
+        self.plan = self.scratch.keep(plan.withColumn("first", F.sum("n_slots").over(whole) - F.col("n_slots")))
+        n = self.plan.agg(F.coalesce(F.sum("n_slots"), F.lit(0))).first()[0]
+        self.drawn = self.scratch.keep(draw(self.plan, n, facts["sources"]))
+        self.slots = self.scratch.keep(self._settle())
         dealt = rows.withColumn("bucket", F.pmod(F.xxhash64(F.lit(SEED), *keys), F.lit(buckets)))
         sums = dealt.groupBy("source", "bucket").agg(F.sum("size").alias("words")).withColumn("band", F.expr(f"bucket div {BUCKETS}"))
         inside = Window.partitionBy("source", "band").orderBy("bucket").rowsBetween(Window.unboundedPreceding, -1)
@@ -113,6 +132,30 @@ class Mix:
         order = Window.partitionBy("sid", "bucket").orderBy(F.xxhash64(F.lit(SEED + 1), *keys), *keys, "size")
         self.rows = placed.withColumns({"row": F.row_number().over(order), "start": F.col("offset") + F.sum("size").over(order.rowsBetween(Window.unboundedPreceding, 0)) - F.col("size")})
 
+    def _settle(self) -> DataFrame:
+        """The draws reconciled with the plan, as slots: shard, position, sid, pass, block.
+
+        A source's drawn slots are numbered over all shards and permuted: those numbered below its target stay its own; the others, numbered on
+        over all sources, go to the sources with too few, unit by unit."""
+        per = self.drawn.groupBy("shard", "sid").agg(F.count("*").alias("n")).withColumn("band", F.expr(f"shard div {SHARDS}"))
+        bands = per.groupBy("sid", "band").agg(F.sum("n").alias("n"))
+        before = lambda w: F.coalesce(F.sum("n").over(w.rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))
+        firsts = bands.select("sid", "band", before(Window.partitionBy("sid").orderBy("band")).alias("band_first"))
+        whole = Window.orderBy("sid")
+        drawn = bands.groupBy("sid").agg(F.sum("n").alias("drawn"))
+        plan = self.plan.select("sid", "n_slots", "n_blocks").join(drawn, "sid", "left").withColumn("drawn", F.coalesce("drawn", F.lit(0)))
+        plan = plan.withColumns({"over": F.greatest(F.col("drawn") - F.col("n_slots"), F.lit(0)), "under": F.greatest(F.col("n_slots") - F.col("drawn"), F.lit(0))})
+        plan = self.scratch.keep(plan.withColumns({"over_first": F.sum("over").over(whole) - F.col("over"), "under_first": F.sum("under").over(whole) - F.col("under")}))
+        per = per.withColumn("inner", before(Window.partitionBy("sid", "band").orderBy("shard"))).join(firsts, ["sid", "band"]).join(plan, "sid")
+        rank = F.row_number().over(Window.partitionBy("shard", "sid").orderBy("position"))
+        k = self.drawn.withColumn("rank", rank).join(per, ["shard", "sid"]).withColumn("k", permuted(F.col("band_first") + F.col("inner") + F.col("rank") - 1, F.col("drawn"), F.lit(1), F.col("sid")))
+        own = k.where("k < n_slots").select("shard", "position", "sid", "k", "n_blocks")
+        spare = k.where("k >= n_slots").select("shard", "position", (F.col("over_first") + F.col("k") - F.col("n_slots")).alias("unit"))
+        asked = plan.where("under > 0").withColumn("unit", F.explode(F.sequence(F.col("under_first"), F.col("under_first") + F.col("under") - 1)))
+        moved = spare.join(asked.select("unit", "sid", (F.col("drawn") + F.col("unit") - F.col("under_first")).alias("k"), "n_blocks"), "unit").select("shard", "position", "sid", "k", "n_blocks")
+        slots = own.unionByName(moved).withColumn("pass", F.expr("k div n_blocks"))
+        return slots.select("sid", "pass", permuted(F.pmod("k", "n_blocks"), F.col("n_blocks"), F.col("sid"), F.col("pass")).alias("block"), "shard", "position")
+
     def pieces(self) -> DataFrame:
         """One row per (row, block) that overlap: with the words of the row in the block; block null for empty rows."""
         last = F.expr(f"(start + size - 1) div {self.words}")
@@ -125,24 +168,24 @@ class Mix:
         """The mix itself: for every slot (shard, position) the pieces of its block, in order."""
         return self.slots.join(self.pieces().where("block IS NOT NULL"), ["sid", "block"]).select("shard", "position", "sid", "pass", "block", *self.keys, "word_from", "n_piece", "start")
 
-    def shard_counts(self) -> DataFrame:
-        """The draw: slots of each source in each shard."""
-        return self.slots.groupBy("shard", "sid").count()
+    def shard_counts(self, settled: bool = True) -> DataFrame:
+        """Slots of each source in each shard: of the mix, or as first drawn."""
+        return (self.slots if settled else self.drawn).groupBy("shard", "sid").count()
 
     def taken(self) -> DataFrame:
-        """Every row with the words that the mix takes of it, repeats counted, and the passes' blocks."""
-        uses = self.slots.groupBy("sid", "block").agg(F.count("*").alias("uses"), F.collect_list("pass").alias("passes"))
+        """Every row with the words that the mix takes of it, repeats counted, the passes' blocks, and its first place in the mix."""
+        uses = self.slots.groupBy("sid", "block").agg(F.count("*").alias("uses"), F.collect_list("pass").alias("passes"), F.min(F.struct("shard", "position")).alias("place"))
         joined = self.pieces().join(uses, ["sid", "block"], "left").withColumn("uses", F.coalesce("uses", F.lit(0)))
         chosen = F.collect_list(F.when(F.col("uses") > 0, F.struct("word_from", "n_piece", "passes")))
         carried = [F.first(c).alias(c) for c in ("source", "size", "source_size", "target", *self.keys)]
-        return joined.groupBy("sid", "bucket", "row").agg(*carried, F.coalesce(F.sum(F.col("n_piece") * F.col("uses")), F.lit(0)).alias("taken"), chosen.alias("chosen"))
+        return joined.groupBy("sid", "bucket", "row").agg(*carried, F.coalesce(F.sum(F.col("n_piece") * F.col("uses")), F.lit(0)).alias("taken"), chosen.alias("chosen"), F.min("place").alias("place"))
 
 
 def digest(docs: DataFrame) -> DataFrame:
-    """The columns that op3 returns."""
-    ensure_checkpoint_dir(docs)
-    rows = docs.select(F.col("doc_id").cast("bigint").alias("doc_id"), F.col("source").cast("string").alias("source"), word_count(F.col("text")).alias("size")).checkpoint()
-    return Mix(rows, ["doc_id"]).taken().select("doc_id", "size", "source_size", F.col("target").cast("double").alias("target"), "taken")
+    """The columns that op3 returns; first_shard and first_position: where the row's words stand first in the mix."""
+    rows = docs.select(F.col("doc_id").cast("bigint").alias("doc_id"), F.col("source").cast("string").alias("source"), word_count(F.col("text")).alias("size"), F.xxhash64("text").alias("ka"))
+    rows = Scratch(docs, "mix").keep(numbered(rows, ["doc_id", "ka"], "twin"))
+    return Mix(rows, ["doc_id", "ka", "twin"]).taken().select("doc_id", "size", "source_size", F.col("target").cast("double").alias("target"), "taken", F.col("place.shard").alias("first_shard"), F.col("place.position").alias("first_position"))
 
 
 def mixed(docs: DataFrame) -> DataFrame:
@@ -151,19 +194,18 @@ def mixed(docs: DataFrame) -> DataFrame:
     A row taken whole keeps its text as it is; of others the taken words are joined by spaces. A row taken in no pass
     is not part of the mix. The sums of words by source are those of ``digest``.
     """
-    ensure_checkpoint_dir(docs)
     a, b, c, twin = fresh(docs, "m_text", "m_id", "m_null", "m_twin")
     keyed = docs.withColumns({a: F.xxhash64(F.coalesce("text", F.lit("")), F.coalesce(F.col("source").cast("string"), F.lit("")), F.col("source").isNull()), b: F.coalesce(F.col("doc_id").cast("bigint"), F.lit(-(1 << 63))), c: F.col("doc_id").isNull()})
-    rows = keyed.select(F.col(a).alias("ka"), F.col(b).alias("kb"), F.col(c).alias("kc"), F.col("source").cast("string").alias("source"), word_count(F.col("text")).alias("size")).checkpoint()
-    taken = Mix(rows, ["ka", "kb", "kc"]).taken().where("taken > 0")
+    rows = keyed.select(F.col(a).alias("ka"), F.col(b).alias("kb"), F.col(c).alias("kc"), F.col("source").cast("string").alias("source"), word_count(F.col("text")).alias("size"))
+    rows = Scratch(docs, "mix").keep(numbered(rows, ["ka", "kb"], "kt"))
+    taken = Mix(rows, ["ka", "kb", "kc", "kt"]).taken().where("taken > 0")
     # rows that agree in all keys are told apart by a number on both sides
     ka, kb, kc, kt, size, chosen, p = fresh(docs, "m_ka", "m_kb", "m_kc", "m_kt", "m_size", "m_chosen", "m_pass")
-    number = F.row_number().over(Window.partitionBy("ka", "kb", "kc").orderBy(F.desc("taken"), "sid", "bucket", "row"))
-    numbered = taken.select(F.col("ka").alias(ka), F.col("kb").alias(kb), F.col("kc").alias(kc), number.alias(kt), F.col("size").alias(size), F.col("chosen").alias(chosen))
+    told = taken.select(F.col("ka").alias(ka), F.col("kb").alias(kb), F.col("kc").alias(kc), F.col("kt").alias(kt), F.col("size").alias(size), F.col("chosen").alias(chosen))
     rest = [x for x, kind in docs.dtypes if x not in ("doc_id", "text") and "map<" not in kind and "variant" not in kind]
-    texts = keyed.withColumn(twin, F.row_number().over(Window.partitionBy(a, b, c).orderBy(F.xxhash64(*rest) if rest else F.lit(0))))
+    texts = keyed.withColumn(twin, F.row_number().over(Window.partitionBy(a, b, c).orderBy(F.xxhash64(*rest) if rest else F.lit(0))) - 1)
     same = (F.col(a) == F.col(ka)) & (F.col(b) == F.col(kb)) & (F.col(c) == F.col(kc)) & ((F.col(twin) - F.col(kt)) == 0)
-    out = texts.join(numbered, same).withColumn(p, F.explode(F.array_distinct(F.flatten(F.transform(chosen, lambda x: x["passes"])))))
+    out = texts.join(told, same).withColumn(p, F.explode(F.array_distinct(F.flatten(F.transform(chosen, lambda x: x["passes"])))))
     mine = F.array_sort(F.transform(F.filter(chosen, lambda x: F.array_contains(x["passes"], F.col(p))), lambda x: F.struct(x["word_from"], x["n_piece"])))
     words = F.regexp_extract_all(F.col("text"), F.lit(WORD_SQL), F.lit(0))
     part = F.array_join(F.flatten(F.transform(mine, lambda x: F.slice(words, (x["word_from"] + 1).cast("int"), x["n_piece"].cast("int")))), " ")

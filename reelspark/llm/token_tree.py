@@ -5,24 +5,34 @@ replaces a span of characters: only the pieces it touches are split and encoded
 enough context before the span for the pattern's look-ahead and ending where the new pieces fall in step
 with old ones; their leaves are replaced and the sums on the paths above them are renewed.
 
+The trees are kept: ``build`` gives a table with one row a document (text, version, counts, and the tree's leaves packed, two
+small numbers a piece), which is written once; ``apply_edits`` takes that table and a table of edits, passes documents without
+edits on untouched (no Python, no shuffle of them if the edits are few), raises the trees of the others from their leaves without encoding
+anything, edits them, and gives the new table. Only regions around edits are encoded, ever again.
+
 Context before an edit: a match depends only on the text from its start on, and looks ahead over a whole run
 of white space plus ``AHEAD`` characters, so pieces ending before that are safe. After the edit, the first old
 boundary that is met again ends the work, because equal text from a boundary on gives equal pieces.
 
-Defined results: null texts count as empty ones (0 tokens); an edit may empty a text or fill an empty one; spans beyond the end are cut at the end.
+Defined results: null texts count as empty ones (0 tokens); an edit may empty a text or fill an empty one; spans beyond the end are cut at the end;
+edits of an id go to every row of that id, in the order of ``seq`` (then of their other columns), each in terms of the text as the ones before left it;
+edits of a null or unknown id do nothing; nulls in an edit count as 0, as 0 and as the empty text.
 """
 
 from __future__ import annotations
 
 import bisect
 import itertools
+import zlib
 from collections.abc import Callable
 
-from pyspark.sql import DataFrame
+import numpy as np
+
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from reelspark.llm import byte_bpe
-from reelspark.llm.common import per_document
+from reelspark.llm.common import Scratch, per_document
 
 LEAF, FAN, AHEAD = 64, 16, 4
 Counter = Callable[[list[str]], list[int]]
@@ -56,13 +66,28 @@ def raised(nodes: list[Node]) -> Node:
 
 
 class TokenTree:
-    def __init__(self, text: str, split: Callable, count: Counter):
-        """``split(text, at)`` yields pieces from a boundary on, lazily (``at`` None: all at once); ``count`` gives their token counts."""
+    def __init__(self, text: str, split: Callable, count: Counter, leaves: tuple[list[int], list[int]] | None = None):
+        """``split(text, at)`` yields pieces from a boundary on, lazily (``at`` None: all at once); ``count`` gives their token counts.
+        ``leaves``: the pieces' lengths and counts, if they are known already; then nothing is encoded."""
         self.text, self.split, self.count = text, split, count
-        pieces = list(split(text, None))
-        self.root = raised(leaves_of(list(map(len, pieces)), count(pieces)))
+        if leaves is None:
+            pieces = list(split(text, None))
+            leaves = list(map(len, pieces)), count(pieces)
+        self.root = raised(leaves_of(*leaves))
         self.encoded = 0  # pieces encoded by edits
 
+    def leaves(self) -> tuple[list[int], list[int]]:
+        """Lengths and token counts of all pieces, in order."""
+        lengths, counts, todo = [], [], [self.root]
+        while todo:
+            node = todo.pop()
+            if node.kids is None:
+                lengths += node.lengths
+                counts += node.counts
+            else:
+                todo += reversed(node.kids)
+        return lengths, counts
+
     @property
     def tokens(self) -> int:
         return self.root.tokens
@@ -195,56 +220,108 @@ def bpe_tools(path: str | None = None, pattern: str | None = None) -> tuple[Call
         out: list[int] = []
         for at in range(0, len(pieces), 100_000):  # no more than the memory of known pieces can hold
             part = pieces[at : at + 100_000]
-            try:
-                found = list(map(len, map(bpe.known.__getitem__, part)))
-            except KeyError:
-                bpe.learn(part)
-                found = list(map(len, map(bpe.known.__getitem__, part)))
-            out += found
+            out += map(len, bpe.ids_of(part))
         return out
 
     return split, count
 
 
-def edits_of(text: str) -> list[tuple[int, int, str]]:
-    """The edits of the registered query, each in terms of the text as the ones before left it:
-    a heading is put in front, the middle eighth (at most 200 characters) goes, and the last word is doubled."""
-    n = len(text)
-    head = "Revised copy 1.\n"
-    gone = min(200, n // 8)
-    mid = len(head) + n // 2
-    end = len(head) + n - gone
-    last = (text.rsplit(None, 1) or [""])[-1]
-    return [(0, 0, head), (mid, mid + gone, ""), (end, end, " " + last)]
+def pack(leaves: tuple[list[int], list[int]]) -> bytes:
+    """Lengths and counts as small numbers (seven bits a byte), compressed."""
+    flat = np.array(leaves, np.uint64).reshape(-1)
+    if not len(flat):
+        return b""
+    if flat.max() < 128:
+        return zlib.compress(flat.astype(np.uint8).tobytes(), 1)
+    digits = max(1, -(-int(flat.max()).bit_length() // 7))
+    parts = (flat[:, None] >> np.arange(0, 7 * digits, 7, dtype=np.uint64)) & np.uint64(127)
+    last = np.maximum(0, digits - 1 - (parts[:, ::-1] != 0).argmax(axis=1)) * (flat > 0)
+    at = np.arange(digits)
+    parts |= np.where(at < last[:, None], np.uint64(128), np.uint64(0))
+    return zlib.compress(parts.astype(np.uint8)[at <= last[:, None]].tobytes(), 1)
+
+
+def unpack(data: bytes) -> tuple[list[int], list[int]]:
+    if not data:
+        return [], []
+    raw = np.frombuffer(zlib.decompress(data), np.uint8)
+    ends = np.flatnonzero(raw < 128)
+    starts = np.r_[0, ends[:-1] + 1]
+    values = np.zeros(len(ends), np.uint64)
+    for k in range(int((ends - starts).max()) + 1):
+        there = starts + k <= ends
+        values[there] |= (raw[starts[there] + k] & 127).astype(np.uint64) << np.uint64(7 * k)
+    half = len(values) // 2
+    return values[:half].tolist(), values[half:].tolist()
 
 
-def counts(docs: DataFrame, edits: DataFrame | None = None, path: str | None = None, pattern: str | None = None) -> DataFrame:
-    """doc_id, n_tokens, n_pieces, n_tokens_edited, n_encoded (pieces encoded for the edits), n_pieces_edited.
+STATE = "doc_id bigint, version int, text string, n_tokens bigint, n_pieces bigint, tree binary"
 
-    ``edits`` may give (doc_id, edits array<struct<lo,hi,new>>), joined on the id; without it each text
-    gets ``edits_of``. Arrays of edits should be short against the texts, so a plain join serves.
-    """
-    source, given = docs.select(F.col("doc_id").cast("bigint").alias("doc_id"), "text"), edits is not None
-    if given:
-        source = source.join(edits.select("doc_id", F.col("edits").cast("array<struct<lo:int,hi:int,new:string>>").alias("edits")), "doc_id", "left")
+
+def build(docs: DataFrame, path: str | None = None, pattern: str | None = None) -> DataFrame:
+    """The state of every document, version 0: the only time that whole texts are encoded. Write it and read it back."""
 
     def run(cols: list[list]) -> list[list]:
         split, count = bpe_tools(path, pattern)
         out = []
-        for row in zip(*cols[1:], strict=True):
-            text = row[0] or ""
-            steps = edits_of(text) if not given else [(e["lo"], e["hi"], e["new"] or "") for e in row[1] or []]
-            tree = TokenTree(text, split, count)
-            before = (tree.tokens, tree.root.pieces)
-            for lo, hi, new in steps:
-                tree.edit(lo, hi, new)
-            out.append((*before, tree.tokens, tree.root.pieces, tree.encoded))
+        for text in cols[1]:
+            pieces = list(split(text or "", None))
+            counts = count(pieces)
+            out.append((0, text or "", sum(counts), len(pieces), pack((list(map(len, pieces)), counts))))
         return [cols[0], *map(list, zip(*out, strict=True))] if out else [[] for _ in range(6)]
 
-    names = ["doc_id", "text", *(["edits"] if given else [])]
-    return per_document(source, names, "doc_id bigint, n_tokens bigint, n_pieces bigint, n_tokens_edited bigint, n_pieces_edited bigint, n_encoded bigint", run)
+    return per_document(docs.select(F.col("doc_id").cast("bigint").alias("doc_id"), "text"), ["doc_id", "text"], STATE, run)
+
+
+def edited(rows: DataFrame, path: str | None = None, pattern: str | None = None) -> DataFrame:
+    """State rows with a column ``edits`` (array of lo, hi, new) -> the new state, with n_tokens_before, n_pieces_before and n_encoded."""
+
+    def run(cols: list[list]) -> list[list]:
+        split, count = bpe_tools(path, pattern)
+        out = []
+        for doc_id, version, text, n_tokens, n_pieces, tree, edits in zip(*cols, strict=True):
+            t = TokenTree(text, split, count, unpack(tree))
+            for e in edits:
+                t.edit(e["lo"] or 0, e["hi"] or 0, e["new"] or "")
+            out.append((doc_id, version + 1, t.text, t.tokens, t.root.pieces, pack(t.leaves()), n_tokens, n_pieces, t.encoded))
+        return list(map(list, zip(*out, strict=True))) if out else [[] for _ in range(9)]
+
+    names = [c.split()[0] for c in STATE.split(", ")]
+    return per_document(rows, [*names, "edits"], STATE + ", n_tokens_before bigint, n_pieces_before bigint, n_encoded bigint", run)
+
+
+FEW = 100_000  # edited ids up to which they are broadcast
+
+
+def apply_edits(state: DataFrame, edits: DataFrame, path: str | None = None, pattern: str | None = None) -> DataFrame:
+    """The new state after ``edits`` (doc_id, seq, lo, hi, new): versions of edited rows go up by one, other rows stay as they are.
+
+    An id's edits are one list, as they depend on each other; the texts of edited documents are joined with them (broadcast if
+    there are at most ``FEW`` ids)."""
+    steps = edits.where("doc_id IS NOT NULL").select(F.col("doc_id").cast("bigint").alias("doc_id"), F.struct("seq", F.col("lo").cast("int").alias("lo"), F.col("hi").cast("int").alias("hi"), "new").alias("e"))
+    lists = steps.groupBy("doc_id").agg(F.transform(F.array_sort(F.collect_list("e")), lambda e: F.struct(e["lo"].alias("lo"), e["hi"].alias("hi"), e["new"].alias("new"))).alias("edits"))
+    lists = Scratch(state, "edits").keep(lists)
+    small = lists.count() <= FEW
+    aside = F.broadcast if small else lambda x: x
+    changed = edited(state.join(aside(lists), "doc_id"), path, pattern)
+    same = state.join(aside(lists.select("doc_id")), "doc_id", "left_anti")
+    return same.withColumns({"n_tokens_before": F.col("n_tokens"), "n_pieces_before": F.col("n_pieces"), "n_encoded": F.lit(0).cast("bigint")}).unionByName(changed)
+
+
+def registered_edits() -> Column:
+    """The edits of the registered query as a column over ``text``, each in terms of the text as the ones before left it: a heading is
+    put in front, the middle eighth goes, and the last word is doubled."""
+    n, head = F.length("text"), "Revised copy 1.\n"
+    gone = F.floor(n / 8).cast("int")
+    mid, end = F.floor(n / 2).cast("int") + len(head), n + len(head) - gone
+    last = F.coalesce(F.regexp_extract("text", r"([^\x20\x09-\x0D]+)[\x20\x09-\x0D]*$", 1), F.lit(""))
+    one = lambda lo, hi, new: F.struct(lo.cast("int").alias("lo"), hi.cast("int").alias("hi"), new.alias("new"))
+    return F.array(one(F.lit(0), F.lit(0), F.lit(head)), one(mid, mid + gone, F.lit("")), one(end, end, F.concat(F.lit(" "), last)))
 
 
 def digest(docs: DataFrame) -> DataFrame:
-    """The columns that op7 returns."""
-    return counts(docs)
+    """The columns that op7 returns: a state is built and written, read back, and edited (heading, middle eighth, last word) in every document;
+    counts before and after, and the pieces encoded for the edits."""
+    state = Scratch(docs, "tokens").keep(build(docs), "zstd")
+    out = edited(state.withColumn("edits", registered_edits()))
+    return out.select("doc_id", F.col("n_tokens_before").alias("n_tokens"), F.col("n_pieces_before").alias("n_pieces"), F.col("n_tokens").alias("n_tokens_edited"), F.col("n_pieces").alias("n_pieces_edited"), "n_encoded")

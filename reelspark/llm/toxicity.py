@@ -20,8 +20,10 @@ rows that is 0; a token that stands in no toxic labelled document weighs nothing
 
 from __future__ import annotations
 
+import itertools
 import math
 import re
+from bisect import bisect_right
 from collections import Counter
 from collections.abc import Callable, Iterator
 from dataclasses import dataclass
@@ -37,7 +39,7 @@ MAX_LABELLED = 20_000
 MODULUS, REMAINDER, THRESHOLD, FOLDS = 3, 1, 0.7, 3
 DRIFT, BOUND_SD, INNER_SD, PRIOR_SHARE = 0.25, 2.33, 6.0, 0.1
 OPENINGS, INNER, LONG = (4, 6), 5, 24
-PART, FLUSH, REMEMBER = 250_000, 200_000, 200_000
+PART, FLUSH = 250_000, 500_000
 _WORD = re.compile(r"[^\W\d_]+")
 #: ASCII other than letters becomes a space; the bytes of other characters stay.
 _SPACED = bytes(b if 97 <= b <= 122 or b >= 128 else 32 for b in range(256))
@@ -107,32 +109,41 @@ def segments(hits: list[tuple[int, float]], drift: float = DRIFT) -> list[tuple[
     return [(a, b, y - x) for a, b, x, y in zip(first, last, low, high, strict=True)]
 
 
-def weigh(word: str, weights: dict[str, float]) -> float:
-    return max((weights[t] for t in tokens_of(word) if t in weights), default=0.0)
-
-
 class Weigher:
-    """Remembers the weights of words, at most ``REMEMBER`` of them; the dictionary of tokens is one part of the model's."""
+    """Weights of words, by one automaton over the tokens of a part: a whole word stands between blanks, an opening
+    behind one and before a letter, inner letters anywhere. Words without a token, nearly all, cost the scan of their letters only."""
 
     def __init__(self, weights: dict[str, float]):
-        self.weights, self.known = weights, {}
+        import ahocorasick
+
+        self.machine = ahocorasick.Automaton() if weights else None
+        found: dict[str, list[tuple[str, float]]] = {}
+        for token, weight in weights.items():
+            kind, letters = token[0], token[1:]
+            found.setdefault({"=": f" {letters} ", "^": f" {letters}", "~": letters}[kind], []).append((kind, weight))
+        for letters, tokens in found.items():
+            self.machine.add_word(letters, tokens)
+        if self.machine:
+            self.machine.make_automaton()
 
     def __call__(self, words: list[str]) -> list[tuple[int, float]]:
-        known = self.known
-        try:
-            found = list(map(known.__getitem__, words))
-        except KeyError:
-            if len(known) > REMEMBER:
-                known.clear()
-            found = []
-            for w in words:
-                v = known.get(w)
-                if v is None:
-                    v = weigh(w, self.weights)
-                    if len(known) <= REMEMBER:
-                        known[w] = v
-                found.append(v)
-        return [(i, v) for i, v in enumerate(found) if v] if any(found) else []
+        """(place, weight of the heaviest token) of every word that has one."""
+        if not self.machine or not words:
+            return []
+        flat = " " + " ".join(words) + " "
+        best: dict[int, float] = {}
+        starts = None
+        for end, tokens in self.machine.iter(flat):
+            for kind, weight in tokens:
+                if kind == "^" and flat[end + 1] == " ":
+                    continue
+                if starts is None:
+                    starts = [0, *itertools.accumulate(map(len, words))]  # letters before each word; its place adds the blanks
+                    starts = list(map(int.__add__, starts, range(len(starts))))
+                at = bisect_right(starts, end - 1 - (kind == "=")) - 1
+                if weight > best.get(at, 0.0):
+                    best[at] = weight
+        return sorted(best.items())
 
 
 def damped(words: list[str], hits: list[tuple[int, float]]) -> list[tuple[int, float]]:
@@ -182,12 +193,20 @@ def extreme_value(scores: np.ndarray, sizes: np.ndarray) -> tuple[float, float]:
     return rate, float(np.mean(rate * scores - np.log(sizes + 1)) - 0.5772)
 
 
+def places(n: int) -> int:
+    """Tokens of a word of n letters, equal ones counted each."""
+    return 1 + sum(n > k for k in OPENINGS) + max(0, n - INNER + 1)
+
+
 def word_counts(docs: DataFrame, cells: int) -> DataFrame:
-    """(word, c0, c1, ...): documents of each cell that hold the word; ``docs`` has text and cell."""
+    """(word, c0, c1, ...): documents of each cell that hold the word; ``docs`` has text and cell. The empty word counts all
+    tokens' places, a document's distinct words once each."""
     names = [f"c{k}" for k in range(cells)]
     schema = "word string, " + ", ".join(f"{c} bigint" for c in names)
 
     def batch_of(counts: list[Counter]) -> pa.RecordBatch:
+        for c in counts:
+            c[""] = sum([n * places(len(w)) for w, n in c.items()])
         words = list(dict.fromkeys(w for c in counts for w in c))
         return pa.RecordBatch.from_arrays([pa.array(words, pa.string()), *(pa.array([c[w] for w in words], pa.int64()) for c in counts)], names=["word", *names])
 
@@ -204,10 +223,12 @@ def word_counts(docs: DataFrame, cells: int) -> DataFrame:
     return docs.select("text", "cell").mapInArrow(run, schema).groupBy("word").agg(*[F.sum(c).alias(c) for c in names])
 
 
-def token_counts(words: DataFrame) -> DataFrame:
-    """(token, c0, ...) from (word, c0, ...)."""
+def token_counts(words: DataFrame, asked: DataFrame | None = None) -> DataFrame:
+    """(token, c0, ...) from (word, c0, ...), of the tokens ``asked`` for or all; the empty token stands for the empty word."""
     names = [c for c in words.columns if c != "word"]
-    return words.select(F.explode(token_column(F.col("word"))).alias("token"), *names).groupBy("token").agg(*[F.sum(c).alias(c) for c in names])
+    tokens = F.when(F.col("word") == "", F.array(F.lit(""))).otherwise(token_column(F.col("word")))
+    rows = words.select(F.explode(tokens).alias("token"), *names)
+    return (rows if asked is None else rows.join(asked, "token", "left_semi")).groupBy("token").agg(*[F.sum(c).alias(c) for c in names])
 
 
 def weight_column(token: Column, toxic: Column, other: Column, corpus: Column, n_toxic: float, n_other: float, n_corpus: float) -> Column:
@@ -270,15 +291,12 @@ def fold_weights(docs: DataFrame, learned: DataFrame, scratch: Scratch, part: in
     """The table (token, part, w, w0, w1, ...) of all positive weights, whole and without each fold, and its number of parts."""
     cells = 2 * FOLDS
     all_cells = [f"c{k}" for k in range(cells)]
-    taught = scratch.keep(token_counts(word_counts(learned, cells)).withColumn("toxic", sum((F.col(f"c{k}") for k in range(1, cells, 2)), F.lit(0))))
-    sums = taught.agg(*[F.coalesce(F.sum(c), F.lit(0)).alias(c) for c in all_cells]).first()
-    words = scratch.keep(word_counts(docs.select("text", F.lit(0).alias("cell")), 1))
-    asked = taught.where("toxic > 0")
-    seen = words.select(F.explode(token_column(F.col("word"))).alias("token"), F.col("c0").alias("n"))
-    n = F.length("word")
-    places = 1 + sum((n > k).cast("int") for k in OPENINGS) + F.greatest(n - (INNER - 1), F.lit(0))
-    n_corpus = float(words.agg(F.coalesce(F.sum(F.col("c0") * places), F.lit(0))).first()[0])
-    corpus = seen.join(asked.select("token"), "token", "left_semi").groupBy("token").agg(F.sum("n").alias("corpus"))
+    taught = scratch.keep(token_counts(word_counts(learned, cells)).withColumn("toxic", sum((F.col(c) for c in all_cells[1::2]), F.lit(0))))
+    sums = taught.where("token = ''").first()
+    asked = taught.where("toxic > 0 AND token <> ''")
+    wanted = asked.select("token").unionByName(taught.where("token = ''").select("token"))
+    corpus = scratch.keep(token_counts(word_counts(docs.select("text", F.lit(0).alias("cell")), 1), wanted).select("token", F.col("c0").alias("corpus")))
+    n_corpus = float(corpus.where("token = ''").first()["corpus"])
     rows = asked.join(corpus, "token", "left").withColumn("corpus", F.coalesce("corpus", F.lit(0)).cast("double"))
     made = {}
     for name, but in [("w", None), *((f"w{f}", f) for f in range(FOLDS))]:
