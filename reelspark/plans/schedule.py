@@ -6,6 +6,7 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from reelspark.model.expr import needs
+from reelspark.operators.running import running
 
 
 def schedule(spec: DataFrame) -> DataFrame:
@@ -27,13 +28,13 @@ def sliding_need_set(refs: DataFrame, width: int) -> DataFrame:
     """Size of the need set of generations gen .. gen + width - 1, for every gen, without holding a window's frames.
 
     A reference counts for every start from which it is the window's first use of its frame: a run of starts,
-    given as +1 and -1 events whose running sum is the size. The running sum is per spec; for long specs start from the sums of blocks.
+    given as +1 and -1 events whose running sum (in blocks of starts) is the size.
     """
     prev = F.lag("gen").over(Window.partitionBy("spec_id", "source_id", "idx").orderBy("gen"))
     runs = refs.select("spec_id", "gen", F.greatest(F.col("gen") - (width - 1), F.coalesce(prev + 1, F.lit(0)), F.lit(0)).alias("lo"))
     events = runs.select("spec_id", F.inline(F.array(F.struct(F.col("lo").alias("at"), F.lit(1).alias("d")), F.struct((F.col("gen") + 1).alias("at"), F.lit(-1).alias("d"))))).groupBy("spec_id", "at").agg(F.sum("d").alias("d"))
-    size = F.sum("d").over(Window.partitionBy("spec_id").orderBy("at"))
-    return events.select("spec_id", F.col("at").alias("window_lo"), size.cast("bigint").alias("n"))
+    size = running(events, ["spec_id"], "at", "d", "before")
+    return size.select("spec_id", F.col("at").alias("window_lo"), (F.col("before") + F.col("d")).cast("bigint").alias("n"))
 
 
 def next_needed(refs: DataFrame) -> DataFrame:

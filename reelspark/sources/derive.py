@@ -13,6 +13,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
+from reelspark.operators.running import numbered, running
 from reelspark.session import table
 
 SIDE, GOP_LEN, N_COLLECTION = 16, 60, 100
@@ -59,13 +60,10 @@ def main_frames(spark: SparkSession, sf_dir: str, lo: int | None = None, hi: int
 
 
 def collection_frames(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """100 clips: order i belongs to clip custkey mod 100, at its rank there.
-
-    The rank needs a window per clip; a clip is one source and stays below a task's memory (a row has five numbers).
-    """
+    """100 clips: order i belongs to clip custkey mod 100, at its rank there (counted in blocks of orders)."""
     rows = _order_columns(table(spark, sf_dir, "orders")).withColumn("c", F.pmod("cust", F.lit(N_COLLECTION)))
-    local = F.row_number().over(Window.partitionBy("c").orderBy("i")) - 1
-    rows = rows.select(F.concat(F.lit("coll/"), F.col("c").cast("string")).alias("source_id"), local.cast("bigint").alias("idx"), "i", "price_k", "cust", "status")
+    rows = numbered(rows, ["c"], "i", "idx", 1 << 18)
+    rows = rows.select(F.concat(F.lit("coll/"), F.col("c").cast("string")).alias("source_id"), F.col("idx").cast("bigint").alias("idx"), "i", "price_k", "cust", "status")
     return _packed(rows, _main_pack)
 
 
@@ -110,10 +108,10 @@ def heat_frames(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def captions(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """(source_id, doc_id, start_frame, n_frames, text): 15 characters a frame, documents in id order within a source."""
-    d = table(spark, sf_dir, "documents").withColumn("n_frames", F.floor((F.col("n_chars") + 14) / 15).cast("bigint"))
-    before = F.sum("n_frames").over(Window.partitionBy("source").orderBy("doc_id")) - F.col("n_frames")
-    return d.select(F.concat(F.lit("cap/"), F.col("source")).alias("source_id"), "doc_id", before.alias("start_frame"), "n_frames", "text")
+    """(source_id, doc_id, start_frame, n_frames): 15 characters a frame, documents in id order within a source. Three numbers a
+    document; texts stay where they are."""
+    d = table(spark, sf_dir, "documents").select(F.concat(F.lit("cap/"), F.col("source")).alias("source_id"), "doc_id", F.floor((F.col("n_chars") + 14) / 15).cast("bigint").alias("n_frames"))
+    return running(d, ["source_id"], "doc_id", "n_frames", "start_frame").select("source_id", "doc_id", "start_frame", "n_frames")
 
 
 def catalogue(spark: SparkSession, sf_dir: str, gop_len: int = GOP_LEN) -> DataFrame:

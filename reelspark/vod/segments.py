@@ -6,6 +6,7 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from reelspark.model.schemas import SEGMENT_SECONDS
+from reelspark.operators.running import numbered, running
 
 
 def frames_per_segment(num: Column, den: Column) -> Column:
@@ -52,11 +53,10 @@ def mpd(rows: DataFrame) -> DataFrame:
 def prefix(pushed: DataFrame, seg_frames: int) -> DataFrame:
     """Pushed generations (spec_id, gen) -> (spec_id, listed): whole segments of the longest run from 0, repeats ignored.
 
-    The n-th distinct generation is in the run if it equals n - 1. One window per spec: a spec is one result video.
+    The n-th distinct generation is in the run if it equals n - 1.
     """
-    g = pushed.select("spec_id", "gen").distinct()
-    r = F.row_number().over(Window.partitionBy("spec_id").orderBy("gen")) - 1
-    return g.withColumn("r", r).groupBy("spec_id").agg(F.expr(f"count_if(gen = r) div {seg_frames}").alias("listed"), F.count_if(F.col("gen") == F.col("r")).alias("prefix"))
+    g = numbered(pushed.select("spec_id", "gen").distinct(), ["spec_id"], "gen", "r")
+    return g.groupBy("spec_id").agg(F.expr(f"count_if(gen = r) div {seg_frames}").alias("listed"), F.count_if(F.col("gen") == F.col("r")).alias("prefix"))
 
 
 def event_rows(log: DataFrame, seg_frames: int, close_last: bool = True) -> DataFrame:
@@ -64,9 +64,7 @@ def event_rows(log: DataFrame, seg_frames: int, close_last: bool = True) -> Data
 
     Columns: spec_id, seg, at_ord, ended. Frames of the last, short segment appear once the spec is closed.
     """
-    w = Window.partitionBy("spec_id").orderBy("ord")
-    whole = Window.partitionBy("spec_id")
-    t = log.withColumns({"upto": F.sum("frames").over(w), "all": F.sum("frames").over(whole), "last": F.max("ord").over(whole)})
+    t = running(log, ["spec_id"], "ord", "frames", "had", whole={"last": "last"}).withColumn("upto", F.col("had") + F.col("frames"))
     before = F.expr(f"(upto - frames) div {seg_frames}")
     closing = F.lit(close_last) & (F.col("ord") == F.col("last"))
     now = F.when(closing, F.expr(f"(upto + {seg_frames - 1}) div {seg_frames}")).otherwise(F.expr(f"upto div {seg_frames}"))

@@ -3,10 +3,11 @@
 from __future__ import annotations
 
 import pandas as pd
-from pyspark.sql import DataFrame, SparkSession, Window
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from reelspark.engine import exec as engine
+from reelspark.operators.running import running
 from reelspark.registry import query
 from reelspark.session import table
 from reelspark.sources.derive import GOP_LEN
@@ -81,8 +82,7 @@ def manifest_event(spark: SparkSession, sf_dir: str) -> DataFrame:
 @query("w_incremental", f"WITH {LOG_SQL}, t AS (SELECT *, sum(frames) OVER (PARTITION BY user_id ORDER BY event_id) AS upto FROM log) SELECT user_id AS spec_id, min(event_id) FILTER (upto >= 60) AS first_push, min(us) FILTER (upto >= 60) - min(us) AS wait_us FROM t GROUP BY 1")
 def w_incremental(spark: SparkSession, sf_dir: str) -> DataFrame:
     """When each spec's first segment can play: at the push that brings its 60th frame."""
-    w = Window.partitionBy("spec_id").orderBy("ord")
-    t = push_log(spark, sf_dir).withColumn("upto", F.sum("frames").over(w))
+    t = running(push_log(spark, sf_dir), ["spec_id"], "ord", "frames", "had").withColumn("upto", F.col("had") + F.col("frames"))
     ready = F.col("upto") >= 60
     return t.groupBy("spec_id").agg(F.min(F.when(ready, F.col("ord"))).alias("first_push"), (F.min(F.when(ready, F.col("us"))) - F.min("us")).alias("wait_us"))
 
@@ -93,7 +93,7 @@ def poll(spark: SparkSession, sf_dir: str) -> DataFrame:
     from reelspark.operators.joins import asof_join
 
     log = push_log(spark, sf_dir)
-    t = log.withColumn("upto", F.sum("frames").over(Window.partitionBy("spec_id").orderBy("ord"))).select("spec_id", "us", "upto")
+    t = running(log, ["spec_id"], "ord", "frames", "had").select("spec_id", "us", (F.col("had") + F.col("frames")).alias("upto"))
     days = F.explode(F.transform(F.sequence(F.lit(1), F.lit(30)), lambda d: F.lit(1704067200000000) + d * F.lit(86400000000)))
     polls = log.select("spec_id").distinct().select("spec_id", days.alias("poll_us"))
     hit = asof_join(polls, t, "poll_us", "us", ["upto"], 7 * 86_400_000_000, ["spec_id"])

@@ -8,7 +8,8 @@ from pyspark.sql import functions as F
 from reelspark.engine import exec as engine
 from reelspark.functions.scalar import STAMP_SQL, fmt_timestamp
 from reelspark.lift import relational
-from reelspark.operators.joins import asof_join
+from reelspark.operators.joins import BROADCAST_ROWS, asof_join
+from reelspark.operators.running import numbered, running
 from reelspark.registry import query
 from reelspark.session import table
 from reelspark.sources import derive, gopindex
@@ -24,96 +25,91 @@ _CAPS = "caps AS (SELECT 'cap/' || source AS source_id, doc_id, text, (n_chars +
 _PLACES = "o AS (SELECT source_id, doc_id, text, start_frame, total, CAST(instr(text, '{word}') AS BIGINT) AS pos FROM (SELECT * REPLACE (lower(text) AS text) FROM caps) WHERE contains(text, '{word}') UNION ALL SELECT source_id, doc_id, text, start_frame, total, CAST(pos + instr(substr(text, pos + 1), '{word}') AS BIGINT) FROM o WHERE contains(substr(text, pos + 1), '{word}'))"
 
 
-def hits(spark: SparkSession, sf_dir: str, word: str, every: bool = True) -> DataFrame:
-    """Clips around the places of a word in each caption: (occ, source_id, doc_id, first, n, stamp_text).
+def hits(spark: SparkSession, sf_dir: str, word: str) -> DataFrame:
+    """Clips around every place of a word in every caption: (occ, source_id, doc_id, first, n, stamp_text).
 
-    All places, or each caption's first one if not ``every``. Occurrences are numbered by source and time (places of one
-    frame share all other columns); the number comes from sums per source plus the rank inside it.
+    Occurrences are numbered by source and time (places of one frame share all other columns): sums per source, and a count in
+    blocks of frames inside it. Only places are moved, never a text.
     """
     totals = derive.captions(spark, sf_dir).groupBy("source_id").agg(F.sum("n_frames").alias("total"))
     words = spark.createDataFrame([(0, word)], "item_id bigint, text string")
-    found = in_captions(spark, sf_dir, words, every, F.lower("text")).join(totals, "source_id")
+    found = in_captions(spark, sf_dir, words, F.lower("text")).join(F.broadcast(totals) if totals.count() <= BROADCAST_ROWS else totals, "source_id")
     frame = F.col("start_frame") + F.expr("at div 15")
     lo, hi = F.greatest(F.lit(0), frame - AROUND), F.least(F.col("total") - 1, frame + AROUND)
     rows = found.select("source_id", "doc_id", frame.alias("frame"), lo.alias("first"), (hi - lo + 1).alias("n"))
-    rank = F.row_number().over(Window.partitionBy("source_id").orderBy("frame", "doc_id"))
-    before = rows.groupBy("source_id").agg(F.count("*").alias("c")).select("source_id", (F.sum("c").over(Window.orderBy("source_id")) - F.col("c")).alias("before"))
+    before = rows.groupBy("source_id").agg(F.count("*").alias("c")).select(F.col("source_id").alias("s"), (F.sum("c").over(Window.orderBy("source_id")) - F.col("c")).alias("before"))
     stamp = fmt_timestamp(F.expr("frame * 1000 div 24"))
-    return rows.withColumn("r", rank).join(before, "source_id").select((F.col("before") + F.col("r")).alias("occ"), "source_id", "doc_id", "first", "n", stamp.alias("stamp_text"))
+    return numbered(rows, ["source_id"], "frame", "r", then=["doc_id"]).join(before, F.col("source_id") == F.col("s")).select((F.col("before") + F.col("r") + 1).alias("occ"), "source_id", "doc_id", "first", "n", stamp.alias("stamp_text"))
 
 
-@query("w_search", f"WITH {_CAPS}, h AS (SELECT *, start_frame + (instr(lower(text), '{WORD}') - 1) // 15 AS frame FROM caps WHERE contains(lower(text), '{WORD}')) SELECT row_number() OVER (ORDER BY source_id, frame, doc_id) AS occ, source_id, doc_id, CAST(greatest(0, frame - 38) AS BIGINT) AS first, CAST(least(total - 1, frame + 38) - greatest(0, frame - 38) + 1 AS BIGINT) AS n, {STAMP_SQL.format('(frame * 1000 // 24)')} AS stamp_text FROM h")
+@query("w_search", f"WITH RECURSIVE {_CAPS}, {_PLACES.format(word=WORD)}, h AS (SELECT *, start_frame + (pos - 1) // 15 AS frame FROM o) SELECT row_number() OVER (ORDER BY source_id, frame, doc_id) AS occ, source_id, doc_id, CAST(greatest(0, frame - 38) AS BIGINT) AS first, CAST(least(total - 1, frame + 38) - greatest(0, frame - 38) + 1 AS BIGINT) AS n, {STAMP_SQL.format('(frame * 1000 // 24)')} AS stamp_text FROM h")
 def w_search(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """The first place in each caption, as its SQL has it; ``w_search_all`` has all of them."""
-    return hits(spark, sf_dir, WORD, every=False)
-
-
-@query("w_search_all", f"WITH RECURSIVE {_CAPS}, {_PLACES.format(word=WORD)}, h AS (SELECT *, start_frame + (pos - 1) // 15 AS frame FROM o) SELECT row_number() OVER (ORDER BY source_id, frame, doc_id) AS occ, source_id, doc_id, CAST(greatest(0, frame - 38) AS BIGINT) AS first, CAST(least(total - 1, frame + 38) - greatest(0, frame - 38) + 1 AS BIGINT) AS n, {STAMP_SQL.format('(frame * 1000 // 24)')} AS stamp_text FROM h")
-def w_search_all(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Every place of the word in every whole text."""
     return hits(spark, sf_dir, WORD)
 
 
+@query("w_search_merged", f"WITH RECURSIVE {_CAPS}, {_PLACES.format(word=WORD)}, h AS (SELECT source_id, greatest(0, start_frame + (pos - 1) // 15 - 38) AS a, least(total - 1, start_frame + (pos - 1) // 15 + 38) AS b FROM o), g AS (SELECT *, max(b) OVER (PARTITION BY source_id ORDER BY a, b ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING) AS m FROM h), i AS (SELECT *, sum(CASE WHEN m IS NULL OR a > m + 1 THEN 1 ELSE 0 END) OVER (PARTITION BY source_id ORDER BY a, b ROWS UNBOUNDED PRECEDING) AS k FROM g) SELECT source_id, CAST(min(a) AS BIGINT) AS first, CAST(max(b) AS BIGINT) AS last, count(*) AS places FROM i GROUP BY source_id, k")
+def w_search_merged(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The compilation without repeats: clips of one source that overlap or touch are one. A place begins a clip if the place before it is
+    more than a clip's length away, so runs are counted like any running sum."""
+    h = hits(spark, sf_dir, WORD).select("source_id", "first", (F.col("first") + F.col("n") - 1).alias("last"), "occ")
+    b = h.withColumn("b", F.floor(F.col("occ") / F.lit(4096)))
+    # clips in order of their number are in order of both ends (equal lengths but at the clip's borders), so the one before is enough
+    ends = b.groupBy("source_id", "b").agg(F.max(F.struct("occ", "last")).alias("end"))
+    carry = ends.select(F.col("source_id").alias("s"), F.col("b").alias("c"), F.lag("end").over(Window.partitionBy("source_id").orderBy("b"))["last"].alias("carried"))
+    seen = F.lag("last").over(Window.partitionBy("source_id", "b").orderBy("occ"))
+    new = b.withColumn("seen", seen).join(carry, (F.col("source_id") == F.col("s")) & (F.col("b") == F.col("c"))).withColumn("prev", F.coalesce("seen", "carried"))
+    new = new.withColumn("begins", F.when(F.col("prev").isNull() | (F.col("first") > F.col("prev") + 1), F.lit(1)).otherwise(F.lit(0)).cast("bigint")).select("source_id", "first", "last", "occ", "begins")
+    runs = running(new, ["source_id"], "occ", "begins", "had").withColumn("k", F.col("had") + F.col("begins"))
+    return runs.groupBy("source_id", "k").agg(F.min("first").alias("first"), F.max("last").alias("last"), F.count("*").alias("places")).drop("k")
+
+
 @query("w_search_spec")
 def w_search_spec(spark: SparkSession, sf_dir: str) -> DataFrame:
     """The compilation itself, over every place of the word: each clip's frames in order, labelled with number, source and time; frames come
     from the main clip at the caption's position (captioned clips have an index only). Returns digests of what is rendered."""
     n = table(spark, sf_dir, "orders").count()
-    h = hits(spark, sf_dir, WORD)
-    per_source = h.groupBy("source_id").agg(F.sum("n").alias("s")).select("source_id", (F.sum("s").over(Window.orderBy("source_id")) - F.col("s")).alias("base"))
-    first = F.sum("n").over(Window.partitionBy("source_id").orderBy("occ")) - F.col("n")
-    rows = h.join(per_source, "source_id").withColumn("start", F.col("base") + first).select("*", F.explode(F.sequence(F.lit(0).cast("bigint"), F.col("n") - 1)).alias("k"))
+    rows = running(hits(spark, sf_dir, WORD), [], "occ", "n", "start").select("*", F.explode(F.sequence(F.lit(0).cast("bigint"), F.col("n") - 1)).alias("k"))
     frames = rows.select((F.col("start") + F.col("k")).alias("gen"), F.lit("main").alias("source_id"), F.pmod(F.col("first") + F.col("k"), F.lit(n)).alias("idx"))
     dets = rows.select((F.col("start") + F.col("k")).alias("frame"), F.lit(1).alias("ord"), F.lit(0).alias("x1"), F.lit(0).alias("y1"), F.lit(15).alias("x2"), F.lit(6).alias("y2"), F.lit("N").alias("cls"), F.concat(F.lit("#"), F.col("occ").cast("string"), F.lit(" "), F.substring("source_id", 5, 20), F.lit(" "), "stamp_text").alias("text"))
     spec = relational.annotate(frames, dets, "label", "search", SEG)
     return engine.digests(engine.render(spec, task_gops(spark, sf_dir, "label"), task_sources(spark, sf_dir), GOP_LEN)).select("gen", "md5")
 
 
-@query("w_passage", f"WITH {_CAPS} SELECT item_id, source_id, doc_id, CAST(start_frame + (instr(caps.text, b.text) - 1) // 15 AS BIGINT) AS frame FROM caps JOIN benchmark b ON contains(caps.text, b.text)")
+@query("w_passage", f"WITH RECURSIVE {_CAPS}, o AS (SELECT item_id, source_id, doc_id, start_frame, caps.text AS text, b.text AS passage, CAST(instr(caps.text, b.text) AS BIGINT) AS pos FROM caps JOIN benchmark b ON contains(caps.text, b.text) UNION ALL SELECT item_id, source_id, doc_id, start_frame, text, passage, CAST(pos + instr(substr(text, pos + 1), passage) AS BIGINT) FROM o WHERE contains(substr(text, pos + 1), passage)) SELECT item_id, source_id, doc_id, CAST(start_frame + (pos - 1) // 15 AS BIGINT) AS frame FROM o")
 def w_passage(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Passages that stand in captions, at their first place in each, as the SQL has it; ``w_passage_all`` has all places."""
-    return passages_at(spark, sf_dir, every=False)
-
-
-@query("w_passage_all", f"WITH RECURSIVE {_CAPS}, o AS (SELECT item_id, source_id, doc_id, start_frame, caps.text AS text, b.text AS passage, CAST(instr(caps.text, b.text) AS BIGINT) AS pos FROM caps JOIN benchmark b ON contains(caps.text, b.text) UNION ALL SELECT item_id, source_id, doc_id, start_frame, text, passage, CAST(pos + instr(substr(text, pos + 1), passage) AS BIGINT) FROM o WHERE contains(substr(text, pos + 1), passage)) SELECT item_id, source_id, doc_id, CAST(start_frame + (pos - 1) // 15 AS BIGINT) AS frame FROM o")
-def w_passage_all(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Every place of every passage in every whole text."""
-    return passages_at(spark, sf_dir)
-
-
-def passages_at(spark: SparkSession, sf_dir: str, every: bool = True) -> DataFrame:
-    """(item_id, source_id, doc_id, frame), by one linear multi-pattern scan of every whole text."""
-    found = in_captions(spark, sf_dir, table(spark, sf_dir, "benchmark"), every, F.col("text"))
+    """Every place of every passage in every whole text, by one linear multi-pattern scan of the texts."""
+    found = in_captions(spark, sf_dir, table(spark, sf_dir, "benchmark"), F.col("text"))
     return found.select("item_id", "source_id", "doc_id", (F.col("start_frame") + F.expr("at div 15")).alias("frame"))
 
 
-def in_captions(spark: SparkSession, sf_dir: str, passages: DataFrame, every: bool, text: Column) -> DataFrame:
+def in_captions(spark: SparkSession, sf_dir: str, passages: DataFrame, text: Column) -> DataFrame:
     """(source_id, doc_id, item_id, at, start_frame): texts are scanned where they are read, only places are moved."""
     texts = table(spark, sf_dir, "documents").select(F.concat(F.lit("cap/"), "source").alias("source_id"), "doc_id", text.alias("text"))
     starts = derive.captions(spark, sf_dir).select(F.col("source_id").alias("s"), F.col("doc_id").alias("d"), "start_frame")
-    return containing(texts, passages, every).join(starts, F.col("source_id").eqNullSafe(F.col("s")) & F.col("doc_id").eqNullSafe(F.col("d"))).drop("s", "d")
+    return containing(texts, passages).join(starts, F.col("source_id").eqNullSafe(F.col("s")) & F.col("doc_id").eqNullSafe(F.col("d"))).drop("s", "d")
 
 
 PASSAGES = 20_000  # per automaton, which bounds what a task holds
 
 
-def containing(texts: DataFrame, passages: DataFrame, every: bool = True) -> DataFrame:
+def containing(texts: DataFrame, passages: DataFrame, apart: bool = False) -> DataFrame:
     """texts' columns but text, item_id, at: the places (characters from 0) of every passage in every text that holds it.
 
-    All places, overlapping ones too, or only the first of each passage in each text if not ``every``.
-
-    Passages go to workers in parts of at most ``PASSAGES``, each an Aho-Corasick automaton over all texts.
+    Overlapping places count, unless they are to be ``apart`` (each begins behind the last one's end). Passages go to workers in parts
+    of at most ``PASSAGES``, each an Aho-Corasick automaton; a text passes all parts in turn while it is in a task. What a part's
+    closure holds is bounded, and so is what comes to the driver at once.
     """
     import pyarrow as pa
 
     schema = [f for f in texts.schema.fields if f.name != "text"]
     names = [f.name for f in schema]
     ddl = ", ".join(f"{f.name} {f.dataType.simpleString()}" for f in schema) + ", item_id bigint, at bigint"
-    total = passages.count()
-    out = None
-    for part in range(max(1, -(-total // PASSAGES))):
-        mine = passages if total <= PASSAGES else passages.where(F.pmod(F.xxhash64("item_id"), F.lit(-(-total // PASSAGES) * 2)).isin(2 * part, 2 * part + 1))
-        pairs = [(r["item_id"], r["text"]) for r in mine.select("item_id", "text").collect() if r["text"]]
+    known = passages.where("text <> ''").select("item_id", "text")
+    parts = max(1, -(-known.count() // PASSAGES))
+    dealt, out = known.withColumn("part", F.pmod(F.xxhash64("item_id"), F.lit(parts))), None
+    for part in range(parts):
+        pairs = [(r["item_id"], r["text"]) for r in (dealt.where(F.col("part") == part) if parts > 1 else dealt).select("item_id", "text").collect()]
 
         def run(it, pairs=pairs):
             import ahocorasick
@@ -129,12 +125,13 @@ def containing(texts: DataFrame, passages: DataFrame, every: bool = True) -> Dat
             for b in it:
                 rows, ids, ats = [], [], []
                 for k, text in enumerate(b.column("text").to_pylist()):
-                    seen: set[str] = set()
+                    ends: dict[str, int] = {}
                     for end, p in machine.iter(text or "") if items else ():
-                        if not every and p in seen:
-                            continue
-                        seen.add(p)
                         at = end + 1 - len(p)
+                        if apart:
+                            if at < ends.get(p, 0):
+                                continue
+                            ends[p] = end + 1
                         for i in items[p]:
                             rows.append(k)
                             ids.append(i)
