@@ -57,6 +57,7 @@ def _fold(nodes: Column, sources: Column) -> Column:
         w = F.when(op == "ref", src["width"]).when(op == "grid", a["w"] * num(0)).when(op == "resize", num(0)).when(op == "crop", num(2)).otherwise(a["w"])
         h = F.when(op == "ref", src["height"]).when(op == "grid", a["h"] * rows).when(op == "resize", num(1)).when(op == "crop", num(3)).otherwise(a["h"])
         fmt = F.when(op == "ref", src["fmt"]).when(op == "pixfmt", n["text"]).otherwise(a["fmt"])
+        err = F.coalesce(err, F.when((fmt == "yuv420p") & ((w % 2 == 1) | (h % 2 == 1)), F.lit("odd size")))  # chroma samples stand for 2 x 2 pixels
         return F.concat(acc, F.array(_type(w, h, fmt, err)))
 
     return F.aggregate(nodes, F.array().cast(f"array<{_TYPE}>"), step)

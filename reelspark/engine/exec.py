@@ -17,7 +17,7 @@ from reelspark.engine import kernels
 from reelspark.engine.core import Engine, EngineConfig
 from reelspark.model.schemas import NODE, STATS
 from reelspark.operators.joins import sized_broadcast
-from reelspark.plans.schedule import located, references
+from reelspark.plans.schedule import indexed, located, references
 from reelspark.sources import codec, gopindex
 
 OUT = "spec_id string, gen bigint, w int, h int, fmt string, data binary"
@@ -55,17 +55,22 @@ def _packed(gops: DataFrame, sources: DataFrame) -> DataFrame:
     return gops.join(sized_broadcast(sources.select("source_id", "width", "height", "fmt")), "source_id")
 
 
-def _touched(spec: DataFrame, gop_len: int) -> DataFrame:
-    return located(references(spec), gop_len)
+#: Generations whose copies of one frame travel together: a frame that all generations use is many rows, none of them hot.
+BLOCK = 4096
 
 
-def _segment_groups(spec: DataFrame, gops: DataFrame, sources: DataFrame, gop_len: int):
-    wanted = _touched(spec, gop_len).select("spec_id", "seg", "source_id", "gop_id").distinct()
+def _touched(spec: DataFrame, gops: DataFrame, gop_len: int | None) -> DataFrame:
+    """References with GOP and decode position: by arithmetic where all GOPs have ``gop_len`` frames, I and P; else (None) by the index."""
+    return located(references(spec), gop_len) if gop_len else indexed(references(spec), gops)
+
+
+def _segment_groups(spec: DataFrame, gops: DataFrame, sources: DataFrame, gop_len: int | None):
+    wanted = _touched(spec, gops, gop_len).select("spec_id", "seg", "source_id", "gop_id").distinct()
     given = wanted.join(_packed(gops, sources), ["source_id", "gop_id"]).select(F.col("spec_id").alias("for_spec"), F.col("seg").alias("for_seg"), "source_id", "gop_id", "packets", "width", "height", "fmt")
     return spec.select("spec_id", "seg", "gen", "nodes").groupBy("spec_id", "seg").cogroup(given.groupBy("for_spec", "for_seg"))
 
 
-def segment_local(spec: DataFrame, gops: DataFrame, sources: DataFrame, gop_len: int, config: EngineConfig = EngineConfig()) -> DataFrame:
+def segment_local(spec: DataFrame, gops: DataFrame, sources: DataFrame, gop_len: int | None, config: EngineConfig = EngineConfig()) -> DataFrame:
     """Rendered frames (spec_id, gen, w, h, fmt, data). The catalogue is broadcast if it is small (counted), else joined."""
 
     def run(left: pa.Table, right: pa.Table) -> pa.Table:
@@ -76,7 +81,7 @@ def segment_local(spec: DataFrame, gops: DataFrame, sources: DataFrame, gop_len:
     return _segment_groups(spec, gops, sources, gop_len).applyInArrow(run, OUT)
 
 
-def segment_stats(spec: DataFrame, gops: DataFrame, sources: DataFrame, gop_len: int, config: EngineConfig = EngineConfig()) -> DataFrame:
+def segment_stats(spec: DataFrame, gops: DataFrame, sources: DataFrame, gop_len: int | None, config: EngineConfig = EngineConfig()) -> DataFrame:
     """Counters per segment of the same run."""
     names = [c.split()[0] for c in STATS.split(", ")]
 
@@ -93,18 +98,19 @@ def _table(spec_id: str, rows: list[tuple]) -> pa.Table:
     return pa.table([pa.array(c, t.type) for c, t in zip(cols, _OUT, strict=True)], schema=_OUT)
 
 
-def decode_exchange(spec: DataFrame, gops: DataFrame, gop_len: int) -> DataFrame:
-    """(source_id, idx, raw) of exactly the needed frames, each GOP opened once."""
-    at = _touched(spec, gop_len)
-    wanted = at.groupBy("source_id", "gop_id").agg(F.collect_set("idx").alias("wanted"))
+def decode_exchange(spec: DataFrame, gops: DataFrame, gop_len: int | None) -> DataFrame:
+    """(spec_id, block, source_id, idx, raw): the needed frames, a copy for each block of generations that uses them; each GOP is opened once."""
+    at = _touched(spec, gops, gop_len).select("source_id", "gop_id", "idx", "spec_id", F.expr(f"gen div {BLOCK}").alias("block")).distinct()
+    wanted = at.groupBy("source_id", "gop_id").agg(F.collect_set("idx").alias("wanted"), F.collect_list(F.struct("idx", "spec_id", "block")).alias("uses"))
     deep = F.array_max(F.transform(F.filter("packets", lambda p: F.array_contains("wanted", p["idx"])), lambda p: p["dpos"]))
-    return gopindex.decode_needed(gops.join(wanted, ["source_id", "gop_id"]).withColumn("upto", deep))
+    frames = gopindex.decode_needed(gops.join(wanted, ["source_id", "gop_id"]).withColumn("upto", deep), "uses")
+    return frames.withColumn("use", F.explode("uses")).select("use.spec_id", "use.block", "source_id", "idx", "raw")
 
 
-def gop_exchange(spec: DataFrame, gops: DataFrame, sources: DataFrame, gop_len: int) -> DataFrame:
+def gop_exchange(spec: DataFrame, gops: DataFrame, sources: DataFrame, gop_len: int | None) -> DataFrame:
     frames = decode_exchange(spec, gops, gop_len)
-    refs = references(spec)
-    inputs = refs.join(frames, ["source_id", "idx"]).join(sized_broadcast(sources.select("source_id", "width", "height", "fmt")), "source_id")
+    refs = references(spec).withColumn("block", F.expr(f"gen div {BLOCK}"))
+    inputs = refs.join(frames, ["spec_id", "block", "source_id", "idx"]).join(sized_broadcast(sources.select("source_id", "width", "height", "fmt")), "source_id")
     per_gen = inputs.groupBy("spec_id", "gen").agg(F.collect_list(F.struct("source_id", "idx", "raw", "width", "height", "fmt")).alias("frames"))
     joined = spec.select("spec_id", "gen", "nodes").join(per_gen, ["spec_id", "gen"])
     return evaluate(joined)
@@ -126,12 +132,12 @@ def evaluate(joined: DataFrame) -> DataFrame:
     return joined.select("spec_id", "gen", F.col("nodes").cast(f"array<{NODE}>").alias("nodes"), "frames").mapInArrow(run, OUT)
 
 
-def render(spec: DataFrame, gops: DataFrame, sources: DataFrame, gop_len: int, config: EngineConfig = EngineConfig(), plan: str = "auto", frame_bytes: int = 384) -> DataFrame:
+def render(spec: DataFrame, gops: DataFrame, sources: DataFrame, gop_len: int | None, config: EngineConfig = EngineConfig(), plan: str = "auto", frame_bytes: int = 384) -> DataFrame:
     """The whole spec. 'auto' asks the cost rule (index statistics only, one small row to the driver)."""
     if plan == "auto":
         from reelspark.plans.cost import choose
 
-        plan = choose(references(spec), gop_len, frame_bytes).first()["plan"]
+        plan = choose(references(spec), gop_len, frame_bytes, gops=gops).first()["plan"]
     return segment_local(spec, gops, sources, gop_len, config) if plan == "segment_local" else gop_exchange(spec, gops, sources, gop_len)
 
 

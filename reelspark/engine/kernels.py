@@ -31,9 +31,11 @@ def yuv_to_bgr(planes: list[np.ndarray]) -> np.ndarray:
 
 
 def bgr_to_yuv(bgr: np.ndarray) -> list[np.ndarray]:
-    """Luma per pixel; chroma from the sums of each 2 x 2 block, so one rounding per sample."""
+    """Luma per pixel; chroma from the sums of each 2 x 2 block, so one rounding per sample. An odd edge counts twice."""
     b, g, r = (bgr[..., k].astype(np.int32) for k in range(3))
     y = ((66 * r + 129 * g + 25 * b + 128) >> 8) + 16
+    if y.shape[0] % 2 or y.shape[1] % 2:
+        b, g, r = (np.pad(x, ((0, x.shape[0] % 2), (0, x.shape[1] % 2)), "edge") for x in (b, g, r))
     b4, g4, r4 = (x[0::2, 0::2] + x[0::2, 1::2] + x[1::2, 0::2] + x[1::2, 1::2] for x in (b, g, r))
     u = ((-38 * r4 - 74 * g4 + 112 * b4 + 512) >> 10) + 128
     v = ((112 * r4 - 94 * g4 - 18 * b4 + 512) >> 10) + 128
@@ -214,8 +216,9 @@ def from_raw(data: bytes, w: int, h: int, fmt: str) -> Frame:
 
     out, at, flat = [], 0, np.frombuffer(data, np.uint8)
     for a, b, c in FORMATS[fmt]:
-        n = (w // a) * (h // b) * c
-        out.append(flat[at : at + n].reshape((h // b, w // a, c) if c > 1 else (h // b, w // a)))
+        rows, cols = -(-h // b), -(-w // a)
+        n = rows * cols * c
+        out.append(flat[at : at + n].reshape((rows, cols, c) if c > 1 else (rows, cols)))
         at += n
     return fmt, out
 

@@ -17,7 +17,7 @@ SEGMENT_SECONDS = 2
 
 
 def frame_bytes(w: int, h: int, fmt: str) -> int:
-    return sum((w // a) * (h // b) * c for a, b, c in FORMATS[fmt])
+    return sum(-(-w // a) * -(-h // b) * c for a, b, c in FORMATS[fmt])
 
 
 def segment_frames(fps_num: int, fps_den: int = 1, seconds: int = SEGMENT_SECONDS) -> int:

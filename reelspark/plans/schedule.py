@@ -49,9 +49,16 @@ def located(refs: DataFrame, gop_len: int | Column) -> DataFrame:
     return refs.withColumns({"gop_id": F.floor(F.col("idx") / g).cast("bigint"), "dpos": F.pmod("idx", g)})
 
 
-def bounds(refs: DataFrame, gop_len: int) -> DataFrame:
+def indexed(refs: DataFrame, gops: DataFrame) -> DataFrame:
+    """References with GOP and decode position from the GOPs' own index: right for gaps, B packets and mixed lengths."""
+    from reelspark.sources.gopindex import frame_index
+
+    return refs.join(frame_index(gops), ["source_id", "idx"])
+
+
+def bounds(refs: DataFrame, gop_len: int | None, gops: DataFrame | None = None) -> DataFrame:
     """Closed forms per spec: references, decodes if every reference seeks, and the least if each GOP is opened once."""
-    at = located(refs, gop_len)
+    at = located(refs, gop_len) if gop_len else indexed(refs, gops)
     seek = at.groupBy("spec_id").agg(F.count("*").alias("refs"), F.sum(F.col("dpos") + 1).alias("seek_decodes"), F.count_distinct("source_id", "idx").alias("distinct_frames"))
     least = at.groupBy("spec_id", "source_id", "gop_id").agg((F.max("dpos") + 1).alias("n")).groupBy("spec_id").agg(F.sum("n").alias("min_decodes"), F.count("*").alias("gops"))
     return seek.join(least, "spec_id")

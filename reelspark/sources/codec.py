@@ -53,3 +53,13 @@ def decode(packets: list[dict], upto: int | None = None) -> Iterator[tuple[int,
             done = {k: done[k] for k in anchors[-2:-1] if k in done}
             done[p["idx"]] = value
         yield p["idx"], value.tobytes()
+
+
+def in_display_order(packets: list[dict]) -> Iterator[tuple[int, bytes]]:
+    """(index, raw frame) as a player shows them; only frames that wait for an earlier one are held."""
+    order, held, shown = sorted(p["idx"] for p in packets), {}, 0
+    for i, raw in decode(packets):
+        held[i] = raw
+        while shown < len(order) and order[shown] in held:
+            yield order[shown], held.pop(order[shown])
+            shown += 1

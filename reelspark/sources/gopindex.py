@@ -34,17 +34,30 @@ def decode(gops: DataFrame) -> DataFrame:
     return decode_needed(gops.withColumn("upto", F.col("n") - 1).withColumn("wanted", F.lit(None).cast("array<bigint>")))
 
 
-def decode_needed(gops: DataFrame) -> DataFrame:
-    """GOPs with ``upto`` (deepest packet) and ``wanted`` (indices; null: all) -> (source_id, idx, raw), decoding no packet beyond."""
+def decode_needed(gops: DataFrame, carry: str | None = None) -> DataFrame:
+    """GOPs with ``upto`` (deepest packet) and ``wanted`` (indices; null: all) -> (source_id, idx, raw), decoding no packet beyond.
+
+    ``carry``: an array of structs with ``idx``; each frame gets the elements of its own index."""
+    from pyspark.sql.pandas.types import to_arrow_type
+
+    fields = ["source_id", "packets", "upto", "wanted", *([carry] if carry else [])]
+    kind = gops.schema[carry].dataType if carry else None
+    arrow = to_arrow_type(kind) if carry else None
 
     def run(it):
         for b in it:
-            for s, packets, upto, wanted in zip(*(b.column(k).to_pylist() for k in range(4)), strict=True):
+            for s, packets, upto, wanted, *extra in zip(*(b.column(k).to_pylist() for k in range(len(fields))), strict=True):
                 keep = None if wanted is None else set(wanted)
                 out = [(i, r) for i, r in codec.decode(packets, upto) if keep is None or i in keep]
-                yield pa.RecordBatch.from_arrays([pa.array([s] * len(out), pa.string()), pa.array([i for i, _ in out], pa.int64()), pa.array([r for _, r in out], pa.binary())], names=["source_id", "idx", "raw"])
+                columns = [pa.array([s] * len(out), pa.string()), pa.array([i for i, _ in out], pa.int64()), pa.array([r for _, r in out], pa.binary())]
+                if carry:
+                    mine: dict[int, list] = {}
+                    for x in extra[0]:
+                        mine.setdefault(x["idx"], []).append(x)
+                    columns.append(pa.array([mine.get(i, []) for i, _ in out], arrow))
+                yield pa.RecordBatch.from_arrays(columns, names=["source_id", "idx", "raw", *fields[4:]])
 
-    return gops.select("source_id", "packets", "upto", "wanted").mapInArrow(run, "source_id string, idx bigint, raw binary")
+    return gops.select(*fields).mapInArrow(run, "source_id string, idx bigint, raw binary" + (f", {carry} {kind.simpleString()}" if carry else ""))
 
 
 def index(gops: DataFrame) -> DataFrame:
@@ -52,6 +65,11 @@ def index(gops: DataFrame) -> DataFrame:
     return gops.select("source_id", "gop_id", "first_idx", "n", F.aggregate("packets", F.lit(0).cast("bigint"), lambda a, p: a + F.length(p["bytes"])).alias("bytes"), F.map_from_entries(F.transform("packets", lambda p: F.struct(p["idx"], p["dpos"]))).alias("depth"))
 
 
+def frame_index(gops: DataFrame) -> DataFrame:
+    """(source_id, idx, gop_id, dpos): where each frame stands, whatever the GOPs' lengths, gaps and packet kinds; no pixels."""
+    return gops.select("source_id", "gop_id", F.explode(F.transform("packets", lambda p: F.struct(p["idx"].alias("idx"), p["dpos"].alias("dpos")))).alias("p")).select("source_id", "p.idx", "gop_id", "p.dpos")
+
+
 def depth(idx: Column, gop_len: int) -> Column:
     """Decode position of a frame where GOPs hold I and P frames only."""
     return F.pmod(idx, F.lit(gop_len))

@@ -14,9 +14,12 @@ from reelspark.session import table
 
 
 def shared_folder(spark: SparkSession, name: str) -> str:
-    """A fresh folder that all executors share: under spark.checkpoint.dir, or a local one where that is unset (tests)."""
+    """A fresh folder that all executors share: under spark.checkpoint.dir. Where that is unset a local session may use a folder of its
+    own (tests); on a cluster it would be another one on every machine, so it is an error."""
     base = spark.conf.get("spark.checkpoint.dir", None)
     if not base:
+        if not spark.sparkContext.master.startswith("local"):
+            raise RuntimeError("spark.checkpoint.dir must name a folder that driver and executors share")
         import tempfile
 
         base = "file://" + tempfile.mkdtemp(prefix="reelspark-")

@@ -40,9 +40,26 @@ def task_sources(spark: SparkSession, sf_dir: str) -> DataFrame:
     return spark.createDataFrame([("main", 16, 16, "yuv420p", n, 24, 1, GOP_LEN), ("masks", 8, 8, "gray8", m, 24, 1, GOP_LEN)], SOURCES)
 
 
+_STORED: dict[tuple, str] = {}
+
+
+def stored_gops(spark: SparkSession, sf_dir: str, source: str, gop_len: int = GOP_LEN, **kw) -> DataFrame:
+    """A clip's GOPs, encoded and written once a session (as a deployment has them), in order, so that readers prune by GOP."""
+    from reelspark.model.schemas import GOPS
+    from reelspark.sources.io import shared_folder
+
+    key = (spark.sparkContext.applicationId, sf_dir, source, gop_len, *sorted(kw.items()))
+    if key not in _STORED:
+        frames = {"main": derive.main_frames, "masks": derive.mask_frames, "short": derive.short_frames}[source](spark, sf_dir)
+        path = shared_folder(spark, f"gops-{source}")
+        gopindex.encode(frames, gop_len, **kw).sortWithinPartitions("gop_id").write.parquet(path)
+        _STORED[key] = path
+    return spark.read.schema(GOPS).parquet(_STORED[key])
+
+
 def task_gops(spark: SparkSession, sf_dir: str, recipe: str, gop_len: int = GOP_LEN, **kw) -> DataFrame:
-    out = gopindex.encode(derive.main_frames(spark, sf_dir), gop_len, **kw)
-    return out.unionByName(gopindex.encode(derive.mask_frames(spark, sf_dir), gop_len, **kw)) if "mask" in recipe else out
+    out = stored_gops(spark, sf_dir, "main", gop_len, **kw)
+    return out.unionByName(stored_gops(spark, sf_dir, "masks", gop_len, **kw)) if "mask" in recipe else out
 
 
 _PRIMS = {

@@ -181,3 +181,50 @@ def test_edge_cases(schedule, gop, n, cfg):
 def test_jitter_does_not_change_the_output():
     for seed in range(5):
         checked([[i, (i * 7) % 60] for i in range(60)], 12, 60, EngineConfig(pool=12, window=8, decoders=3, jitter=0.4, seed=seed), 2)
+
+
+@pytest.mark.parametrize(("b_run", "all_intra"), [(0, False), (2, False), (0, True)])
+def test_plans_agree_with_gaps_and_a_frame_for_all(spark, b_run, all_intra):
+    """A clip with gaps, B packets, a short last GOP, and one frame that every generation uses (over several blocks)."""
+    from pyspark.sql import functions as F
+
+    from reelspark.engine import exec as engine
+    from reelspark.model.expr import node, ref
+    from reelspark.model.schemas import NODE
+    from reelspark.sources import gopindex
+
+    rng = random.Random(b_run)
+    there = sorted(rng.sample(range(200), 120))
+    frames = spark.createDataFrame([("clip", i, rng.randbytes(64)) for i in there] + [("logo", 3, rng.randbytes(64))], "source_id string, idx bigint, raw binary")
+    gops = gopindex.encode(frames, 17, b_run, all_intra).cache()
+    sources = spark.createDataFrame([("clip", 8, 8, "gray8"), ("logo", 8, 8, "gray8")], "source_id string, width int, height int, fmt string")
+    gens = [(g, rng.choice(there)) for g in range(90)]
+    index = spark.createDataFrame(gens, "gen bigint, idx bigint")
+    spec = index.select(F.lit("s").alias("spec_id"), "gen", F.expr("gen div 20").alias("seg"), F.array(ref("clip", F.col("idx")), ref("logo", F.lit(3)), node("blend", [0, 1], [100])).cast(f"array<{NODE}>").alias("nodes"))
+    raw = {(r["source_id"], r["idx"]): np.frombuffer(r["raw"], np.uint8).astype(int) for r in frames.collect()}
+    before, engine.BLOCK = engine.BLOCK, 16
+    try:
+        out = {p: {r["gen"]: bytes(r["data"]) for r in engine.render(spec, gops, sources, None, EngineConfig(pool=7, window=5, decoders=2), p).collect()} for p in ("segment_local", "gop_exchange", "auto")}
+    finally:
+        engine.BLOCK = before
+    assert out["segment_local"] == out["gop_exchange"] == out["auto"] and len(out["auto"]) == 90
+    blended = {g: kernels.raw(kernels.apply_node("blend", [kernels.from_raw(raw["clip", i].astype(np.uint8).tobytes(), 8, 8, "gray8"), kernels.from_raw(raw["logo", 3].astype(np.uint8).tobytes(), 8, 8, "gray8")], [100], "")) for g, i in gens}
+    assert out["auto"] == blended
+    # the index tells decode positions, which arithmetic can't here
+    at = {r["idx"]: r["dpos"] for r in gopindex.frame_index(gops).where("source_id = 'clip'").collect()}
+    assert set(at) == set(there) and (b_run == 0 or any(at[i] != i % 17 for i in there))
+
+
+def test_odd_sizes():
+    rng = np.random.default_rng(3)
+    for w, h in ((5, 7), (1, 1), (6, 5)):
+        f = ("bgr24", [rng.integers(0, 256, (h, w, 3), dtype=np.uint8)])
+        y = kernels.pixfmt(f, "yuv420p")
+        assert [p.shape for p in y[1]] == [(h, w), (-(-h // 2), -(-w // 2)), (-(-h // 2), -(-w // 2))]
+        assert kernels.pixfmt(y, "bgr24")[1][0].shape == (h, w, 3)
+        assert kernels.raw(kernels.from_raw(kernels.raw(y), w, h, "yuv420p")) == kernels.raw(y)
+
+
+def test_display_order_holds_little():
+    for n, b_run in ((1, 0), (9, 2), (30, 1)):
+        assert [i for i, _ in codec.in_display_order(codec.encode([bytes([k]) for k in range(n)], b_run))] == list(range(n))
