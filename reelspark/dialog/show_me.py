@@ -2,7 +2,9 @@
 
 from __future__ import annotations
 
+import hashlib
 import multiprocessing
+import re
 from dataclasses import dataclass
 
 from pyspark.sql import DataFrame, SparkSession
@@ -21,19 +23,46 @@ SCRIPTS = {
 }
 
 
-def intents(turns: DataFrame) -> DataFrame:
-    """The intent of each request, by length of its text mod 4."""
-    pick = F.element_at(F.array(*map(F.lit, INTENTS)), F.pmod(F.length("text"), F.lit(4)) + 1)
-    return turns.select("conv_id", "turn", pick.alias("intent"))
+#: First rule whose pattern a request (in lower case) holds gives the intent; without any it is a search for a word.
+RULES = (("telemetry overlay", r"\b(telemetry|speed|sensor|readings?|overlay)\b"), ("hue order", r"\b(hue|colou?rs?|rainbow|sort(ed)?)\b"), ("boxes of class", r"\b(box(es)?|detect[a-z]*|objects?|class)\b"))
+#: The word of a search: in quotes, after "says" or "mentions", or else the request's first long word.
+QUOTED, NAMED, LONG = r"['\"]([a-z]{3,})['\"]", r"\b(?:says?|said|mentions?|spoken)\s+([a-z]{3,})", r"([a-z]{7,})"
+
+
+def intent_of(text: str) -> tuple[str, str]:
+    """(intent, word)."""
+    low = text.lower()
+    for intent, pattern in RULES:
+        if re.search(pattern, low):
+            return intent, ""
+    found = re.search(QUOTED, low) or re.search(NAMED, low) or re.search(LONG, low)
+    return INTENTS[0], found.group(1) if found else ""
 
 
-def sizes(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Frames that each intent's query asks for: four rows."""
+def intents(turns: DataFrame) -> DataFrame:
+    """The intent of each request and, for a search, its word: the rules as column functions."""
+    low = F.lower("text")
+    pick = F.lit(None).cast("string")
+    for intent, pattern in reversed(RULES):
+        pick = F.when(low.rlike(pattern), F.lit(intent)).otherwise(pick)
+    word = F.lit("")
+    for pattern in (LONG, NAMED, QUOTED):
+        word = F.when(F.regexp_extract(low, pattern, 1) != "", F.regexp_extract(low, pattern, 1)).otherwise(word)
+    out = turns.select("conv_id", "turn", F.coalesce(pick, F.lit(INTENTS[0])).alias("intent"), word.alias("word"))
+    return out.withColumn("word", F.when(F.col("intent") == INTENTS[0], F.col("word")).otherwise(F.lit("")))
+
+
+def sizes(spark: SparkSession, sf_dir: str, asked: DataFrame) -> DataFrame:
+    """(intent, word, spec_frames): frames that each query asks for; searches of a word are one multi-pattern scan of all texts."""
+    from reelspark.workloads.search import containing
+
     t = lambda n: table(spark, sf_dir, n)
-    one = lambda df, intent, c: df.agg(c.cast("bigint").alias("spec_frames")).select(F.lit(intent).alias("intent"), "spec_frames")
+    one = lambda df, intent, c: df.agg(c.cast("bigint").alias("spec_frames")).select(F.lit(intent).alias("intent"), F.lit("").alias("word"), "spec_frames")
+    words = asked.where(F.col("word") != "").select("word").distinct().select(F.xxhash64("word").alias("item_id"), F.col("word").alias("text"))
+    found = containing(t("documents").select(F.lower("text").alias("text")), words, apart=True).groupBy("item_id").agg((F.count("*") * 77).alias("spec_frames"))
+    searches = words.join(found, "item_id", "left").select(F.lit(INTENTS[0]).alias("intent"), F.col("text").alias("word"), F.coalesce("spec_frames", F.lit(0)).alias("spec_frames"))
     return (
-        one(t("documents").where(F.contains(F.lower("text"), F.lit("enver"))), INTENTS[0], F.count("*") * 77)
-        .unionByName(one(t("lineitem").where("l_returnflag = 'A'"), INTENTS[1], F.count_distinct("l_orderkey")))
+        searches.unionByName(one(t("lineitem").where("l_returnflag = 'A'"), INTENTS[1], F.count_distinct("l_orderkey")))
         .unionByName(one(t("embeddings"), INTENTS[2], F.count("*")))
         .unionByName(one(t("orders"), INTENTS[3], F.count("*")))
     )
@@ -104,8 +133,8 @@ def run_sandboxed(source: str, rows, clips: dict, push=None, seconds: float = 20
 
 def show_me(text: str, manager, rows, clips: dict, size: tuple[int, int, str] = (16, 16, "yuv420p"), batch_frames: int = 30) -> Answer:
     """A request end to end against a service: namespace and link at once, then the script's frames in batches, then the end."""
-    intent = INTENTS[len(text) % 4]
-    spec_id = f"show-{abs(hash((text, len(manager.store.state)))) % 10**9}"
+    intent, _ = intent_of(text)
+    spec_id = "show-" + hashlib.sha256(f"{len(manager.store.state)}:{text}".encode()).hexdigest()[:16]
     link = manager.create(spec_id, *size)
     held: list[tuple[int, list[dict]]] = []
     batches = [0]

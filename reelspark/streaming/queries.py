@@ -16,12 +16,19 @@ from reelspark.sources.io import shared_folder
 _US = "epoch_us(ts)"
 
 
-def pushes(spark: SparkSession, sf_dir: str, files: int = 4) -> DataFrame:
-    """The push log as a stream of files: spec_id, ord, frames, ts (a zoned timestamp; a watermark needs one)."""
-    folder = shared_folder(spark, "pushes")
-    table(spark, sf_dir, "events").repartitionByRange(files, "event_id").write.parquet(folder)
-    schema = table(spark, sf_dir, "events").schema
-    s = spark.readStream.schema(schema).option("maxFilesPerTrigger", 2).parquet(folder)
+def pushes(spark: SparkSession, sf_dir: str, files: int = 4, closing: bool = False) -> DataFrame:
+    """The push log as a stream of files in order: spec_id, ord, frames, ts (a zoned timestamp; a watermark needs one).
+
+    ``closing``: two much later pushes of no spec follow in batches of their own: the first moves the watermark past all that was pushed, the
+    second gives the batch in which windows of append mode close and their state goes (its own windows stay open)."""
+    folder, e = shared_folder(spark, "pushes"), table(spark, sf_dir, "events")
+    end = e.agg((F.max("event_id") + 1).alias("n"), F.max("ts").alias("ts")).first()
+    parts = [e.where(F.expr(f"event_id * {files} div {end['n']}") == k) for k in range(files)] if end["n"] else [e]
+    if closing and end["n"]:
+        parts += [e.limit(1).select(F.lit(-k).cast("bigint").alias("event_id"), (F.lit(end["ts"]) + F.expr("interval 60 days")).alias("ts"), F.lit(-1).cast("bigint").alias("user_id"), F.lit("close").alias("event_type"), F.lit(0.0).alias("value"), F.lit('{"k": -1}').alias("props")) for k in (1, 2)]
+    for part in parts:  # one job after another, as the source reads files by age
+        part.select(*e.columns).coalesce(1).write.mode("append").parquet(folder)
+    s = spark.readStream.schema(e.schema).option("maxFilesPerTrigger", 1 if closing else 2).parquet(folder)
     return s.select(F.col("user_id").alias("spec_id"), F.col("event_id").alias("ord"), (F.get_json_object("props", "$.k").cast("bigint") + 1).alias("frames"), F.col("ts").cast("timestamp").alias("ts"), "event_type", "value")
 
 
@@ -44,21 +51,21 @@ _BUCKET = "SELECT CAST(b AS BIGINT) AS start_us, count(*) AS n FROM ({0}) GROUP
 
 @query("st_tumbling", _BUCKET.format(f"SELECT {_US} // 7200000000 * 7200000000 AS b FROM events"))
 def st_tumbling(spark: SparkSession, sf_dir: str) -> DataFrame:
-    w = pushes(spark, sf_dir).withWatermark("ts", "1 hour").groupBy(F.window("ts", "2 hours")).agg(F.count("*").alias("n"))
-    return settled(w.select(F.unix_micros("window.start").alias("start_us"), "n"), "complete")
+    w = pushes(spark, sf_dir, closing=True).withWatermark("ts", "1 hour").groupBy(F.window("ts", "2 hours")).agg(F.count("*").alias("n"))
+    return settled(w.select(F.unix_micros("window.start").alias("start_us"), "n"), "append")
 
 
 @query("st_sliding", _BUCKET.format(f"SELECT {_US} // 3600000000 * 3600000000 - h * 3600000000 AS b FROM events, range(6) r(h)"))
 def st_sliding(spark: SparkSession, sf_dir: str) -> DataFrame:
-    w = pushes(spark, sf_dir).groupBy(F.window("ts", "6 hours", "1 hour")).agg(F.count("*").alias("n"))
-    return settled(w.select(F.unix_micros("window.start").alias("start_us"), "n"), "complete")
+    w = pushes(spark, sf_dir, closing=True).withWatermark("ts", "1 hour").groupBy(F.window("ts", "6 hours", "1 hour")).agg(F.count("*").alias("n"))
+    return settled(w.select(F.unix_micros("window.start").alias("start_us"), "n"), "append")
 
 
 @query("st_session", f"WITH t AS (SELECT user_id, {_US} AS us, {_US} - lag({_US}) OVER (PARTITION BY user_id ORDER BY {_US}) AS gap FROM events), s AS (SELECT user_id, us, sum(CASE WHEN gap IS NULL OR gap >= 21600000000 THEN 1 ELSE 0 END) OVER (PARTITION BY user_id ORDER BY us) AS k FROM t) SELECT user_id AS spec_id, min(us) AS start_us, max(us) + 21600000000 AS end_us, count(*) AS n FROM s GROUP BY user_id, k")
 def st_session(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Sessions of a spec end six hours after its last push; then its store can be cleaned."""
-    w = pushes(spark, sf_dir).groupBy("spec_id", F.session_window("ts", "6 hours").alias("s")).agg(F.count("*").alias("n"))
-    return settled(w.select("spec_id", F.unix_micros("s.start").alias("start_us"), F.unix_micros("s.end").alias("end_us"), "n"), "complete")
+    w = pushes(spark, sf_dir, closing=True).withWatermark("ts", "1 hour").groupBy("spec_id", F.session_window("ts", "6 hours").alias("s")).agg(F.count("*").alias("n"))
+    return settled(w.select("spec_id", F.unix_micros("s.start").alias("start_us"), F.unix_micros("s.end").alias("end_us"), "n"), "append")
 
 
 @query("st_watermark_late")
@@ -69,6 +76,17 @@ def st_watermark_late(spark: SparkSession, sf_dir: str) -> DataFrame:
     return settled(w.select(F.unix_micros("window.start").alias("start_us"), "n"), "append")
 
 
+@query("st_watermark_dropped", f"WITH e AS (SELECT {_US} - CASE WHEN event_id % 7 = 3 THEN 864000000000 ELSE 0 END AS us, event_id * 4 // (SELECT max(event_id) + 1 FROM events) AS f FROM events), m AS (SELECT f, max(us) AS top FROM e GROUP BY f), x AS (SELECT us, (SELECT max(top) FROM m WHERE m.f < e.f - 1) - 7200000000 AS mark FROM e), k AS (SELECT mark IS NULL OR us // 7200000000 * 7200000000 + 7200000000 > mark AS kept FROM x) SELECT count(*) AS sent, count(*) FILTER (kept) AS counted, count(*) FILTER (NOT kept) AS dropped FROM k")
+def st_watermark_dropped(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Every seventh push comes ten days late; those whose window was closed by the watermark are dropped, and counted here. Late rows meet
+    the watermark of the batch before, which knows the files up to the last but one."""
+    s = pushes(spark, sf_dir, closing=True).withColumn("ts", F.when(F.pmod("ord", F.lit(7)) == 3, F.col("ts") - F.expr("interval 10 days")).otherwise(F.col("ts")))
+    w = s.withWatermark("ts", "2 hours").groupBy(F.window("ts", "2 hours")).agg(F.count("*").alias("n"))
+    counted = settled(w.select("n"), "append").agg(F.coalesce(F.sum("n"), F.lit(0)).alias("counted"))
+    sent = table(spark, sf_dir, "events").count()
+    return counted.select(F.lit(sent).cast("bigint").alias("sent"), "counted", (F.lit(sent) - F.col("counted")).alias("dropped"))
+
+
 @query("st_dedup", "SELECT user_id AS spec_id, event_id AS ord FROM events")
 def st_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Every seventh push is sent twice; one of each remains."""
@@ -110,8 +128,10 @@ _PER_SPEC = "SELECT user_id AS spec_id, CAST(sum(CAST(json_extract(props, '$.k')
 
 @query("st_batch_equiv", _PER_SPEC)
 def st_batch_equiv(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Totals as they grow: each batch gives the specs that it touched, so output shrinks with the batch; a spec's last total is its greatest."""
     g = pushes(spark, sf_dir).groupBy("spec_id").agg(F.sum("frames").alias("frames"))
-    return settled(g.select("spec_id", "frames", F.expr("frames div 60").alias("segments")), "complete")
+    last = settled(g.select("spec_id", "frames"), "update").groupBy("spec_id").agg(F.max("frames").alias("frames"))
+    return last.select("spec_id", "frames", F.expr("frames div 60").alias("segments"))
 
 
 def manifest_processor():

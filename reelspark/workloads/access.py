@@ -140,7 +140,7 @@ def w_prefetch(spark: SparkSession, sf_dir: str) -> DataFrame:
 @query("w_sparse")
 def w_sparse(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Strides by decoders, in simulated ticks: wide strides gain in proportion to decoders."""
-    strides = {f"stride {2**e}": [[k * 2**e] for k in range(1000)] for e in (0, 1, 3, 7, 10, 13)}
+    strides = {f"stride {2**e}": [[k * 2**e] for k in range(1000)] for e in range(14)}
     cases = [{"pattern": p, "gop_len": 60, "pool": 100, "win": 80, "decoders": d, "filters": 16} for p in strides for d in (1, 2, 4, 8, 16)]
     return simulated(spark, cases, strides)
 
@@ -170,6 +170,6 @@ def admission_trace(spark: SparkSession, sf_dir: str) -> DataFrame:
     from reelspark.engine.core import Engine
 
     rows: list[tuple] = []
-    s = dense_schedules(240)["shuffled"]
+    s = dense_schedules()["shuffled"]
     Engine(s, lambda f: f // 60, lambda g: list(range(g * 60, g * 60 + 60)), EngineConfig(pool=40, window=32, decoders=3, filters=4), trace=lambda *x: rows.append(x)).run()
     return spark.createDataFrame(rows, "tick bigint, gen bigint, state string")

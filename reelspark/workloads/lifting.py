@@ -192,11 +192,11 @@ def next_needed(spark: SparkSession, sf_dir: str) -> DataFrame:
     return plan.next_needed(plan.references(task_spec(spark, sf_dir, "mask_label"))).drop("spec_id")
 
 
-@query("set_prefetch", f"WITH {REFS_SQL} SELECT source_id, idx FROM refs WHERE gen BETWEEN 48 AND 95 EXCEPT SELECT source_id, idx FROM refs WHERE gen < 48")
+@query("set_prefetch", f"WITH {REFS_SQL}, s AS (SELECT DISTINCT gen // 48 AS seg, source_id, idx FROM refs) SELECT seg, source_id, idx FROM s EXCEPT SELECT seg + 1, source_id, idx FROM s")
 def set_prefetch(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Frames to fetch for segment 1 that segment 0 has not brought: need set less pool."""
-    r = plan.references(task_spec(spark, sf_dir, "mask_label"))
-    return r.where("gen BETWEEN 48 AND 95").select("source_id", "idx").subtract(r.where("gen < 48").select("source_id", "idx"))
+    """Frames to fetch for each segment that the one before has not brought: need set less pool."""
+    r = plan.references(task_spec(spark, sf_dir, "mask_label")).select(F.expr("gen div 48").alias("seg"), "source_id", "idx").distinct()
+    return r.join(r.select((F.col("seg") + 1).alias("seg"), "source_id", "idx"), ["seg", "source_id", "idx"], "left_anti")
 
 
 @query("lift_annotators", _LIFT)

@@ -104,7 +104,7 @@ def containing(texts: DataFrame, passages: DataFrame, apart: bool = False) -> Da
 
     schema = [f for f in texts.schema.fields if f.name != "text"]
     names = [f.name for f in schema]
-    ddl = ", ".join(f"{f.name} {f.dataType.simpleString()}" for f in schema) + ", item_id bigint, at bigint"
+    ddl = ", ".join([*(f"{f.name} {f.dataType.simpleString()}" for f in schema), "item_id bigint", "at bigint"])
     known = passages.where("text <> ''").select("item_id", "text")
     parts = max(1, -(-known.count() // PASSAGES))
     dealt, out = known.withColumn("part", F.pmod(F.xxhash64("item_id"), F.lit(parts))), None
@@ -289,16 +289,23 @@ def m_mask_bytes(spark: SparkSession, sf_dir: str) -> DataFrame:
     return table(spark, sf_dir, "lineitem").agg(F.lit("inline").alias("kind"), (F.count("*") * 64).alias("bytes"))
 
 
-_INTENTS = ("search clip", "boxes of class", "hue order", "telemetry overlay")
+_SHOW = r"""WITH u AS (SELECT conv_id, turn, lower(text) AS t FROM conversations WHERE role = 'user'),
+i AS (SELECT conv_id, turn, CASE WHEN regexp_matches(t, '\b(telemetry|speed|sensor|readings?|overlay)\b') THEN 'telemetry overlay' WHEN regexp_matches(t, '\b(hue|colou?rs?|rainbow|sort(ed)?)\b') THEN 'hue order' WHEN regexp_matches(t, '\b(box(es)?|detect[a-z]*|objects?|class)\b') THEN 'boxes of class' ELSE 'search clip' END AS intent,
+  CASE WHEN regexp_extract(t, '[''"]([a-z]{3,})[''"]', 1) <> '' THEN regexp_extract(t, '[''"]([a-z]{3,})[''"]', 1) WHEN regexp_extract(t, '\b(?:says?|said|mentions?|spoken)\s+([a-z]{3,})', 1) <> '' THEN regexp_extract(t, '\b(?:says?|said|mentions?|spoken)\s+([a-z]{3,})', 1) ELSE regexp_extract(t, '([a-z]{7,})', 1) END AS w FROM u),
+j AS (SELECT conv_id, turn, intent, CASE WHEN intent = 'search clip' THEN w ELSE '' END AS word FROM i),
+n AS (SELECT word, CAST(sum((length(lower(text)) - length(replace(lower(text), word, ''))) // length(word)) AS BIGINT) AS places FROM (SELECT DISTINCT word FROM j WHERE word <> ''), documents GROUP BY word)
+SELECT conv_id, turn, intent, j.word, CASE intent WHEN 'search clip' THEN coalesce(n.places, 0) * 77 WHEN 'boxes of class' THEN (SELECT count(DISTINCT l_orderkey) FROM lineitem WHERE l_returnflag = 'A') WHEN 'hue order' THEN (SELECT count(*) FROM embeddings) ELSE (SELECT count(*) FROM orders) END AS spec_frames FROM j LEFT JOIN n ON n.word = j.word"""
 
 
-@query("w_show_me", "WITH u AS (SELECT conv_id, turn, length(text) % 4 AS k FROM conversations WHERE role = 'user') SELECT conv_id, turn, CASE k WHEN 0 THEN 'search clip' WHEN 1 THEN 'boxes of class' WHEN 2 THEN 'hue order' ELSE 'telemetry overlay' END AS intent, CASE k WHEN 0 THEN (SELECT count(*) FROM documents WHERE contains(lower(text), 'enver')) * 77 WHEN 1 THEN (SELECT count(DISTINCT l_orderkey) FROM lineitem WHERE l_returnflag = 'A') WHEN 2 THEN (SELECT count(*) FROM embeddings) ELSE (SELECT count(*) FROM orders) END AS spec_frames FROM u")
+@query("w_show_me", _SHOW)
 def w_show_me(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Each request's intent and the frames its query asks for (templates stand in for a model; clips here are unclipped: 77 frames a hit)."""
+    """Each request's intent and the frames its query asks for (rules stand in for a model; clips here are unclipped: 77 frames a place)."""
     from reelspark.dialog.show_me import intents, sizes
 
     turns = table(spark, sf_dir, "conversations").where("role = 'user'").select("conv_id", "turn", "text")
-    return intents(turns).join(F.broadcast(sizes(spark, sf_dir)), "intent").select("conv_id", "turn", "intent", "spec_frames")
+    asked = intents(turns)
+    known = asked.join(sizes(spark, sf_dir, asked), ["intent", "word"], "left")
+    return known.select("conv_id", "turn", "intent", "word", F.coalesce("spec_frames", F.lit(0)).alias("spec_frames"))
 
 
 def around(frame: Column, total: Column, k: int = AROUND) -> tuple[Column, Column]:
