@@ -66,6 +66,58 @@ def test_service_life_cycle(service_parts):
     assert manager.create("a", 16, 16)
 
 
+def test_restart_and_clean_up(spark, service_parts, tmp_path):
+    manager, delivery = service_parts
+    place = "file://" + str(tmp_path / "store")
+    first = service.Manager(service.Store(spark, place), manager.sources)
+    first.create("kept", 16, 16)
+    first.push("kept", [(g, ref(g)) for g in range(50)], 0)
+    first.push("kept", [(g, ref(g)) for g in range(50)], 1)  # nothing new
+    first.create("empty", 16, 16, fps=(30, 1))
+    again = service.Manager(service.Store(spark, place), manager.sources)  # as after a restart
+    assert again.status("kept") == first.status("kept") == {"frames": 50, "prefix": 50, "listed": 1, "ended": False}
+    assert again.store.state["empty"]["fps"] == (30, 1)
+    assert again.push("kept", [(g, ref(g)) for g in range(48, 60)], 2) == 10
+    again.terminate("kept")
+    served = service.Delivery(service.Manager(service.Store(spark, place), manager.sources), delivery.gops)
+    assert served.playlist("kept").endswith("#EXT-X-ENDLIST\n") and len(served.segment("kept", 1)) == 12
+    store = service.Store(spark, place)
+    store.files.write(f"{place}/specs/spec_id=lost/x", "left over")
+    store.save("empty", now=0.0)
+    assert store.clean(3600) == ["empty"] and store.files.names(f"{place}/specs") == ["spec_id=kept"]
+    service.Manager(store, manager.sources).delete("kept")
+    assert store.files.names(f"{place}/specs") == store.files.names(f"{place}/state") == [] and not service.Store(spark, place).state
+
+
+def test_segments_through_the_block_cache(spark, service_parts, tmp_path):
+    from reelspark.sources.files import BlockCache, ClipFile, Files
+
+    manager, delivery = service_parts
+    files, path = Files(spark), "file://" + str(tmp_path / "main.clip")
+    rows = [r.asDict(recursive=True) for r in delivery.gops.where("source_id = 'main' AND gop_id < 5").collect()]
+    ClipFile.write(files, path, rows)
+    cache = BlockCache(files, 4096, 64)
+    clip = ClipFile(cache, path)
+    for g in rows:
+        assert [(p["idx"], bytes(p["bytes"])) for p in clip.packets(g["gop_id"])] == [(p["idx"], bytes(p["bytes"])) for p in g["packets"]]
+    whole = files.read_bytes(path)
+    assert all(cache.read(path, a, n) == whole[a : a + n] for a, n in ((0, 1), (4095, 2), (100, 9000), (len(whole) - 3, 10), (5, 0)))
+    manager.create("cached", 16, 16)
+    manager.push("cached", [(g, ref(g)) for g in range(96)], 0)
+    one, two = service.Delivery(manager, delivery.gops), service.Delivery(manager, {"main": clip})
+    before = cache.hits
+    assert one.segment("cached", 0) == two.segment("cached", 0) and one.segment("cached", 1) == two.segment("cached", 1)
+    assert cache.hits > before and len(cache.held) <= 64
+
+
+def test_rules_of_requests(spark):
+    cases = {"Show me the speed over the drive": ("telemetry overlay", ""), "sort the frames by colour": ("hue order", ""), "draw boxes around people": ("boxes of class", ""), "find where she says river": ("search clip", "river"), 'clips with "Harbour" please': ("search clip", "harbour"), "ok": ("search clip", ""), "moments of happiness": ("search clip", "moments")}
+    rows = spark.createDataFrame([(i, 0, t) for i, t in enumerate(cases)], "conv_id int, turn int, text string")
+    got = {r["conv_id"]: (r["intent"], r["word"]) for r in dialog.intents(rows).collect()}
+    for i, (text, want) in enumerate(cases.items()):
+        assert got[i] == dialog.intent_of(text) == want
+
+
 def test_show_me_end_to_end(service_parts):
     manager, delivery = service_parts
     clips = {"main": ClipMeta("main", 16, 16, "yuv420p", 1500)}
