@@ -161,3 +161,10 @@ def segment_assign(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Load of each of eight hosts; all requests for one segment go to one host."""
     a = vod.assign(requests(spark, sf_dir), 8)
     return a.groupBy("host").agg(F.count("*").alias("requests"), F.count_distinct("spec_id", "seg").alias("segments"))
+
+
+@query("segment_assign_total", f"WITH {_REQ} SELECT count(*) AS requests, count(DISTINCT (spec_id, seg)) AS segments, count(DISTINCT (spec_id, seg)) AS homes FROM req")
+def segment_assign_total(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """All requests are assigned, and every segment has one home: pairs of segment and host are as many as segments."""
+    a = vod.assign(requests(spark, sf_dir), 8)
+    return a.agg(F.count("*").alias("requests"), F.count_distinct("spec_id", "seg").alias("segments"), F.count_distinct("spec_id", "seg", "host").alias("homes"))

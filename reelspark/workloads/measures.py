@@ -132,7 +132,7 @@ def w_blockcache(spark: SparkSession, sf_dir: str) -> DataFrame:
     return out
 
 
-@query("sink_playlist")
+@query("sink_playlist", "SELECT 'coll_' || (o_custkey % 100) AS spec, 7 + 2 * ((count(*) + 59) // 60) AS lines, (count(*) + 59) // 60 AS segments FROM orders GROUP BY 1 UNION ALL SELECT 'main', 7 + 2 * ((count(*) + 47) // 48), (count(*) + 47) // 48 FROM orders")
 def sink_playlist(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Playlists written as text, one file a spec, and read back: lines per spec."""
     path = io.shared_folder(spark, "playlists")

@@ -56,7 +56,8 @@ def m_exact_settings(spark: SparkSession, sf_dir: str) -> DataFrame:
     out = None
     for name, plan, cfg, kw in (("default", "segment_local", EngineConfig(), {}), ("small pool", "segment_local", EngineConfig(pool=8, window=4, decoders=2, filters=1), {}), ("display order", "segment_local", EngineConfig(emit="display"), {"b_run": 2}), ("lru", "segment_local", EngineConfig(pool=12, window=10, decoders=3, evict="lru"), {}), ("exchange", "gop_exchange", EngineConfig(), {}), ("all intra", "segment_local", EngineConfig(), {"all_intra": True})):
         d = engine.digests(engine.render(spec, task_gops(spark, sf_dir, "color", **kw), sources, GOP_LEN, cfg, plan))
-        one = d.agg(F.lit(name).alias("setting"), F.count("*").alias("gens"), F.md5(F.array_join(F.array_sort(F.collect_list(F.concat(F.lpad("gen", 12, "0"), "md5"))), "")).alias("digest"))
+        # free of order and of gathering: the sum of one hash a generation
+        one = d.agg(F.lit(name).alias("setting"), F.count("*").alias("gens"), F.sum(F.xxhash64("gen", "md5").cast("decimal(38,0)")).cast("string").alias("digest"))
         out = one if out is None else out.unionByName(one)
     return out
 
@@ -80,6 +81,86 @@ def w_resolution(spark: SparkSession, sf_dir: str) -> DataFrame:
     return spark.createDataFrame(rows, "side int, backend string, frames_per_second double, equal boolean")
 
 
+def _enlarged(raw: bytes, side: int, w: int, h: int) -> bytes:
+    """A square frame of 4:2:0 planes at another size, by nearest pixels."""
+    out, at = [], 0
+    for n, cols, rows in ((side, w, h), (side // 2, w // 2, h // 2), (side // 2, w // 2, h // 2)):
+        plane = np.frombuffer(raw, np.uint8, n * n, at).reshape(n, n)
+        out.append(plane[np.arange(rows) * n // rows][:, np.arange(cols) * n // cols].tobytes())
+        at += n * n
+    return b"".join(out)
+
+
+_BOX_LABEL = [("pixfmt", [0], [], "bgr24"), ("box", [1], [2, 2, 13, 13, 0, 0, 255, 1], ""), ("text", [2], [3, 3, 255, 255, 255, 1], "red widget"), ("pixfmt", [3], [], "yuv420p")]
+
+
+def _draws(gen: int, idx: int) -> dict:
+    nodes = [("ref", [], [idx], "clip"), *_BOX_LABEL]
+    return {"gen": gen, "nodes": [dict(zip(("op", "kids", "ints", "text"), n, strict=True)) for n in nodes]}
+
+
+#: Sizes of the frame-size study; the last two are those of the published clips.
+SIZES = ((16, 16), (640, 360), (1280, 720), (1920, 1080))
+
+
+@query("m_frame_size")
+def m_frame_size(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """One GOP of the main clip at full size, decoded, drawn on and encoded again by the engine in one task: seconds, pixels a second, the
+    pool's bytes and the process' greatest memory. A GOP is cut to 24 frames, the study's own length."""
+    from reelspark.engine.core import EngineConfig
+    from reelspark.sources import codec
+    from reelspark.workloads.clips import stored_gops
+
+    frames = [raw for _, raw in codec.in_display_order(stored_gops(spark, sf_dir, "main").where("gop_id = 0").select("packets").first().asDict(recursive=True)["packets"])][:24]
+
+    def run(it):
+        import resource
+
+        import pandas as pd
+
+        from reelspark.engine import exec as engine
+        from reelspark.engine import kernels
+
+        for batch in it:
+            for w, h in zip(batch["w"], batch["h"], strict=True):
+                packets = codec.encode([_enlarged(f, 16, w, h) for f in frames])
+                gops = [{"source_id": "clip", "gop_id": 0, "packets": packets, "width": int(w), "height": int(h), "fmt": "yuv420p"}]
+                began = time.perf_counter()
+                out, stats = engine.run_segment([_draws(g, g) for g in range(len(frames))], gops, EngineConfig(pool=12, window=8))
+                rendered = time.perf_counter() - began
+                size = sum(len(p["bytes"]) for p in codec.encode([kernels.raw(f) for _, f in out]))
+                seconds = time.perf_counter() - began
+                yield pd.DataFrame([{"w": w, "h": h, "frames": len(frames), "render_seconds": round(rendered, 3), "seconds": round(seconds, 3), "frames_per_second": round(len(frames) / seconds, 2), "megapixels_per_second": round(len(frames) * w * h / seconds / 1e6, 3), "packed_bytes": size, "peak_pool": stats["peak_pool"], "pool_bytes": int(stats["peak_pool"] * w * h * 3 // 2), "process_mb": resource.getrusage(resource.RUSAGE_SELF).ru_maxrss // 1024}])
+
+    cases = spark.createDataFrame(SIZES, "w int, h int").repartition(len(SIZES))
+    return cases.mapInPandas(run, "w int, h int, frames int, render_seconds double, seconds double, frames_per_second double, megapixels_per_second double, packed_bytes bigint, peak_pool int, pool_bytes bigint, process_mb bigint")
+
+
+@query("w_dense_seconds")
+def w_dense_seconds(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The dense patterns over 500 frames of the short clip, enlarged to 320 x 180, by pool size: measured seconds and frames decoded."""
+    from reelspark.engine.core import Engine, EngineConfig
+    from reelspark.sources import codec
+    from reelspark.workloads.clips import stored_gops
+
+    held = [(r["first_idx"], r.asDict(recursive=True)["packets"]) for r in stored_gops(spark, sf_dir, "short").where("first_idx < 500").orderBy("gop_id").collect()]
+    n = min(500, sum(len(p) for _, p in held))
+
+    def run(it):
+        import pandas as pd
+
+        clip = {first // 60: codec.encode([_enlarged(raw, 8, 320, 180) for _, raw in codec.in_display_order(p)], first=first) for first, p in held}
+        schedules = {k: [f for f in s if f[0] < n] for k, s in access.dense_schedules(n).items()}
+        for batch in it:
+            for name, pool in zip(batch["pattern"], batch["pool"], strict=True):
+                began = time.perf_counter()
+                stats = Engine(schedules[name], lambda f: f // 60, lambda g: [p["idx"] for p in clip[g]], EngineConfig(pool=int(pool), window=max(1, int(pool) * 8 // 10), decoders=4), lambda g: (d for _, d in codec.decode(clip[g])), lambda g, have: sum(map(len, have.values()))).run()
+                yield pd.DataFrame([{"pattern": name, "pool": pool, "frames": n, "frames_decoded": stats.frames_decoded, "seconds": round(time.perf_counter() - began, 3)}])
+
+    cases = spark.createDataFrame([(p, k) for p in ("every", "reverse", "shuffled") for k in (10, 30, 60, 100, 250)], "pattern string, pool int")
+    return cases.repartition(4).mapInPandas(run, "pattern string, pool int, frames int, frames_decoded int, seconds double")
+
+
 @query("m_time_to_playback")
 def m_time_to_playback(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Seconds (measured) of script, engine and first segment for the box-and-label task."""
