@@ -20,10 +20,8 @@ rows that is 0; a token that stands in no toxic labelled document weighs nothing
 
 from __future__ import annotations
 
-import itertools
 import math
 import re
-from bisect import bisect_right
 from collections import Counter
 from collections.abc import Callable, Iterator
 from dataclasses import dataclass
@@ -62,11 +60,15 @@ def tokens_of(word: str) -> set[str]:
     return {"=" + word, *("^" + word[:k] for k in OPENINGS if n > k), *("~" + word[i : i + INNER] for i in range(n - INNER + 1))}
 
 
-def token_column(word: Column) -> Column:
-    """The same set, as an array column."""
-    n = F.length(word)
-    inner = F.when(n >= INNER, F.transform(F.sequence(F.lit(1), n - (INNER - 1)), lambda i: F.concat(F.lit("~"), F.substring(word, i, F.lit(INNER))))).otherwise(F.array().cast("array<string>"))
-    return F.array_distinct(F.concat(F.array(F.concat(F.lit("="), word)), *[F.when(n > k, F.array(F.concat(F.lit("^"), F.left(word, F.lit(k))))).otherwise(F.array().cast("array<string>")) for k in OPENINGS], inner))
+def token_rows(words: DataFrame) -> DataFrame:
+    """(word, ...) -> (token, ...): a row for every place of a token in the word; the empty word has the empty token."""
+    word, n, first = F.col("word"), F.length("word"), -1 - len(OPENINGS)
+    rows = words.withColumn("at", F.explode(F.sequence(F.lit(first), F.greatest(n - INNER, F.lit(-1)))))
+    token = F.when(F.col("at") == first, F.when(word == "", word).otherwise(F.concat(F.lit("="), word)))
+    for k, size in enumerate(OPENINGS, first + 1):
+        token = token.when(F.col("at") == k, F.when(n > size, F.concat(F.lit("^"), F.left(word, F.lit(size)))))
+    token = token.otherwise(F.concat(F.lit("~"), F.substring(word, F.col("at") + 1, F.lit(INNER))))
+    return rows.withColumn("token", token).where("token IS NOT NULL").drop("word", "at")
 
 
 @dataclass
@@ -117,10 +119,10 @@ class Weigher:
         import ahocorasick
 
         self.machine = ahocorasick.Automaton() if weights else None
-        found: dict[str, list[tuple[str, float]]] = {}
+        found: dict[str, list[tuple[bool, float]]] = {}
         for token, weight in weights.items():
             kind, letters = token[0], token[1:]
-            found.setdefault({"=": f" {letters} ", "^": f" {letters}", "~": letters}[kind], []).append((kind, weight))
+            found.setdefault({"=": f" {letters} ", "^": f" {letters}", "~": letters}[kind], []).append((kind == "^", weight))
         for letters, tokens in found.items():
             self.machine.add_word(letters, tokens)
         if self.machine:
@@ -132,18 +134,14 @@ class Weigher:
             return []
         flat = " " + " ".join(words) + " "
         best: dict[int, float] = {}
-        starts = None
+        at, seen = -1, 0
         for end, tokens in self.machine.iter(flat):
-            for kind, weight in tokens:
-                if kind == "^" and flat[end + 1] == " ":
-                    continue
-                if starts is None:
-                    starts = [0, *itertools.accumulate(map(len, words))]  # letters before each word; its place adds the blanks
-                    starts = list(map(int.__add__, starts, range(len(starts))))
-                at = bisect_right(starts, end - 1 - (kind == "=")) - 1
-                if weight > best.get(at, 0.0):
+            at += flat.count(" ", seen, end)  # blanks passed; the one behind a whole word is not yet
+            seen = end
+            for opening, weight in tokens:
+                if weight > best.get(at, 0.0) and not (opening and flat[end + 1] == " "):
                     best[at] = weight
-        return sorted(best.items())
+        return list(best.items())
 
 
 def damped(words: list[str], hits: list[tuple[int, float]]) -> list[tuple[int, float]]:
@@ -223,12 +221,9 @@ def word_counts(docs: DataFrame, cells: int) -> DataFrame:
     return docs.select("text", "cell").mapInArrow(run, schema).groupBy("word").agg(*[F.sum(c).alias(c) for c in names])
 
 
-def token_counts(words: DataFrame, asked: DataFrame | None = None) -> DataFrame:
-    """(token, c0, ...) from (word, c0, ...), of the tokens ``asked`` for or all; the empty token stands for the empty word."""
-    names = [c for c in words.columns if c != "word"]
-    tokens = F.when(F.col("word") == "", F.array(F.lit(""))).otherwise(token_column(F.col("word")))
-    rows = words.select(F.explode(tokens).alias("token"), *names)
-    return (rows if asked is None else rows.join(asked, "token", "left_semi")).groupBy("token").agg(*[F.sum(c).alias(c) for c in names])
+def token_counts(words: DataFrame) -> DataFrame:
+    """(token, c0, ...) from (word, c0, ...), places of equal tokens in a word counted each; the empty token stands for the empty word."""
+    return token_rows(words).groupBy("token").agg(*[F.sum(c).alias(c) for c in words.columns if c != "word"])
 
 
 def weight_column(token: Column, toxic: Column, other: Column, corpus: Column, n_toxic: float, n_other: float, n_corpus: float) -> Column:
@@ -295,7 +290,8 @@ def fold_weights(docs: DataFrame, learned: DataFrame, scratch: Scratch, part: in
     sums = taught.where("token = ''").first()
     asked = taught.where("toxic > 0 AND token <> ''")
     wanted = asked.select("token").unionByName(taught.where("token = ''").select("token"))
-    corpus = scratch.keep(token_counts(word_counts(docs.select("text", F.lit(0).alias("cell")), 1), wanted).select("token", F.col("c0").alias("corpus")))
+    # summed before they meet the tokens asked for: sums are far fewer than places
+    corpus = scratch.keep(token_counts(word_counts(docs.select("text", F.lit(0).alias("cell")), 1)).join(wanted, "token", "left_semi").select("token", F.col("c0").alias("corpus")))
     n_corpus = float(corpus.where("token = ''").first()["corpus"])
     rows = asked.join(corpus, "token", "left").withColumn("corpus", F.coalesce("corpus", F.lit(0)).cast("double"))
     made = {}
@@ -316,18 +312,26 @@ def train(docs: DataFrame, labels: DataFrame, bound: int = MAX_LABELLED, part: i
     if learned.isEmpty():
         return Model()
     table, parts = fold_weights(docs, learned, scratch, part)
-    found = hits(learned, ["cell"], table, parts, [f"w{f}" for f in range(FOLDS)], scratch)
-
-    def raw(cols: list[list]) -> list[list]:
-        out, sizes = [], []
-        for row, (cell, text) in enumerate(zip(cols[0], cols[1], strict=True)):
-            words = words_of(text)
-            mine = [(h["at"], h["weight"]) for h in cols[2 + cell // 2][row]]
-            out.append([s[2] for s in segments(damped(words, mine))])
-            sizes.append(len(words))
-        return [cols[0], sizes, out]
-
-    rows = per_document(found, found.columns, "cell int, n bigint, s array<double>", raw).collect()
+    schema = "cell int, n bigint, s array<double>"
+    if parts <= 1:  # one pass, each document with the weights of the other folds
+        folds, ready = [next(parts_of(table, f"w{f}", 1)) if parts else {} for f in range(FOLDS)], []
+
+        def whole(cols: list[list]) -> list[list]:
+            if not ready:
+                ready.extend(map(Weigher, folds))
+            texts = list(map(words_of, cols[1]))
+            return [cols[0], list(map(len, texts)), [[s[2] for s in segments(damped(w, ready[c // 2](w)))] for c, w in zip(cols[0], texts, strict=True)]]
+
+        rows = per_document(learned, ["cell", "text"], schema, whole).collect()
+    else:
+        found = hits(learned, ["cell"], table, parts, [f"w{f}" for f in range(FOLDS)], scratch)
+
+        def last(cols: list[list]) -> list[list]:
+            texts = list(map(words_of, cols[1]))
+            mine = [[(h["at"], h["weight"]) for h in cols[2 + c // 2][row]] for row, c in enumerate(cols[0])]
+            return [cols[0], list(map(len, texts)), [[s[2] for s in segments(damped(w, m))] for w, m in zip(texts, mine, strict=True)]]
+
+        rows = per_document(found, found.columns, schema, last).collect()
     y = np.array([r["cell"] % 2 for r in rows], float)
     best, sizes = np.array([max(r["s"], default=0.0) for r in rows]), np.array([r["n"] for r in rows], float)
     order = np.lexsort([best, sizes, y])  # rows come in any order
