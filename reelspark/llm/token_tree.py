@@ -314,7 +314,8 @@ def registered_edits() -> Column:
     n, head = F.length("text"), "Revised copy 1.\n"
     gone = F.floor(n / 8).cast("int")
     mid, end = F.floor(n / 2).cast("int") + len(head), n + len(head) - gone
-    last = F.coalesce(F.regexp_extract("text", r"([^\x20\x09-\x0D]+)[\x20\x09-\x0D]*$", 1), F.lit(""))
+    # looked for from the end: a pattern tied to the end alone would be tried at every character
+    last = F.reverse(F.regexp_extract(F.reverse("text"), r"^[\x20\x09-\x0D]*([^\x20\x09-\x0D]+)", 1))
     one = lambda lo, hi, new: F.struct(lo.cast("int").alias("lo"), hi.cast("int").alias("hi"), new.alias("new"))
     return F.array(one(F.lit(0), F.lit(0), F.lit(head)), one(mid, mid + gone, F.lit("")), one(end, end, F.concat(F.lit(" "), last)))
 
