@@ -7,10 +7,15 @@ symbol to a new pure node. A frame shows three-byte pixels to the script and sta
 
 from __future__ import annotations
 
-from collections.abc import Callable
-from dataclasses import dataclass
+import queue
+import threading
+from collections import Counter
+from collections.abc import Callable, Iterator
+from dataclasses import dataclass, replace
 
+import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
 from reelspark.engine.font import text_extent
 from reelspark.model.expr import Tree
@@ -26,6 +31,7 @@ class ClipMeta:
     n_frames: int
     fps_num: int = 24
     fps_den: int = 1
+    first: int = 0  # where a reader begins: a replay of a part of the clip
 
 
 class ClipEnv:
@@ -89,10 +95,10 @@ class ClipReader:
     def __init__(self, env: ClipEnv, name: str):
         if name not in env.clips:
             raise FileNotFoundError(name)
-        self.env, self.meta, self.at = env, env.clips[name], 0
+        self.env, self.meta, self.at = env, env.clips[name], env.clips[name].first
 
     def read(self) -> tuple[bool, SymFrame | None]:
-        if not 0 <= self.at < self.meta.n_frames:
+        if not self.meta.first <= self.at < self.meta.n_frames:
             return False, None
         m = self.meta
         frame = SymFrame(Tree("ref", (), (self.at,), m.source_id), m.width, m.height, m.fmt, "gray8" if m.fmt == "gray8" else "bgr24")
@@ -112,18 +118,20 @@ class ClipReader:
 
 
 class ClipWriter:
-    """Collects frames in order; ``push`` (if given) hears of each and of the end."""
+    """Collects frames in order (unless it is not to ``keep`` them); ``push`` (if given) hears of each and of the end."""
 
-    def __init__(self, fmt: str, push: Callable[[int | None, list[dict] | None], None] | None = None):
-        self.fmt, self.push, self.frames, self.closed = fmt, push, [], False
+    def __init__(self, fmt: str, push: Callable[[int | None, list[dict] | None], None] | None = None, keep: bool = True):
+        self.fmt, self.push, self.keep, self.frames, self.written, self.closed = fmt, push, keep, [], 0, False
 
     def write(self, frame: SymFrame) -> None:
         if self.closed:
             raise ValueError("the writer is closed")
         nodes = frame.copy().settle(self.fmt).flatten()
-        self.frames.append(nodes)
+        if self.keep:
+            self.frames.append(nodes)
+        self.written += 1
         if self.push:
-            self.push(len(self.frames) - 1, nodes)
+            self.push(self.written - 1, nodes)
 
     def close(self) -> None:
         if not self.closed and self.push:
@@ -149,14 +157,14 @@ def filter_op(f: Callable) -> Callable:
 class Imaging:
     """What the imaging import gives a replayed script."""
 
-    def __init__(self, env: ClipEnv, push: Callable | None = None):
-        self.env, self.push, self.writers = env, push, []
+    def __init__(self, env: ClipEnv, push: Callable | None = None, keep: bool = True):
+        self.env, self.push, self.keep, self.writers = env, push, keep, []
 
     def open_clip(self, name: str) -> ClipReader:
         return ClipReader(self.env, name)
 
     def new_clip(self, fmt: str = "yuv420p") -> ClipWriter:
-        self.writers.append(ClipWriter(fmt, self.push))
+        self.writers.append(ClipWriter(fmt, self.push, self.keep))
         return self.writers[-1]
 
     text_extent = staticmethod(text_extent)  # outside the model: runs for real
@@ -235,3 +243,138 @@ def run(script: Callable[[Imaging], None], env: ClipEnv, push: Callable | None =
 def as_spec(spark: SparkSession, frames: list[list[dict]], spec_id: str = "script", seg_frames: int = 48) -> DataFrame:
     rows = [(spec_id, g, g // seg_frames, [(n["op"], n["kids"], n["ints"], n["text"]) for n in nodes]) for g, nodes in enumerate(frames)]
     return spark.createDataFrame(rows, SPEC)
+
+
+_INTS = pa.list_(pa.int64())
+_NODE = pa.struct([("op", pa.string()), ("kids", pa.list_(pa.int32())), ("ints", _INTS), ("text", pa.string())])
+_SPEC = pa.schema([("spec_id", pa.string()), ("gen", pa.int64()), ("seg", pa.int64()), ("nodes", pa.list_(_NODE))])
+FLUSH = 2048  # frames a batch: what a streamed replay holds
+
+
+def spec_batch(frames: list[tuple[int, list[dict]]], spec_id: str, seg_frames: int) -> pa.RecordBatch:
+    """(gen, nodes) as rows of a spec, column by column."""
+    nodes = [n for _, of in frames for n in of]
+
+    def lists(rows: list[list[int]], kind: pa.DataType) -> pa.Array:
+        ends = [0]
+        for r in rows:
+            ends.append(ends[-1] + len(r))
+        return pa.ListArray.from_arrays(pa.array(ends, pa.int32()), pa.array([x for r in rows for x in r], kind))
+
+    at = [0]
+    for _, of in frames:
+        at.append(at[-1] + len(of))
+    fields = [pa.array([n["op"] for n in nodes], pa.string()), lists([n["kids"] for n in nodes], pa.int32()), lists([n["ints"] for n in nodes], pa.int64()), pa.array([n["text"] for n in nodes], pa.string())]
+    values = pa.StructArray.from_arrays(fields, fields=list(_NODE))
+    gens = [g for g, _ in frames]
+    columns = [pa.array([spec_id] * len(gens), pa.string()), pa.array(gens, pa.int64()), pa.array([g // seg_frames for g in gens], pa.int64()), pa.ListArray.from_arrays(pa.array(at, pa.int32()), values)]
+    return pa.RecordBatch.from_arrays(columns, schema=_SPEC)
+
+
+class _Ended(BaseException):
+    """Nobody takes the frames any more."""
+
+
+def stream(script: Callable[[Imaging], None], env: ClipEnv, spec_id: str = "script", seg_frames: int = 48) -> Iterator[pa.RecordBatch]:
+    """What ``run`` gives, in batches while the script runs in a thread: two batches and the script's own frames are held.
+
+    Writers are numbered through in order of opening, so each has to be done when the next one's first frame is written."""
+    ready: queue.Queue = queue.Queue(1)
+    over = threading.Event()
+    held: list[tuple[int, list[dict]]] = []
+
+    def put(item) -> None:
+        while not over.is_set():
+            try:
+                return ready.put(item, timeout=0.1)
+            except queue.Full:
+                continue
+        raise _Ended
+
+    current, total = 0, 0
+
+    def take(writer: int, nodes: list[dict] | None) -> None:
+        nonlocal current, total
+        if nodes is None:
+            return
+        if writer < current:
+            raise ValueError("a writer goes on after a later one has begun")
+        current = writer
+        held.append((total, nodes))
+        total += 1
+        if len(held) >= FLUSH:
+            put(spec_batch(held, spec_id, seg_frames))
+            held.clear()
+
+    class Streamed(Imaging):
+        def new_clip(self, fmt: str = "yuv420p") -> ClipWriter:
+            k = len(self.writers)
+            self.writers.append(ClipWriter(fmt, lambda _, nodes: take(k, nodes), keep=False))
+            return self.writers[-1]
+
+    def replay() -> None:
+        try:
+            script(Streamed(env))
+            if held:
+                put(spec_batch(held, spec_id, seg_frames))
+            put(None)
+        except _Ended:
+            pass
+        except BaseException as e:  # noqa: BLE001  what the script raises is raised where its frames are taken
+            try:
+                put(e)
+            except _Ended:
+                pass
+
+    worker = threading.Thread(target=replay, daemon=True)
+    worker.start()
+    try:
+        while (item := ready.get()) is not None:
+            if isinstance(item, BaseException):
+                raise item
+            yield item
+    finally:
+        over.set()
+        worker.join()
+
+
+def replayed(script: Callable[[Imaging], None], env: ClipEnv, index: DataFrame, spec_id: str = "script", seg_frames: int = 48) -> DataFrame:
+    """The spec of a script, replayed from its first frame to its last in one task, as it would run; frames leave it in batches.
+
+    ``index``: a row (source_id, idx) for every frame of the clips; the task counts them, and that is how long the clips are."""
+
+    def run(it: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        lengths: Counter[str] = Counter()
+        for b in it:
+            for v in b.column(0).value_counts().to_pylist():
+                lengths[v["values"]] += v["counts"]
+        clips = {name: replace(m, n_frames=lengths[name]) for name, m in env.clips.items()}
+        yield from stream(script, ClipEnv(clips, env.conversion), spec_id, seg_frames)
+
+    return index.select("source_id", "idx").coalesce(1).mapInArrow(run, SPEC)
+
+
+def replayed_in_parts(script: Callable[[Imaging, Callable], None], env: ClipEnv, name: str, index: DataFrame, given: DataFrame, spec_id: str = "script", seg_frames: int = 48, block: int = 4096) -> DataFrame:
+    """The spec of a script that keeps nothing from one frame to the next: replayed for every block of a clip's frames in a task of its own.
+
+    ``index``: idx of the clip's frames; ``given``: rows with ``frame`` that the script asks for by ``rows(frame)``, in order of ``ord``. A reader
+    begins at the block's first frame and ends behind its last; a gap in the clip ends one replay and begins another."""
+
+    def run(left: pa.Table, right: pa.Table) -> pa.Table:
+        at = sorted(left.column("idx").to_pylist())
+        rows: dict[int, list[dict]] = {}
+        for r in right.sort_by([("frame", "ascending"), ("ord", "ascending")]).to_pylist():
+            rows.setdefault(r["frame"], []).append(r)
+        out: list[tuple[int, list[dict]]] = []
+        begin = 0
+        for k in range(1, len(at) + 1):
+            if k == len(at) or at[k] != at[k - 1] + 1:
+                part = ClipEnv({**env.clips, name: replace(env.clips[name], first=at[begin], n_frames=at[k - 1] + 1)}, env.conversion)
+                imaging = Imaging(part, lambda gen, nodes, lo=at[begin]: nodes is not None and out.append((lo + gen, nodes)), keep=False)
+                script(imaging, lambda frame: rows.get(frame, ()))
+                begin = k
+        return pa.Table.from_batches([spec_batch(out, spec_id, seg_frames)])
+
+    frames = index.select("idx", (F.col("idx") - F.pmod("idx", F.lit(block))).alias("block"))
+    dets = given.withColumn("for_block", F.col("frame") - F.pmod("frame", F.lit(block)))
+    return frames.groupBy("block").cogroup(dets.groupBy("for_block")).applyInArrow(run, SPEC)

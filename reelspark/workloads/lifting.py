@@ -82,11 +82,15 @@ def counter_script(imaging) -> None:
     out.close()
 
 
+def replayed_counter(spark: SparkSession, sf_dir: str) -> DataFrame:
+    env = shim.ClipEnv.of(task_sources(spark, sf_dir), ["main"])
+    return shim.replayed(counter_script, env, _main(spark, sf_dir))
+
+
 @query("lift_shim", "SELECT o_orderkey AS gen, CAST(CASE WHEN o_orderkey % 3 = 0 THEN 5 ELSE 4 END AS BIGINT) AS n_nodes, md5('ref(|' || o_orderkey || '|main);pixfmt(0||bgr24);text(1|1,1,255,255,255,1|' || o_orderkey || ')' || CASE WHEN o_orderkey % 3 = 0 THEN ';box(2|2,2,9,9,0,0,255,1|);pixfmt(3||yuv420p)' ELSE ';pixfmt(2||yuv420p)' END) AS expr_md5 FROM orders")
 def lift_shim(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """A script replayed over the whole main clip, on the driver as the user's script is."""
-    env = shim.ClipEnv.of(task_sources(spark, sf_dir), ["main"])
-    return _lift_columns(shim.as_spec(spark, shim.run(counter_script, env))).drop("n_draws")
+    """A script replayed over the whole main clip, from its first frame to its last in one task."""
+    return _lift_columns(replayed_counter(spark, sf_dir)).drop("n_draws")
 
 
 @query("lift_eager", "SELECT o_orderkey AS gen, 'pixfmt(0||bgr24)' AS second FROM orders")
@@ -201,15 +205,11 @@ def set_prefetch(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 @query("lift_annotators", _LIFT)
 def lift_annotators(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """The box-and-label task as a script with annotators: its detections come to the driver grouped by frame, as they would to
-    a user's script; the expressions equal those of the join."""
+    """The box-and-label task as a script with annotators, which keeps nothing from frame to frame: replayed for each block of frames beside
+    the block's detections; the expressions equal those of the join."""
     from reelspark.annot import annotators
 
-    by_frame: dict[int, list[dict]] = {}
-    for r in derive.detections(spark, sf_dir).orderBy("frame", "ord").toLocalIterator():
-        by_frame.setdefault(r["frame"], []).append(r.asDict())
-
-    def script(imaging) -> None:
+    def script(imaging, found) -> None:
         clip, out = imaging.open_clip("main"), imaging.new_clip()
         both = annotators.Chain(imaging, annotators.Box(imaging), annotators.Label(imaging))
         while True:
@@ -217,8 +217,9 @@ def lift_annotators(spark: SparkSession, sf_dir: str) -> DataFrame:
             ok, frame = clip.read()
             if not ok:
                 break
-            out.write(both.annotate(frame, by_frame.get(at, ())))
+            out.write(both.annotate(frame, found(at)))
         out.close()
 
     env = shim.ClipEnv.of(task_sources(spark, sf_dir), ["main"])
-    return _lift_columns(shim.as_spec(spark, shim.run(script, env)))
+    dets = derive.detections(spark, sf_dir).select("frame", "ord", "x1", "y1", "x2", "y2", "cls", "text")
+    return _lift_columns(shim.replayed_in_parts(script, env, "main", _main(spark, sf_dir), dets))
