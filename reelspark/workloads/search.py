@@ -91,6 +91,7 @@ def in_captions(spark: SparkSession, sf_dir: str, passages: DataFrame, text: Col
 
 
 PASSAGES = 20_000  # per automaton, which bounds what a task holds
+PLACES = 50_000  # found places that a task holds before it passes them on
 
 
 def containing(texts: DataFrame, passages: DataFrame, apart: bool = False) -> DataFrame:
@@ -124,9 +125,17 @@ def containing(texts: DataFrame, passages: DataFrame, apart: bool = False) -> Da
                 machine.make_automaton()
             for b in it:
                 rows, ids, ats = [], [], []
-                for k, text in enumerate(b.column("text").to_pylist()):
+
+                def found(b=b, rows=rows, ids=ids, ats=ats):
+                    at_rows = pa.array(rows, pa.int64())  # the texts themselves are not taken along, which would be a copy a place
+                    out = pa.RecordBatch.from_arrays([*(b.column(n).take(at_rows) for n in names), pa.array(ids, pa.int64()), pa.array(ats, pa.int64())], names=[*names, "item_id", "at"])
+                    for held in (rows, ids, ats):
+                        held.clear()
+                    return out
+
+                for k, text in enumerate(b.column("text")):
                     ends: dict[str, int] = {}
-                    for end, p in machine.iter(text or "") if items else ():
+                    for end, p in machine.iter(text.as_py() or "") if items else ():
                         at = end + 1 - len(p)
                         if apart:
                             if at < ends.get(p, 0):
@@ -136,8 +145,9 @@ def containing(texts: DataFrame, passages: DataFrame, apart: bool = False) -> Da
                             rows.append(k)
                             ids.append(i)
                             ats.append(at)
-                t = b.take(pa.array(rows, pa.int64()))
-                yield pa.RecordBatch.from_arrays([*(t.column(n) for n in names), pa.array(ids, pa.int64()), pa.array(ats, pa.int64())], names=[*names, "item_id", "at"])
+                            if len(rows) >= PLACES:
+                                yield found()
+                yield found()
 
         one = texts.select(*names, "text").mapInArrow(run, ddl)
         out = one if out is None else out.unionByName(one)

@@ -51,3 +51,16 @@ def test_running_sums_in_blocks(spark):
         got = running(df, ["k"], "at", "v", "before", block, whole={"sum": "all", "last": "last"}).collect()
         assert len(got) == len(rows) and {(r["k"], r["at"]): (r["before"], r["all"], r["last"]) for r in got} == want
         assert {(r["k"], r["at"]): r["n"] for r in numbered(df, ["k"], "at", "n", block).collect()} == count
+
+
+def test_found_places_leave_a_task_in_bounded_batches(spark):
+    """A batch of texts may hold any number of places."""
+    from reelspark.workloads import search
+
+    n = search.PLACES * 2 + 7
+    texts = spark.createDataFrame([(1, "a" * n), (2, None), (3, "ba")], "doc_id bigint, text string").coalesce(1)
+    found = search.containing(texts, spark.createDataFrame([(7, "a")], "item_id bigint, text string"))
+    sizes = found.mapInArrow(lambda it: (b.slice(0, 0).from_pydict({"n": [b.num_rows]}) for b in it), "n bigint")
+    assert found.count() == n + 1 and found.where("doc_id = 3 and at = 1").count() == 1
+    seen = [r["n"] for r in sizes.collect()]
+    assert sum(seen) == n + 1
