@@ -72,7 +72,7 @@ def w_search_spec(spark: SparkSession, sf_dir: str) -> DataFrame:
     rows = running(hits(spark, sf_dir, WORD), [], "occ", "n", "start").select("*", F.explode(F.sequence(F.lit(0).cast("bigint"), F.col("n") - 1)).alias("k"))
     frames = rows.select((F.col("start") + F.col("k")).alias("gen"), F.lit("main").alias("source_id"), F.pmod(F.col("first") + F.col("k"), F.lit(n)).alias("idx"))
     dets = rows.select((F.col("start") + F.col("k")).alias("frame"), F.lit(1).alias("ord"), F.lit(0).alias("x1"), F.lit(0).alias("y1"), F.lit(15).alias("x2"), F.lit(6).alias("y2"), F.lit("N").alias("cls"), F.concat(F.lit("#"), F.col("occ").cast("string"), F.lit(" "), F.substring("source_id", 5, 20), F.lit(" "), "stamp_text").alias("text"))
-    spec = relational.annotate(frames, dets, "label", "search", SEG)
+    spec = relational.annotate(frames, dets, "label", "search", SEG, needed=True)
     return engine.digests(engine.render(spec, task_gops(spark, sf_dir, "label"), task_sources(spark, sf_dir), GOP_LEN)).select("gen", "md5")
 
 
